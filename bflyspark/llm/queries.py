@@ -7,7 +7,9 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from .byte_bpe import op2_byte_bpe
+from .quality_classifier import op7_quality_classifier
 from .quality_rules import op1_quality_rules
+from .secret_scan import op6_secret_scan
 
 
 def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -20,6 +22,8 @@ def llm_queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_quality_rules": op1_quality_rules,
         "op2_byte_bpe": op2_byte_bpe,
+        "op6_secret_scan": op6_secret_scan,
+        "op7_quality_classifier": op7_quality_classifier,
     }
 
 
