@@ -16,10 +16,10 @@ import base64
 import hashlib
 
 import pyarrow as pa
-import regex
 from pyspark.sql import DataFrame, SparkSession
 
 from .common import per_worker, read_table
+from .pieces import Cutter
 
 CACHE = 400_000  # pieces that a worker remembers before it starts anew
 PAIRS = 800_000  # token pairs likewise
@@ -49,8 +49,7 @@ class Encoder:
         import ahocorasick
 
         self.ranks = ranks
-        # \s of the tokenizer's regular expressions is the Unicode property White_Space.
-        self.pieces = regex.compile(pattern.replace(r"[^\s", r"[^\p{White_Space}").replace(r"\s", r"\p{White_Space}").replace(r"\S", r"\P{White_Space}")).findall
+        self.pieces = Cutter(pattern)
         self.bytes_of = {rank: token for token, rank in ranks.items()}
         self.decimal = {str(rank): token for token, rank in ranks.items()}
         self.reach: dict[bytes, bool] = {}

@@ -10,6 +10,8 @@ from .byte_bpe import op2_byte_bpe
 from .quality_classifier import op7_quality_classifier
 from .quality_rules import op1_quality_rules
 from .secret_scan import op6_secret_scan
+from .shard_balance import op4_shard_balance
+from .token_files import op3_token_files
 
 
 def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -22,6 +24,8 @@ def llm_queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_quality_rules": op1_quality_rules,
         "op2_byte_bpe": op2_byte_bpe,
+        "op3_token_files": op3_token_files,
+        "op4_shard_balance": op4_shard_balance,
         "op6_secret_scan": op6_secret_scan,
         "op7_quality_classifier": op7_quality_classifier,
     }
