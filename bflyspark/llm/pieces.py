@@ -27,3 +27,31 @@ class Cutter:
 
     def __call__(self, text: str) -> list[str]:
         return (self.exact if BEYOND_LATIN.search(text) else self.latin)(text)
+
+
+class Memo:
+    """Values of words, the recent ones kept: two generations of bounded size, the older one dropped when the newer is full."""
+
+    def __init__(self, size: int, fill):
+        self.size, self.fill = size, fill
+        self.new: dict[str, object] = {}
+        self.old: dict[str, object] = {}
+
+    def __call__(self, words: list[str]) -> list:
+        new = self.new
+        out = list(map(new.get, words))
+        if None in out:
+            gaps = [i for i, x in enumerate(out) if x is None]
+            missing: dict[str, None] = {}
+            for i in gaps:
+                if (value := self.old.get(words[i])) is None:
+                    missing[words[i]] = None
+                else:
+                    new[words[i]] = value
+            if missing:
+                new.update(zip(missing, self.fill(list(missing)), strict=True))
+            for i in gaps:
+                out[i] = new[words[i]]
+            if len(new) > self.size:
+                self.old, self.new = new, {}
+        return out

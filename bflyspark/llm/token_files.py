@@ -19,6 +19,7 @@ from __future__ import annotations
 import struct
 import zlib
 from bisect import bisect_right
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -26,7 +27,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import per_worker, read_table, stored
-from .pieces import Cutter
+from .pieces import Cutter, Memo
 
 END_ID = 2
 BLOCK = 1024
@@ -50,20 +51,34 @@ class PieceEncoder:
         self.tokenizer.encode_special_tokens = True
         self.cut = Cutter(pattern)
         self.dtype = np.dtype("<u2" if self.tokenizer.get_vocab_size() < 1 << 16 else "<u4")
-        self.known: dict[str, bytes] = {}
+        self.mark = self.tokenizer.encode("\n", add_special_tokens=False).ids
+        self.known = Memo(PIECES_KEPT, self.fill)
+
+    def fill(self, pieces: list[str]) -> list[bytes]:
+        """Packed ids of new pieces. Lines can't grow together, so pieces without blanks at their end go in as lines."""
+        out: dict[str, bytes] = {}
+        lined = [p for p in pieces if p.strip() and "\n" not in p]
+        width = self.dtype.itemsize
+        for at in range(0, len(lined), 500):
+            part = lined[at : at + 500]
+            ids = np.array(self.tokenizer.encode_batch_fast(["\n".join(part)], add_special_tokens=False)[0].ids, self.dtype)
+            breaks = np.flatnonzero(ids == self.mark[0]) if len(self.mark) == 1 else []
+            if len(breaks) == len(part) - 1:
+                packed = ids.tobytes()
+                starts, ends = [0, *((breaks + 1) * width).tolist()], [*(breaks * width).tolist(), len(packed)]
+                out.update((p, packed[a:b]) for p, a, b in zip(part, starts, ends, strict=True))
+        rest = [p for p in pieces if p not in out]
+        out.update((p, np.array(e.ids, self.dtype).tobytes()) for p, e in zip(rest, self.tokenizer.encode_batch_fast(rest, add_special_tokens=False), strict=True))
+        return [out[p] for p in pieces]
 
     def __call__(self, texts: list[str | None], end: int) -> list[bytes]:
-        if len(self.known) > PIECES_KEPT:
-            self.known.clear()
-        known = self.known
         cut = [self.cut(t) if t else [] for t in texts]
-        new = list({x for pieces in cut for x in pieces if x not in known})
-        for at in range(0, len(new), 50_000):
-            part = new[at : at + 50_000]
-            for piece, code in zip(part, self.tokenizer.encode_batch(part, add_special_tokens=False), strict=True):
-                known[piece] = np.array(code.ids, self.dtype).tobytes()
-        tail = np.array([end], self.dtype).tobytes()
-        return [b"".join([*map(known.__getitem__, pieces), tail]) for pieces in cut]
+        codes = self.known(list(chain.from_iterable(cut)))
+        tail, at, out = np.array([end], self.dtype).tobytes(), 0, []
+        for pieces in cut:
+            out.append(b"".join(codes[at : at + len(pieces)]) + tail)
+            at += len(pieces)
+        return out
 
 
 def code_lengths(counts: np.ndarray, limit: int = CODE_LIMIT) -> np.ndarray:
@@ -199,8 +214,8 @@ def token_table(docs: DataFrame, path: str, pattern: str) -> DataFrame:
     def run(batches):
         encoder = per_worker(("token_files", path), lambda: PieceEncoder(path, pattern))
         for batch in batches:
-            for at in range(0, batch.num_rows, 2000):
-                rows = batch.slice(at, 2000)
+            for at in range(0, batch.num_rows, 256):
+                rows = batch.slice(at, 256)
                 ids = encoder(rows.column(1).to_pylist(), END_ID)
                 n = [len(x) // encoder.dtype.itemsize for x in ids]
                 yield pa.RecordBatch.from_arrays([rows.column(0).cast(pa.int64()), pa.array(n, pa.int64()), pa.array(ids, pa.binary())], ["doc_id", "n_tokens", "ids"])
