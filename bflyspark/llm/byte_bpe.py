@@ -19,9 +19,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
 from .common import per_worker, read_table
-from .pieces import Cutter
+from .pieces import Cutter, Memo
 
-CACHE = 400_000  # pieces that a worker remembers before it starts anew
+CACHE = 350_000  # pieces in a generation of the memo
 PAIRS = 800_000  # token pairs likewise
 NONE = 1 << 60
 
@@ -54,7 +54,7 @@ class Encoder:
         self.decimal = {str(rank): token for token, rank in ranks.items()}
         self.reach: dict[bytes, bool] = {}
         self.apart: dict[tuple[int, int], bool] = {}
-        self.known: dict[str, str] = {}
+        self.known = Memo(CACHE, lambda words: [",".join(map(str, self.piece(w.encode()))) for w in words])
         self.shorter: dict[int, int] = {}
         trie = ahocorasick.Automaton()
         for token, rank in ranks.items():
@@ -128,18 +128,7 @@ class Encoder:
 
     def joined(self, text: str) -> str:
         """The ids of a text in decimal, with commas between them."""
-        if len(self.known) > CACHE:
-            self.known.clear()
-        known, found = self.known, self.pieces(text)
-        out = list(map(known.get, found))
-        if None in out:
-            for i, ids in enumerate(out):
-                if ids is None:
-                    word = found[i]
-                    if word not in known:
-                        known[word] = ",".join(map(str, self.piece(word.encode())))
-                    out[i] = known[word]
-        return ",".join(out)
+        return ",".join(self.known(self.pieces(text)))
 
     def encode(self, text: str) -> list[int]:
         ids = self.joined(text)
