@@ -7,6 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from .byte_bpe import op2_byte_bpe
+from .decontaminate import op9_decontaminate
 from .license_scan import op5_license_scan
 from .quality_classifier import op7_quality_classifier
 from .quality_rules import op1_quality_rules
@@ -30,6 +31,7 @@ def llm_queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op5_license_scan": op5_license_scan,
         "op6_secret_scan": op6_secret_scan,
         "op7_quality_classifier": op7_quality_classifier,
+        "op9_decontaminate": op9_decontaminate,
     }
 
 
