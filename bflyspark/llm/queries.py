@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from .byte_bpe import op2_byte_bpe
 from .decontaminate import op9_decontaminate
+from .jaccard_join import op8_jaccard_join
 from .license_scan import op5_license_scan
 from .quality_classifier import op7_quality_classifier
 from .quality_rules import op1_quality_rules
@@ -31,6 +32,7 @@ def llm_queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op5_license_scan": op5_license_scan,
         "op6_secret_scan": op6_secret_scan,
         "op7_quality_classifier": op7_quality_classifier,
+        "op8_jaccard_join": op8_jaccard_join,
         "op9_decontaminate": op9_decontaminate,
     }
 
