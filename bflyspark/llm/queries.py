@@ -14,6 +14,7 @@ from .quality_classifier import op7_quality_classifier
 from .quality_rules import op1_quality_rules
 from .secret_scan import op6_secret_scan
 from .shard_balance import op4_shard_balance
+from .suffix_dedup import op10_suffix_dedup
 from .token_files import op3_token_files
 
 
@@ -34,6 +35,7 @@ def llm_queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op7_quality_classifier": op7_quality_classifier,
         "op8_jaccard_join": op8_jaccard_join,
         "op9_decontaminate": op9_decontaminate,
+        "op10_suffix_dedup": op10_suffix_dedup,
     }
 
 
