@@ -265,8 +265,8 @@ def write_files(docs: DataFrame, path: str, pattern: str) -> tuple[DataFrame, Co
 
     def code(batches):
         for batch in batches:
-            for at in range(0, batch.num_rows, 1000):
-                rows = batch.slice(at, 1000)
+            for at in range(0, batch.num_rows, 200):
+                rows = batch.slice(at, 200)
                 own = rows.column(0).to_pylist()
                 coded = book.encode([np.frombuffer(x, dtype) for x in rows.column(2).to_pylist()])
                 place = [0 if i is None else bisect_right(bounds, i) for i in own]
