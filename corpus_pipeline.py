@@ -1,4 +1,8 @@
-"""Corpus pipeline: quality rules, near-duplicate join, decontamination, secret redaction, encoding."""
+"""Corpus pipeline: quality rules, near-duplicate join, decontamination, secret redaction, encoding.
+
+Each stage works on all rows that the one before it kept. All but the last return the columns of
+documents; the last returns doc_id with token ids and digests.
+"""
 
 from __future__ import annotations
 
@@ -6,7 +10,9 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from bflyspark.llm import byte_bpe, quality_rules
+from bflyspark.llm import byte_bpe, decontaminate, jaccard_join, quality_rules, secret_scan
+
+VOCABULARY = "byte_bpe_multi_50k.tiktoken"
 
 
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -14,18 +20,37 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return quality_rules.keep_good(docs)
 
 
+def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document of each group of near copies stays: the one of smallest id. Five words, similarity 0.8."""
+    return jaccard_join.one_of_each(docs, words=5, num=80)
+
+
+def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that hold a passage of the benchmark go."""
+    return decontaminate.drop_contaminated(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
+
+
+def secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """All documents stay; secrets, also encoded ones, are masked in their texts."""
+    return secret_scan.redact(docs)
+
+
 def encoding(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Token ids of each document left."""
     import public_tokenizers
 
-    return byte_bpe.encode_documents(docs, public_tokenizers.path("byte_bpe_multi_50k.tiktoken"), public_tokenizers.PATTERN)
+    return byte_bpe.encode_documents(docs, public_tokenizers.path(VOCABULARY), public_tokenizers.PATTERN)
 
 
 STAGES: list[tuple[str, Callable[[SparkSession, DataFrame, str], DataFrame]]] = [
     ("quality rules", quality),
+    ("n-gram Jaccard join", near_duplicates),
+    ("benchmark decontamination", decontamination),
+    ("secret scans", secrets),
     ("byte-level BPE", encoding),
 ]
 
+#: Shingle classes, decoding worklists and merges have no SQL form; tests hold the pipeline against a plain version.
 ORACLE_SQL = None
 
 
