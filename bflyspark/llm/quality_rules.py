@@ -41,8 +41,8 @@ OUT = "doc_id long, n_words long, word_chars long, n_symbols long, n_dup_lines l
 class DivergenceLimits:
     """Above a distance (0 to 1) the text is rejected; below a length it isn't judged by that histogram."""
 
-    char_distance: float = 0.5
-    word_distance: float = 0.97
+    char_distance: float = 0.31
+    word_distance: float = 0.45
     min_chars: int = 200
     min_words: int = 80
 
