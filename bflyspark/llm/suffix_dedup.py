@@ -38,7 +38,7 @@ LENGTH = 200
 GRAM = 48
 CHUNK = 900_000  # bytes worked on at once; places in a chunk need 20 bits
 STRETCHES_PER_PART = 700_000
-STARTS_PER_PART = 1_200_000
+STARTS_PER_PART = 500_000
 BLOOM_BITS = 1 << 24
 BATCH_STARTS = 100_000
 MULTIPLIER = 0xD1342543DE82EF95
