@@ -39,7 +39,7 @@ def fixed_sql(spans: list[tuple[int, int]]) -> str:
 
 def sliding(spark: SparkSession, low: int, high: int, length: int, step: int) -> DataFrame:
     """Windows of one length whose starts are a step apart."""
-    starts = spark.range(1).select(F.explode(F.sequence(F.lit(low), F.lit(high), F.lit(step))).cast("long").alias("t_start"))
+    starts = spark.range(1).select(F.explode(F.sequence(F.lit(low).cast("long"), F.lit(high).cast("long"), F.lit(step).cast("long"))).alias("t_start"))
     return starts.select(((F.col("t_start") - low) / step).cast("long").alias("window_id"), "t_start", (F.col("t_start") + length - 1).alias("t_end"))
 
 
