@@ -13,6 +13,7 @@ ASCII_UPPER, ASCII_LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuv
 
 
 def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    bounded_batches(spark)
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
@@ -52,3 +53,10 @@ def per_worker(key, build):
     if key not in cache:
         cache[key] = build()
     return cache[key]
+
+
+def bounded_batches(spark: SparkSession, rows: int = 2000) -> None:
+    """Arrow batches of fewer rows, as long texts would make the usual ones large."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if int(spark.conf.get(key)) > rows:
+        spark.conf.set(key, rows)

@@ -11,27 +11,32 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from bflyspark.llm import byte_bpe, decontaminate, jaccard_join, quality_rules, secret_scan
+from bflyspark.llm.common import bounded_batches
 
 VOCABULARY = "byte_bpe_multi_50k.tiktoken"
 
 
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the quality rules reject go."""
+    bounded_batches(spark)
     return quality_rules.keep_good(docs)
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group of near copies stays: the one of smallest id. Five words, similarity 0.8."""
+    bounded_batches(spark)
     return jaccard_join.one_of_each(docs, words=5, num=80)
 
 
 def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that hold a passage of the benchmark go."""
+    bounded_batches(spark)
     return decontaminate.drop_contaminated(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
 
 
 def secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """All documents stay; secrets, also encoded ones, are masked in their texts."""
+    bounded_batches(spark)
     return secret_scan.redact(docs)
 
 
@@ -39,6 +44,7 @@ def encoding(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Token ids of each document left."""
     import public_tokenizers
 
+    bounded_batches(spark)
     return byte_bpe.encode_documents(docs, public_tokenizers.path(VOCABULARY), public_tokenizers.PATTERN)
 
 
