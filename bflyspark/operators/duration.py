@@ -61,7 +61,7 @@ def instance_counts(g: TemporalBipartite, windows: DataFrame, side: str = "v") -
     """window_id, butterflies: every choice of four temporal edges counts. C(c, 2) per group less C(c_y, 2) per middle."""
     end, middle = ("v", "u") if side == "v" else ("u", "v")
     inside = F.col("t").between(F.col("t_start"), F.col("t_end"))
-    e = g.edges.join(F.broadcast(windows), inside).groupBy("window_id", end, middle).agg(F.count("*").alias("k"))
+    e = g.edges.distinct().join(F.broadcast(windows), inside).groupBy("window_id", end, middle).agg(F.count("*").alias("k"))
     a = e.select("window_id", F.col(end).alias("x"), F.col(middle).alias("y"), F.col("k").alias("k1"))
     b = e.select("window_id", F.col(end).alias("z"), F.col(middle).alias("y"), F.col("k").alias("k2"))
     c = a.join(b, ["window_id", "y"]).where("x < z").select("window_id", "x", "z", (F.col("k1") * F.col("k2")).alias("c"))

@@ -251,7 +251,7 @@ SELECT round(sum(CAST(a.butterflies AS DOUBLE) * b.butterflies) / sqrt(sum(CAST(
 
 def instance_sql(edges: str, wins: str) -> str:
     return f"""
-WITH e AS ({edges}), w AS ({wins}),
+WITH e AS (SELECT DISTINCT * FROM ({edges})), w AS ({wins}),
 k AS (SELECT w.window_id, e.u, e.v, count(*) AS k FROM e JOIN w ON e.t BETWEEN w.t_start AND w.t_end GROUP BY 1, 2, 3),
 c AS (SELECT a.window_id, a.v AS x, b.v AS z, a.k * b.k AS c FROM k a JOIN k b ON a.window_id = b.window_id AND a.u = b.u AND a.v < b.v),
 g AS (SELECT window_id, x, z, sum(c) AS n, sum(c * (c - 1) // 2) AS same FROM c GROUP BY 1, 2, 3),

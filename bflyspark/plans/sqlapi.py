@@ -1,7 +1,7 @@
 """SQL names: views of a graph and window functions over them."""
 
-from __future__ import annotations
-
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -67,9 +67,6 @@ def register_functions(spark: SparkSession) -> None:
 
 def packed_udf(windows: DataFrame):
     """A vectorised function: arrays of l, r, w of a group -> array of counts, one per window in order of id."""
-    import numpy as np
-    import pandas as pd
-
     rows = sorted((r.window_id, r.t_start, r.t_end) for r in windows.collect())  # a batch of windows
     start, end = np.array([r[1] for r in rows]), np.array([r[2] for r in rows])
 

@@ -10,12 +10,14 @@ from pyspark.sql import functions as F
 
 from ..operators.baselines import recount
 from ..sources.graph import TemporalBipartite
+from ..sources.scratch import scratch
 
 
 def event_edges(spark: SparkSession, path: str, files_per_trigger: int = 1) -> DataFrame:
-    """u, v, ts of a growing folder of event files (or one file's folder); the schema is read once."""
+    """u, v, ts of a growing folder of event files; the schema is read once. A path that is one file works too: as a pattern."""
     schema = spark.read.parquet(path).schema
-    events = spark.readStream.schema(schema).option("maxFilesPerTrigger", files_per_trigger).parquet(path)
+    pattern = f"{path[:-1]}[{path[-1]}]"
+    events = spark.readStream.schema(schema).option("maxFilesPerTrigger", files_per_trigger).parquet(pattern)
     return events.select(F.col("user_id").alias("u"), F.get_json_object("props", "$.k").cast("long").alias("v"), F.col("ts").cast("timestamp").alias("ts"), "event_type")
 
 
@@ -83,7 +85,8 @@ def paired(a: DataFrame, b: DataFrame, within: str = "1 hour", delay: str = "1 d
 def run_to_table(stream: DataFrame, name: str, mode: str = "append") -> DataFrame:
     """Take in what is there and stop; the result as a table in memory (tests, reports)."""
     spark = stream.sparkSession
-    query = stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start()
+    writer = stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", scratch(spark, "stream"))
+    query = writer.trigger(availableNow=True).start()
     query.awaitTermination()
     return spark.table(name)
 
