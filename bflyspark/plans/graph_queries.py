@@ -393,6 +393,15 @@ def registry() -> dict[str, tuple[Query, str | None]]:
     )
     q["compact_time_g5"] = ((lambda s, d: graph.compact_time(catalog.load(s, d, "g5"))[0].edges.groupBy("t").agg(F.count("*").alias("edges"))), f"SELECT rank AS t, count(*) AS edges FROM (SELECT dense_rank() OVER (ORDER BY t) AS rank FROM ({day_edges('g5')})) GROUP BY 1")
     q["grain_month_g4"] = ((lambda s, d: baselines.recount(graph.grain(catalog.load(s, d, "g4"), 30), windows.fixed(s, [(0, 10), (5, 40)]))), counts_sql(f"SELECT u, v, t // 30 AS t FROM ({day_edges('g4')})", windows.fixed_sql([(0, 10), (5, 40)]), "u"))
+    q["projection_g5"] = ((lambda s, d: graph.project(catalog.load(s, d, "g5"), windows.fixed(s, DAYS[:3]))), f"SELECT DISTINCT w.window_id, u, v FROM ({day_edges('g5')}) e JOIN ({windows.fixed_sql(DAYS[:3])}) w ON t BETWEEN t_start AND t_end")
+    q["unique_degrees_g4"] = ((lambda s, d: graph.unique_degrees(catalog.load(s, d, "g4").pairs)), f"SELECT CAST(0 AS INTEGER) AS side, u AS id, count(DISTINCT v) AS deg FROM ({day_edges('g4')}) GROUP BY u UNION ALL SELECT 1, v, count(DISTINCT u) FROM ({day_edges('g4')}) GROUP BY v")
+    q["butterfly_rows_g5"] = (
+        (lambda s, d: indexes.butterflies(with_stairs(priority_wedges(catalog.load(s, d, "g5")))).select("side", "x", "z", "y", "w", F.col("stairs")[0]["l"].alias("l"), F.col("stairs")[0]["r"].alias("r"))),
+        f"WITH {arcs_sql(day_edges('g5'), True)} SELECT CAST(a.side AS INTEGER) AS side, a.x, a.z, a.y, c.y AS w, least(a.l, c.l) AS l, greatest(a.r, c.r) AS r FROM g a JOIN g c ON a.side = c.side AND a.x = c.x AND a.z = c.z AND a.y < c.y",
+    )
+    q["duration_per_window_g2"] = ((lambda s, d: baselines.duration_per_window(catalog.load(s, d, "g2"), windows.fixed(s, DAYS))), f"WITH {timed_sql(day_edges('g2'))}, w AS ({windows.fixed_sql(DAYS)}) SELECT w.window_id, w.t_start, w.t_end, CAST(count(f.l) AS BIGINT) AS butterflies FROM w LEFT JOIN f ON f.l >= w.t_start AND f.r <= w.t_end GROUP BY ALL")
+    q["index_sizes_g4"] = plain(lambda s, d: measures.index_size(indexes.build_hybrid(catalog.load(s, d, "g4"), alpha=0.5)))
+    q["exact_against_estimate_g4"] = plain(lambda s, d: measures.relative_error(indexes.query_sampled(indexes.build_sampled(catalog.load(s, d, "g4"), 1.0, 0.1), windows.fixed(s, DAYS)), baselines.recount(catalog.load(s, d, "g4"), windows.fixed(s, DAYS))))
     q["power_law_double"] = plain(generated())
     q["power_law_single"] = plain(generated(gamma_v=0.0))
     q["power_law_exact"] = plain(generated(exact=True))
