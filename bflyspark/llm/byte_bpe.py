@@ -21,8 +21,8 @@ from pyspark.sql import DataFrame, SparkSession
 from .common import per_worker, read_table
 from .pieces import Cutter, Memo
 
-CACHE = 350_000  # pieces in a generation of the memo
-PAIRS = 800_000  # token pairs likewise
+CACHE = 220_000  # pieces in a generation of the memo
+PAIRS = 400_000  # token pairs likewise
 NONE = 1 << 60
 
 
@@ -53,7 +53,7 @@ class Encoder:
         self.bytes_of = {rank: token for token, rank in ranks.items()}
         self.decimal = {str(rank): token for token, rank in ranks.items()}
         self.reach: dict[bytes, bool] = {}
-        self.apart: dict[tuple[int, int], bool] = {}
+        self.apart: dict[int, bool] = {}
         self.known = Memo(CACHE, lambda words: [",".join(map(str, self.piece(w.encode()))) for w in words])
         self.shorter: dict[int, int] = {}
         trie = ahocorasick.Automaton()
@@ -79,7 +79,7 @@ class Encoder:
         return self.reach[name]
 
     def fits(self, left: int, right: int) -> bool:
-        key = (left, right)
+        key = left << 32 | right
         if key not in self.apart:
             if len(self.apart) > PAIRS:
                 self.apart.clear()

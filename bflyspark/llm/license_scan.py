@@ -13,7 +13,6 @@ on their own: repeats, ties and null ids need no care, extra columns are left al
 
 from __future__ import annotations
 
-import re
 from functools import reduce
 from itertools import product
 

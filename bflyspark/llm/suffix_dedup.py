@@ -27,6 +27,7 @@ from itertools import pairwise
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -200,10 +201,10 @@ def match_pass(rows: DataFrame, parts: int) -> DataFrame:
     def run(batches):
         entries, keys, own_part = [], [], []
         for batch in batches:
-            plain = batch.filter(pa.compute.is_null(batch.column(4)))
+            plain = batch.filter(pc.is_null(batch.column(4)))
             if plain.num_rows:
                 yield pa.RecordBatch.from_arrays([*plain.columns[1:4], *(pa.nulls(plain.num_rows, pa.int64()) for _ in range(2))], names)
-            packed = batch.filter(pa.compute.is_valid(batch.column(4)))
+            packed = batch.filter(pc.is_valid(batch.column(4)))
             for part, data in zip(packed.column(0).to_pylist(), packed.column(4).to_pylist(), strict=True):
                 n = int(np.frombuffer(data, "<i8", 1)[0])
                 own = np.frombuffer(data, ENTRY, offset=8 + 8 * n)
