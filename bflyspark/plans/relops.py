@@ -155,6 +155,10 @@ def bucketed_join(spark, sf_dir):
     return a.alias("a").join(a.alias("b"), "v").where("a.u < b.u").groupBy("v").agg(F.count("*").alias("wedges"))
 
 
+def by_u():
+    return Window.partitionBy("u").orderBy("t", "v")
+
+
 def registry() -> dict[str, tuple[Query, str | None]]:
     q: dict[str, tuple[Query, str | None]] = {}
     counts4 = f"WITH e AS ({G4}), w AS ({W2_SQL}), p AS (SELECT DISTINCT w.window_id, u, v FROM e JOIN w ON t BETWEEN t_start AND t_end), c AS (SELECT a.window_id, count(*) AS c FROM p a JOIN p b ON a.window_id = b.window_id AND a.v = b.v AND a.u < b.u GROUP BY a.window_id, a.u, b.u) SELECT w.window_id, w.t_start, w.t_end, CAST(coalesce(sum(c * (c - 1) // 2), 0) AS BIGINT) AS butterflies FROM w LEFT JOIN c ON w.window_id = c.window_id GROUP BY ALL"
@@ -230,14 +234,13 @@ def registry() -> dict[str, tuple[Query, str | None]]:
     q["rel_a12_spread"] = (lambda s, d: per_day(g4(s, d)).agg(F.round(F.avg("edges"), 6).alias("mean"), F.round(F.stddev_samp("edges"), 6).alias("sd"))), f"SELECT round(avg(edges), 6) AS mean, round(stddev_samp(edges), 6) AS sd FROM ({PER_DAY.format(G4)})"
     q["rel_a13_bitmaps"] = (lambda s, d: g4(s, d).where("u < 60").groupBy("v").agg(F.bit_or(F.expr("shiftleft(1L, cast(u as int))")).alias("m")).select("v", F.bit_count("m").alias("n"))), f"SELECT v, CAST(count(DISTINCT u) AS INTEGER) AS n FROM ({G4}) WHERE u < 60 GROUP BY v"
     # window functions
-    by_u = Window.partitionBy("u").orderBy("t", "v")
     over = "OVER (PARTITION BY u ORDER BY t, v)"
-    q["rel_n1_lead_lag"] = (lambda s, d: g4(s, d).select("u", "v", "t", F.lead("t").over(by_u).alias("next_t"), F.lag("t").over(by_u).alias("last_t"))), f"SELECT u, v, t, lead(t) {over} AS next_t, lag(t) {over} AS last_t FROM ({G4})"
+    q["rel_n1_lead_lag"] = (lambda s, d: g4(s, d).select("u", "v", "t", F.lead("t").over(by_u()).alias("next_t"), F.lag("t").over(by_u()).alias("last_t"))), f"SELECT u, v, t, lead(t) {over} AS next_t, lag(t) {over} AS last_t FROM ({G4})"
     q["rel_n2_running_min"] = (lambda s, d: g4(s, d).select("u", "v", "t", F.min("v").over(Window.partitionBy("u").orderBy(F.desc("t"), "v").rowsBetween(Window.unboundedPreceding, -1)).alias("least"))), f"SELECT u, v, t, min(v) OVER (PARTITION BY u ORDER BY t DESC, v ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS least FROM ({G4})"
     q["rel_n3_running_sum"] = (lambda s, d: g4(s, d).groupBy("v").agg(F.count("*").alias("size")).groupBy("size").agg(F.count("*").alias("n")).select("size", F.sum("n").over(Window.orderBy("size")).alias("upto"))), f"SELECT size, CAST(sum(n) OVER (ORDER BY size) AS BIGINT) AS upto FROM (SELECT size, count(*) AS n FROM (SELECT v, count(*) AS size FROM ({G4}) GROUP BY v) GROUP BY size)"
     q["rel_n5_ranks"] = (lambda s, d: g4(s, d).groupBy("u").agg(F.count("*").alias("n")).select("u", F.rank().over(Window.orderBy(F.desc("n"))).alias("r"), F.dense_rank().over(Window.orderBy(F.desc("n"))).alias("dr"), F.ntile(4).over(Window.orderBy(F.desc("n"), "u")).alias("q"))), f"SELECT u, CAST(rank() OVER (ORDER BY n DESC) AS INTEGER) AS r, CAST(dense_rank() OVER (ORDER BY n DESC) AS INTEGER) AS dr, CAST(ntile(4) OVER (ORDER BY n DESC, u) AS INTEGER) AS q FROM (SELECT u, count(*) AS n FROM ({G4}) GROUP BY u)"
     q["rel_n8_range_frame"] = (lambda s, d: g4(s, d).select("u", "v", "t", F.count("*").over(Window.partitionBy("u").orderBy("t").rangeBetween(-30, 0)).alias("recent"))), f"SELECT u, v, t, count(*) OVER (PARTITION BY u ORDER BY t RANGE BETWEEN 30 PRECEDING AND CURRENT ROW) AS recent FROM ({G4})"
-    q["rel_n9_nth"] = (lambda s, d: g4(s, d).select("u", "v", F.first("t").over(by_u).alias("first_t"), F.nth_value("t", 2).over(by_u).alias("second_t"))), f"SELECT u, v, first_value(t) {over} AS first_t, nth_value(t, 2) {over} AS second_t FROM ({G4})"
+    q["rel_n9_nth"] = (lambda s, d: g4(s, d).select("u", "v", F.first("t").over(by_u()).alias("first_t"), F.nth_value("t", 2).over(by_u()).alias("second_t"))), f"SELECT u, v, first_value(t) {over} AS first_t, nth_value(t, 2) {over} AS second_t FROM ({G4})"
     # order and limits
     degs = f"SELECT u, count(*) AS n FROM ({G4}) GROUP BY u"
     q["rel_t2_top_k"] = (lambda s, d: g4(s, d).groupBy("u").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "u").limit(10)), f"{degs} ORDER BY n DESC, u LIMIT 10"
