@@ -32,8 +32,8 @@ def prioritised(pairs: DataFrame, *by: str) -> DataFrame:
 
 
 def _before(d1: Column, s1: Column, i1: Column, d2: Column, s2: Column, i2: Column) -> Column:
-    """Larger degree first, then side, then id, as one flat comparison."""
-    return (d1 > d2) | ((d1 == d2) & ((s1 < s2) | ((s1 == s2) & (i1 < i2))))
+    """Larger degree first, then the right side, then the smaller id, as one flat comparison."""
+    return (d1 > d2) | ((d1 == d2) & ((s1 > s2) | ((s1 == s2) & (i1 < i2))))
 
 
 def priority_wedges(g: TemporalBipartite | None = None, pairs: DataFrame | None = None, by: tuple[str, ...] = (), with_times: bool = True) -> DataFrame:

@@ -45,7 +45,7 @@ e AS ({edges}), p AS (SELECT DISTINCT u, v{t} FROM e), q AS (SELECT DISTINCT u,
 du AS (SELECT u, count(*) AS d FROM q GROUP BY u), dv AS (SELECT v, count(*) AS d FROM q GROUP BY v),
 arcs AS (SELECT 0 AS side, p.u AS a, p.v AS b, du.d AS da, dv.d AS db{t} FROM p JOIN du ON p.u = du.u JOIN dv ON p.v = dv.v
  UNION ALL SELECT 1, p.v, p.u, dv.d, du.d{t} FROM p JOIN du ON p.u = du.u JOIN dv ON p.v = dv.v),
-heads AS (SELECT * FROM arcs WHERE da > db OR (da = db AND (side < 1 - side OR (side = 1 - side AND a < b)))),
+heads AS (SELECT * FROM arcs WHERE da > db OR (da = db AND (side > 1 - side OR (side = 1 - side AND a < b)))),
 g AS (SELECT h.side, h.a AS x, k.a AS z, h.b AS y{lr} FROM heads h JOIN arcs k ON h.side = k.side AND h.b = k.b WHERE h.da > k.da OR (h.da = k.da AND h.a < k.a))"""
 
 

@@ -66,8 +66,8 @@ def unique_degrees(pairs: DataFrame, *by: str) -> DataFrame:
 
 
 def priority_key(deg: Column, side: Column, id_: Column) -> Column:
-    """Smaller is more important: larger degree first, then side, then id. Compared, never sorted."""
-    return F.struct((-deg).alias("d"), side.cast("int").alias("s"), id_.alias("i"))
+    """Smaller is more important: larger degree first, then the right side, then the smaller id. Compared, never sorted."""
+    return F.struct((-deg).alias("d"), (-side.cast("int")).alias("s"), id_.alias("i"))
 
 
 def census(g: TemporalBipartite, dmin: int = 1) -> DataFrame:
