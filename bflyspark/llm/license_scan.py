@@ -1,7 +1,8 @@
 """License scan by ordered signature rules, in DataFrame functions alone.
 
-A rule is a keyword (a word or phrase), a regular expression over the text's words (joined by single blanks), a label, a
-priority and a confidence. Only rules whose keyword stands in the text are tried. Detections are word
+A rule is a keyword (a word or phrase between blanks, or the start of one after a blank), a regular expression over the text's
+words (joined by single blanks), a label, a priority and a confidence. Only rules whose keyword stands in the text are tried, so
+every match of a rule holds its keyword. Detections are word
 intervals. They are sorted by start, longest first, then priority; one that lies inside an earlier one
 is suppressed, so a specific rule hides the general one that matches a part of the same words.
 
@@ -56,7 +57,8 @@ SIGNATURES = [
     ("isc", r"isc licen[sc]e", "isc", 0.9),
     ("bsd", r"redistribution and use in source and binary forms", "redistribution", 0.98),
     ("bsd-3-clause", r"(?:bsd 3 clause|3 clause bsd|new bsd licen[sc]e|modified bsd licen[sc]e)", "bsd", 0.92),
-    ("bsd-2-clause", r"(?:bsd 2 clause|2 clause bsd|simplified bsd licen[sc]e|freebsd licen[sc]e)", "bsd", 0.92),
+    ("bsd-2-clause", r"(?:bsd 2 clause|2 clause bsd|simplified bsd licen[sc]e)", "bsd", 0.92),
+    ("bsd-2-clause", r"freebsd licen[sc]e", "freebsd", 0.92),
     ("bsd", r"bsd(?: style)? licen[sc]e", "bsd", 0.8),
     ("zlib", r"altered source versions must be plainly marked as such", "altered", 0.97),
     ("zlib", r"zlib licen[sc]e", "zlib", 0.9),
@@ -66,7 +68,8 @@ SIGNATURES = [
     ("public-domain", r"public domain", "domain", 0.6),
     ("psf", r"python software foundation licen[sc]e", "python", 0.92),
     ("proprietary", r"(?:confidential and proprietary|proprietary and confidential)", "proprietary", 0.85),
-    ("proprietary", r"unauthori[sz]ed (?:copying|reproduction|distribution)", "copying", 0.8),
+    ("proprietary", r"unauthorized (?:copying|reproduction|distribution)", "unauthorized", 0.8),
+    ("proprietary", r"unauthorised (?:copying|reproduction|distribution)", "unauthorised", 0.8),
     ("reserved", r"all rights reserved", "reserved", 0.7),
     ("copyright", r"copyright (?:c )?(?:1[89][0-9]{2}|20[0-9]{2})", "copyright", 0.5),
     ("reserved", r"alle rechte vorbehalten", "vorbehalten", 0.7),
@@ -82,16 +85,16 @@ PHRASINGS = [
 
 def rules() -> list[tuple[str, str, str, int, float]]:
     """(keyword, expression, label, priority, confidence); hundreds, in order of priority."""
-    out = [(word, rf"(?<![^ ])(?:{rx})(?![^ ])", label, 5, conf) for label, rx, word, conf in SIGNATURES]
+    out = [(f" {word} ", rf"(?<![^ ])(?:{rx})(?![^ ])", label, 5, conf) for label, rx, word, conf in SIGNATURES]
     for label, names, versions in FAMILIES:
         keys = sorted({" ".join(w for w in n.split() if w not in ("license", "licence")) for n in names})
         for key in keys:
             own = "(?:" + "|".join(n for n in names if f" {key} " in f" {n} ") + ")"
             for phrase, conf, rank in PHRASINGS:
-                out.append((key, rf"(?<![^ ])(?:{phrase.format(name=own)})(?![^ ])", label, rank, round(conf - 0.1, 2)))
+                out.append((f" {key}", rf"(?<![^ ])(?:{phrase.format(name=own)}(?:v?[0-9])?)(?![^ ])", label, rank, round(conf - 0.1, 2)))
             for (phrase, conf, rank), version in product(PHRASINGS, versions):
-                tail = f"(?: version| v)? v?{version}(?: or (?:any )?later(?: version)?)?"
-                out.append((key, rf"(?<![^ ])(?:{phrase.format(name=own)}{tail})(?![^ ])", f"{label}-{version.replace(' ', '.')}", rank + 1, conf))
+                tail = f"(?:(?: version| ?v)? )?v?{version}(?: or (?:any )?later(?: version)?)?"
+                out.append((f" {key}", rf"(?<![^ ])(?:{phrase.format(name=own)}{tail})(?![^ ])", f"{label}-{version.replace(' ', '.')}", rank + 1, conf))
     return sorted(set(out), key=lambda r: (-r[3], -r[4], r[2], r[1]))
 
 
@@ -129,7 +132,7 @@ def scan(docs: DataFrame) -> DataFrame:
     rule_array = F.expr("array(" + ", ".join(f"named_struct('keyword', {quoted(k)}, 'rx', {quoted(x)}, 'label', {quoted(n)}, 'priority', {p}, 'confidence', {c}D)" for k, x, n, p, c in table) + ")")
     joined = F.col("joined")
     padded = F.concat(F.lit(" "), joined, F.lit(" "))
-    present = F.filter(F.array(*map(F.lit, keywords)), lambda k: F.contains(padded, F.concat(F.lit(" "), k, F.lit(" "))))
+    present = F.filter(F.array(*map(F.lit, keywords)), lambda k: F.contains(padded, k))
     # One step per column, so that nothing is worked out twice.
     step = base.withColumn("present", F.when(joined.isNotNull(), present))
     step = step.withColumn("tried", F.when(F.size("present") > 0, F.filter(rule_array, lambda r: F.array_contains(F.col("present"), r["keyword"]))))

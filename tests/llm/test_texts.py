@@ -186,6 +186,37 @@ def test_license_base_and_rules(spark, tiny, odd, none):
     assert "Python" not in plan and "Arrow" not in plan and len(license_scan.rules()) > 300
 
 
+def samples(tree):
+    """Strings of a parsed expression in which each of its alternatives occurs at least once."""
+    out = [""]
+    for op, arg in tree:
+        name = str(op)
+        if name == "LITERAL":
+            part = [chr(arg)]
+        elif name == "IN":
+            part = [chr(v if str(k) == "LITERAL" else v[0]) for k, v in arg]
+        elif name == "BRANCH":
+            part = [x for branch in arg[1] for x in samples(branch)]
+        elif name == "SUBPATTERN":
+            part = samples(arg[3])
+        elif name == "MAX_REPEAT":
+            part = [x * n for n in {arg[0], arg[1]} for x in samples(arg[2])]
+        else:
+            assert name == "ASSERT_NOT"
+            continue
+        out = [out[i % len(out)] + part[i % len(part)] for i in range(len(out) * len(part) if len(out) * len(part) < 200 else max(len(out), len(part)))]
+    return out
+
+
+def test_license_alternatives_pass_their_gate(spark):
+    for keyword, rx, *_ in license_scan.rules():
+        for text in samples(re._parser.parse(rx)):
+            assert re.fullmatch(rx, text) and keyword in f" {text} ", (keyword, text)
+    texts = {"unauthorized reproduction": "proprietary", "Unauthorised distribution": "proprietary", "unauthorised copying": "proprietary", "FreeBSD License": "bsd-2-clause", "GPLv2": "gpl-2", "under LGPLv2.1+": "lgpl-2.1", "LGPLv3": "lgpl-3", "GPL3": "gpl-3", "AGPLv1": "agpl", "Oslo, gplvx": ""}
+    df = spark.createDataFrame([(i, t) for i, t in enumerate(texts)], "doc_id long, text string")
+    assert [r.labels for r in license_scan.scan(df).orderBy("doc_id").collect()] == list(texts.values())
+
+
 # 6
 
 
