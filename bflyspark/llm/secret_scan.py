@@ -1,32 +1,38 @@
 """Secret scan with a recursive decoding worklist.
 
 Plain matches come first. Then layers are unwrapped: percent-encoding, backslash-u and backslash-x
-escapes, base64 runs, and gzip, zlib, bzip2 or zstandard data inside those. Every new layer goes on a
+escapes, base64 runs and gzip, zlib, bzip2 or zstandard data inside those. Every new layer goes on a
 worklist and is scanned again until nothing new appears; a digest of each layer stops cycles. Each
 character of a layer knows the span of the original text that it came from, so a match inside a layer
 is reported in places of the original text.
 
 Defined results: null text counts as empty. Rows are scanned on their own: repeats, ties and null ids
-need no care, extra columns are left alone. Decompression of one layer stops at LAYER_BYTES, a guard
-against bombs; what came before that point is still scanned.
+need no care, extra columns are left alone. Compressed data is unpacked to its end, through all members
+and levels, as a stream over a temporary file, and scanned in windows; there is no guard against bombs.
+Bytes that belong to no character are left out, the rest of their run is decoded.
 """
 
 from __future__ import annotations
 
 import base64
-import binascii
 import bz2
+import codecs
 import hashlib
+import io
 import re
+import tempfile
 import zlib
+from collections.abc import Iterable, Iterator
 from dataclasses import dataclass
+from typing import BinaryIO
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
 from .common import read_table
 
-LAYER_BYTES = 32 << 20
+# Bytes of a step, and characters of compressed data that are scanned at once.
+PIECE, WINDOW = 64 << 10, 256 << 10
 KINDS = ("assign", "access", "hex")
 ASSIGN = re.compile(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.I | re.A)
 ACCESS = re.compile(r"AKIA[A-Z0-9]+")
@@ -37,6 +43,11 @@ PERCENT = re.compile(r"(?:%[0-9A-Fa-f]{2})+")
 ESCAPE = re.compile(r"(?:\\u[0-9A-Fa-f]{4}|\\U[0-9A-Fa-f]{8}|\\x[0-9A-Fa-f]{2})+")
 ESCAPED = re.compile(r"\\u([0-9A-Fa-f]{4})|\\U([0-9A-Fa-f]{8})|\\x([0-9A-Fa-f]{2})")
 BASE64 = re.compile(r"[A-Za-z0-9+/_-]{16,}={0,2}")
+# Decoded bytes without one of these show no match and no further layer.
+WORTH = re.compile(rb"(?i:passw|secret|token|api)|AKIA|[0-9a-f]{24}|%[0-9A-Fa-f]{2}|\\[uUx]|[A-Za-z0-9+/_-](?:(?:\r?\n)?[A-Za-z0-9+/_-]){15}")
+# No pattern goes over a break: a character of none, the blank between two words, an empty line.
+BREAK = re.compile(r"""(?<=[^A-Za-z0-9+/_.="':\x20%\\\r\n-])|(?<=[A-Za-z0-9])(?=\x20[A-Za-z0-9])|(?<=\n)(?=\n)""")
+MAGIC = re.compile(rb"\x1f\x8b\x08|BZh[1-9]1AY&SY|\x28\xb5\x2f\xfd")
 
 
 @dataclass
@@ -76,6 +87,17 @@ def unescaped(run: str) -> list[tuple[str, int, int]] | None:
     return out
 
 
+def spelled(data: bytes) -> list[tuple[str | None, int, int]]:
+    """(character, first byte, end) of UTF-8; None for each byte that belongs to no character."""
+    out: list[tuple[str | None, int, int]] = []
+    at = 0
+    for c in data.decode("utf-8", "surrogateescape"):
+        n = 1 if "\udc80" <= c <= "\udcff" else len(c.encode())
+        out.append((None if "\udc80" <= c <= "\udcff" else c, at, at + n))
+        at += n
+    return out
+
+
 def unquoted(run: str) -> list[tuple[str, int, int]] | None:
     """(character, start, end) for each decoded character of a run of percent triples."""
     try:
@@ -117,88 +139,197 @@ def substituted(layer: Layer, pattern: re.Pattern, decode) -> Layer | None:
     return Layer("".join(parts), starts, ends)
 
 
-def decompressed(data: bytes) -> bytes | None:
-    try:
-        if data[:2] == b"\x1f\x8b":
-            return zlib.decompressobj(31).decompress(data, LAYER_BYTES)
-        if data[:1] == b"\x78" and len(data) > 2 and (data[0] * 256 + data[1]) % 31 == 0:
-            return zlib.decompressobj().decompress(data, LAYER_BYTES)
-        if data[:3] == b"BZh":
-            return bz2.BZ2Decompressor().decompress(data, LAYER_BYTES)
-        if data[:4] == b"\x28\xb5\x2f\xfd":
-            import zstandard
-
-            return zstandard.ZstdDecompressor().decompressobj().decompress(data)[:LAYER_BYTES]
-    except (zlib.error, OSError, ValueError, EOFError):
-        return None
-    except Exception as error:  # zstandard has an error class of its own
-        if type(error).__name__ == "ZstdError":
-            return None
-        raise
+def codec_of(head: bytes):
+    """A decompressor for data that begins so, or None."""
+    if head[:2] == b"\x1f\x8b":
+        return zlib.decompressobj(31)
+    if head[:1] == b"\x78" and len(head) > 2 and (head[0] * 256 + head[1]) % 31 == 0:
+        return zlib.decompressobj()
+    if head[:3] == b"BZh":
+        return bz2.BZ2Decompressor()
+    if head[:4] == b"\x28\xb5\x2f\xfd":
+        import zstandard
+
+        return zstandard.ZstdDecompressor().decompressobj()
     return None
 
 
-def readable(data: bytes) -> str | None:
-    """The data as text, if it is text: UTF-8 with hardly any control characters."""
-    try:
-        text = data.decode()
-    except UnicodeDecodeError:
-        return None
-    if text.isprintable():
-        return text
-    odd = sum(not (c.isprintable() or c in "\n\r\t") for c in text)
-    return text if 20 * odd <= len(text) else None
+def expanded(codec, data: bytes) -> Iterator[tuple[bytes, bytes]]:
+    """Pieces of bounded size that the decompressor makes of the data, each with the input that lies behind the member's end."""
+    if isinstance(codec, type(zlib.decompressobj())):
+        while True:
+            out = codec.decompress(data, PIECE)
+            yield out, codec.unused_data
+            data = codec.unconsumed_tail
+            if codec.eof or (not data and len(out) < PIECE):
+                return
+    elif isinstance(codec, bz2.BZ2Decompressor):
+        yield codec.decompress(data, PIECE), codec.unused_data
+        while not codec.eof and not codec.needs_input:
+            yield codec.decompress(b"", PIECE), codec.unused_data
+    else:  # a step of zstandard has no bound of its own; 64 bytes hold few blocks of 128 kB
+        for k in range(0, len(data), 64):
+            out = codec.decompress(data[k : k + 64])
+            yield out, codec.unused_data + data[k + 64 :] if codec.eof else b""
+            if codec.eof:
+                return
+
+
+def faulty_data(error: Exception) -> bool:
+    """Whether a decompressor complains of its data. Errors of files have a number; zstandard has an error class of its own."""
+    return isinstance(error, zlib.error | ValueError | EOFError) or (isinstance(error, OSError) and error.errno is None) or type(error).__name__ == "ZstdError"
+
+
+def unpacked(source: BinaryIO, target: BinaryIO) -> tuple[list[int], int]:
+    """Write all members at the head of the source to the target: where each begins there, and the bytes read for them.
+
+    What is broken ends the last member; what came before that point is kept.
+    """
+    begun, read, data = [], 0, b""
+    while True:
+        if len(data) < 8:
+            data += source.read(PIECE)
+        if (codec := codec_of(data)) is None:
+            return begun, read
+        start, used = target.tell(), 0
+        try:
+            while data:
+                for out, rest in expanded(codec, data):
+                    target.write(out)
+                used += len(data) - len(rest)
+                data = rest
+                if codec.eof:
+                    break
+                data = source.read(PIECE)
+        except Exception as error:
+            if not faulty_data(error):
+                raise
+        if target.tell() > start:
+            begun.append(start)
+            read += used
+        if not codec.eof:
+            return begun, read
+
+
+def windows(source: BinaryIO) -> Iterator[str]:
+    """The text of a stream in windows, cut where no pattern can run on; bytes that are no UTF-8 become U+FFFD."""
+    decoder = codecs.getincrementaldecoder("utf-8")("replace")
+    held, least = "", WINDOW
+    while data := source.read(PIECE):
+        held += decoder.decode(data)
+        if len(held) < least:
+            continue
+        cut = next((k for k in range(len(held) - 1, 0, -1) if BREAK.match(held, k)), 0) if BREAK.search(held, 1) else 0
+        if cut:
+            yield held[:cut]
+        held, least = held[cut:], WINDOW if cut else 2 * len(held)
+    yield held + decoder.decode(b"", True)
+
+
+def streams(data: bytes) -> tuple[list[BinaryIO], int]:
+    """What data compressed at its head holds, and all that is compressed in that again, as streams; the bytes it takes."""
+    out: list[BinaryIO] = []
+    seen: set[bytes] = set()
+    taken = None
+    work: list[tuple[BinaryIO, list[int]]] = [(io.BytesIO(data), [0])]
+    while work:
+        source, places = work.pop()
+        source.seek(places[0])
+        target = tempfile.SpooledTemporaryFile(WINDOW)
+        begun, read = unpacked(source, target)
+        taken = read if taken is None else taken
+        if later := [k for k in places[1:] if k >= places[0] + read]:
+            work.append((source, later))
+        target.seek(0)
+        key = hashlib.md5()
+        while piece := target.read(PIECE):
+            key.update(piece)
+        if not begun or key.digest() in seen:
+            target.close()
+            continue
+        seen.add(key.digest())
+        out.append(target)
+        heads = []
+        for k in begun:
+            target.seek(k)
+            if codec_of(target.read(8)) is not None:
+                heads.append(k)
+        if heads:
+            work.append((target, heads))
+    return out, taken
+
+
+def opened(found: list[BinaryIO], start: int, end: int) -> Iterator[Layer]:
+    """The streams as layers; any part of compressed data may stand behind a character."""
+    for stream in found:
+        with stream:
+            stream.seek(0)
+            for text in windows(stream):
+                yield Layer(text, [start] * len(text), [end] * len(text))
+
+
+def from_base64(layer: Layer, m: re.Match) -> Iterator[Layer]:
+    """Layers behind a base64 run. A run over several lines may begin or end with words that don't belong to it: all four phases are read."""
+    body = m[0].rstrip("=")
+    at = [m.start() + k for k, c in enumerate(body) if c not in "\r\n"]
+    joined = "".join(c for c in body if c not in "\r\n")
+    wrapped = len(joined) < len(body)
+    for phase in range(4 if wrapped else 1):
+        n = len(joined) - phase
+        n -= n % 4 == 1
+        if n < 2:
+            continue
+        data = base64.b64decode(joined[phase : phase + n].replace("-", "+").replace("_", "/") + "=" * (-n % 4))
+        first = lambda i, phase=phase: at[phase + i * 8 // 6]
+        last = lambda i, phase=phase, size=len(data): m.end() if i >= size else at[phase + (i * 8 - 1) // 6] + 1
+        heads = [(k - phase + 3) // 4 * 3 for k in range(phase, len(joined)) if (k - phase) % 4 == 0 and (k == 0 or at[k] > at[k - 1] + 1)] if wrapped else []
+        upto, rest = 0, bytearray(data)
+        for head in sorted({0, *heads, *(x.start() for x in MAGIC.finditer(data))}):
+            if head < upto or codec_of(data[head : head + 8]) is None:
+                continue
+            found, taken = streams(data[head:])
+            if found:
+                upto = head + taken
+                rest[head:upto] = b"\xff" * taken
+                yield from opened(found, layer.starts[first(head)], layer.ends[last(upto) - 1])
+        if not WORTH.search(rest):
+            continue
+        units = spelled(bytes(rest))
+        text = "".join("\ufffd" if c is None else c for c, _, _ in units)
+        yield Layer(text, [layer.starts[first(a)] for _, a, _ in units], [layer.ends[at[phase + (b * 8 - 1) // 6]] for _, _, b in units])
 
 
-def from_base64(layer: Layer, m: re.Match) -> Layer | None:
-    body = m[0].rstrip("=")
-    if len(body) % 4 == 1:
-        return None
-    try:
-        data = base64.b64decode(body.replace("-", "+").replace("_", "/") + "=" * (-len(body) % 4))
-    except (binascii.Error, ValueError):
-        return None
-    packed = [data]
-    while (inner := decompressed(packed[-1])) is not None and len(packed) < 64:
-        packed.append(inner)
-    if (text := readable(packed[-1])) is None or not text:
-        return None
-    if len(packed) > 1:  # any part of compressed data may stand behind a character
-        return Layer(text, [layer.starts[m.start()]] * len(text), [layer.ends[m.end() - 1]] * len(text))
-    starts, ends, at = [], [], 0
-    for c in text:
-        n = len(c.encode())
-        first, last = m.start() + at * 4 // 3, min(m.start() + (at + n) * 4 // 3 + ((at + n) % 3 > 0), m.start() + len(body))
-        starts.append(layer.starts[first])
-        ends.append(layer.ends[last - 1])
-        at += n
-    return Layer(text, starts, ends)
+def layers_in(layer: Layer) -> Iterator[Layer | None]:
+    """The layers one step below."""
+    if "%" in layer.text:
+        yield substituted(layer, PERCENT, unquoted)
+    if "\\" in layer.text:
+        yield substituted(layer, ESCAPE, unescaped)
+    for m in BASE64.finditer(layer.text):
+        yield from from_base64(layer, m)
 
 
 def hidden_matches(text: str, plain: list[tuple[int, int, int]]) -> list[tuple[int, int, int]]:
     """(start, kind number, end) of matches that only a decoded layer shows, in places of the text."""
-    work = [Layer(text, range(len(text)), range(1, len(text) + 1))]
+    work = [layers_in(Layer(text, range(len(text)), range(1, len(text) + 1)))]
     seen = {hashlib.md5(text.encode("utf-8", "surrogatepass")).digest()}
     found = set(plain)
     out: list[tuple[int, int, int]] = []
-    while work:
-        layer = work.pop()
-        new: list[Layer | None] = []
-        if "%" in layer.text:
-            new.append(substituted(layer, PERCENT, unquoted))
-        if "\\" in layer.text:
-            new.append(substituted(layer, ESCAPE, unescaped))
-        new += [from_base64(layer, m) for m in BASE64.finditer(layer.text)]
-        for x in new:
-            if x is None or (key := hashlib.md5(x.text.encode("utf-8", "surrogatepass") + repr((x.starts[:1], x.ends[-1:])).encode()).digest()) in seen:
-                continue
-            seen.add(key)
-            work.append(x)
-            for start, kind, end in plain_matches(x.text):
-                span = (x.starts[start], kind, x.ends[end - 1])
-                if span not in found:
-                    found.add(span)
-                    out.append(span)
+    while work:  # one layer of each depth at a time, as windows of compressed data may be many
+        try:
+            x = next(work[-1])
+        except StopIteration:
+            work.pop()
+            continue
+        if x is None or (key := hashlib.md5(x.text.encode("utf-8", "surrogatepass") + repr((x.starts[:1], x.ends[-1:])).encode()).digest()) in seen:
+            continue
+        seen.add(key)
+        work.append(layers_in(x))
+        for start, kind, end in plain_matches(x.text):
+            span = (x.starts[start], kind, x.ends[end - 1])
+            if span not in found:
+                found.add(span)
+                out.append(span)
     return sorted(out)
 
 

@@ -1,6 +1,7 @@
 """Operators that judge each document alone, against plain versions."""
 
 import base64
+import bz2
 import gzip
 import hashlib
 import json
@@ -13,6 +14,7 @@ import numpy as np
 import public_tokenizers
 import pytest
 import tiktoken
+import zstandard
 from tokenizers import Tokenizer
 
 from bflyspark.llm import byte_bpe, decontaminate, license_scan, quality_classifier, quality_rules, secret_scan, shard_balance, token_files
@@ -242,6 +244,36 @@ def test_secrets_in_layers():
         assert secret_scan.scan_text(clean) == ([], []) and clean.startswith("lead é") and clean.endswith("tail")
 
 
+def kinds(text):
+    return [k for _, k, _ in secret_scan.scan_text(text)[1]]
+
+
+@pytest.mark.parametrize("pack", [gzip.compress, zlib.compress, bz2.compress, zstandard.compress])
+def test_secrets_in_all_of_compressed_data(pack):
+    t = b"x password=hunter2hunter y"
+    coded = lambda data: "see " + base64.b64encode(data).decode() + " tail"
+    assert kinds(coded(pack(b"." * (33 << 20) + t))) == [0]  # behind 32 MiB
+    assert kinds(coded(pack("\u00e9,".encode() * (11 << 20) + t))) == [0]
+    assert kinds(coded(pack(b"clean") + pack(b"more") + pack(t))) == [0]  # in a later member
+    deep = t
+    for _ in range(70):
+        deep = pack(deep)
+    assert kinds(coded(deep)) == [0]
+    assert kinds(coded(pack(pack(b"clean")) + pack(pack(t)))) == [0]
+    assert kinds(coded(pack(t + b"\xff" * 3))) == [0]
+    half = pack(random.Random(4).randbytes(5000) + t)
+    assert kinds(coded(half[: len(half) // 2])) == []
+
+
+def test_secret_over_the_end_of_a_window():
+    t = b"x password=hunter2hunter y"
+    for shift in range(0, 60, 7):
+        assert kinds("see " + base64.b64encode(gzip.compress(b"a b, " * 52_420 + b"." * shift + t + b" a" * 200_000)).decode()) == [0]
+    key = b"AKIA" + b"Q" * 600_000
+    text = base64.b64encode(gzip.compress(b"a " + key + b" b")).decode()
+    assert kinds(f"see {text} tail") == [1]
+
+
 def test_secrets_base_and_odd(tiny, odd, none):
     got = {r.doc_id: r for r in secret_scan.scan(tiny).collect()}
     assign = re.compile(r"""((?:[pP][aA][sS][sS][wW][oO][rR][dD])|(?:[pP][aA][sS][sS][wW][dD])|(?:[sS][eE][cC][rR][eE][tT])|(?:[tT][oO][kK][eE][nN])|(?:[aA][pP][iI]_?[kK][eE][yY]))["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""")
