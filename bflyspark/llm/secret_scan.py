@@ -1,7 +1,7 @@
 """Secret scan with a recursive decoding worklist.
 
 Plain matches come first. Then layers are unwrapped: percent-encoding, backslash-u and backslash-x
-escapes, base64 runs and gzip, zlib, bzip2 or zstandard data inside those. Every new layer goes on a
+escapes, base64 runs (also over line ends), and gzip, zlib, bzip2 or zstandard data inside those. Every new layer goes on a
 worklist and is scanned again until nothing new appears; a digest of each layer stops cycles. Each
 character of a layer knows the span of the original text that it came from, so a match inside a layer
 is reported in places of the original text.
@@ -43,11 +43,28 @@ PERCENT = re.compile(r"(?:%[0-9A-Fa-f]{2})+")
 ESCAPE = re.compile(r"(?:\\u[0-9A-Fa-f]{4}|\\U[0-9A-Fa-f]{8}|\\x[0-9A-Fa-f]{2})+")
 ESCAPED = re.compile(r"\\u([0-9A-Fa-f]{4})|\\U([0-9A-Fa-f]{8})|\\x([0-9A-Fa-f]{2})")
 BASE64 = re.compile(r"[A-Za-z0-9+/_-]{16,}={0,2}")
+WRAPPED = re.compile(r"(?=[A-Za-z0-9+/_-]+\r?\n[A-Za-z0-9+/_-])[A-Za-z0-9+/_-](?:(?:\r?\n)?[A-Za-z0-9+/_-]){15,}={0,2}")
 # Decoded bytes without one of these show no match and no further layer.
 WORTH = re.compile(rb"(?i:passw|secret|token|api)|AKIA|[0-9a-f]{24}|%[0-9A-Fa-f]{2}|\\[uUx]|[A-Za-z0-9+/_-](?:(?:\r?\n)?[A-Za-z0-9+/_-]){15}")
 # No pattern goes over a break: a character of none, the blank between two words, an empty line.
 BREAK = re.compile(r"""(?<=[^A-Za-z0-9+/_.="':\x20%\\\r\n-])|(?<=[A-Za-z0-9])(?=\x20[A-Za-z0-9])|(?<=\n)(?=\n)""")
 MAGIC = re.compile(rb"\x1f\x8b\x08|BZh[1-9]1AY&SY|\x28\xb5\x2f\xfd")
+# Compressed bytes as percent triples or escapes; bytes that are printable may stand as they are.
+QUOTED_HEAD = re.compile(r"%1[Ff]%8[Bb]|(?:x|%78)(?:%01|%5[Ee]|\^|%9[Cc]|%[Dd][Aa])|(?:BZh|%42%5[Aa]%68)|(?:\(|%28)%[Bb]5(?:/|%2[Ff])%[Ff][Dd]")
+QUOTED = re.compile(r"%([0-9A-Fa-f]{2})|[!-$&-~]")
+HEX_UNIT = r"\\(?:x|u00|U000000)"
+ESCAPED_HEAD = re.compile(rf"{HEX_UNIT}1[Ff]{HEX_UNIT}8[Bb]|(?:x|{HEX_UNIT}78)(?:{HEX_UNIT}(?:01|5[Ee]|9[Cc]|[Dd][Aa])|\^)|(?:BZh|{HEX_UNIT}42{HEX_UNIT}5[Aa]{HEX_UNIT}68)|(?:\(|{HEX_UNIT}28){HEX_UNIT}[Bb]5(?:/|{HEX_UNIT}2[Ff]){HEX_UNIT}[Ff][Dd]")
+ESCAPED_UNIT = re.compile(r"\\u([0-9A-Fa-f]{4})|\\U([0-9A-Fa-f]{8})|\\x([0-9A-Fa-f]{2})|\\([abtnvfr0'\"\\/])|[\x20-\x5b\x5d-~]")
+SHORT = dict(zip("abtnvfr0", (7, 8, 9, 10, 11, 12, 13, 0), strict=True))
+
+
+def quoted_byte(m: re.Match) -> int:
+    return int(m[1], 16) if m[1] else ord(m[0])
+
+
+def escaped_byte(m: re.Match) -> int:
+    digits = m[1] or m[2] or m[3]
+    return int(digits, 16) if digits else SHORT.get(m[4], ord(m[4])) if m[4] else ord(m[0])
 
 
 @dataclass
@@ -72,19 +89,19 @@ def plain_matches(text: str) -> list[tuple[int, int, int]]:
 
 
 def unescaped(run: str) -> list[tuple[str, int, int]] | None:
-    """(character, start, end) for each decoded character of a run of backslash escapes."""
+    """(characters, start, end) for each unit of a run of backslash escapes; what stands for no character stays as it is."""
     units = [(int(m[1] or m[2] or m[3], 16), m.start(), m.end()) for m in ESCAPED.finditer(run)]
     out: list[tuple[str, int, int]] = []
-    i = 0
+    i, changed = 0, False
     while i < len(units):
         point, start, end = units[i]
         if 0xD800 <= point < 0xDC00 and i + 1 < len(units) and 0xDC00 <= units[i + 1][0] < 0xE000:
             point, end, i = 0x10000 + ((point - 0xD800) << 10) + units[i + 1][0] - 0xDC00, units[i + 1][2], i + 1
-        if point > 0x10FFFF or 0xD800 <= point < 0xE000:
-            return None
-        out.append((chr(point), start, end))
+        valid = point <= 0x10FFFF and not 0xD800 <= point < 0xE000
+        out += [(chr(point), start, end)] if valid else [(run[k], k, k + 1) for k in range(start, end)]
+        changed |= valid
         i += 1
-    return out
+    return out if changed else None
 
 
 def spelled(data: bytes) -> list[tuple[str | None, int, int]]:
@@ -99,17 +116,11 @@ def spelled(data: bytes) -> list[tuple[str | None, int, int]]:
 
 
 def unquoted(run: str) -> list[tuple[str, int, int]] | None:
-    """(character, start, end) for each decoded character of a run of percent triples."""
-    try:
-        text = bytes.fromhex(run.replace("%", "")).decode()
-    except UnicodeDecodeError:
+    """(character, start, end) for each character of a run of percent triples; bytes that are no UTF-8 stay as they are."""
+    units = spelled(bytes.fromhex(run.replace("%", "")))
+    if all(c is None for c, _, _ in units):
         return None
-    out, at = [], 0
-    for c in text:
-        n = 3 * len(c.encode())
-        out.append((c, at, at + n))
-        at += n
-    return out
+    return [x for c, a, b in units for x in ([(c, 3 * a, 3 * b)] if c is not None else [(run[k], k, k + 1) for k in range(3 * a, 3 * b)])]
 
 
 def substituted(layer: Layer, pattern: re.Pattern, decode) -> Layer | None:
@@ -268,6 +279,35 @@ def opened(found: list[BinaryIO], start: int, end: int) -> Iterator[Layer]:
                 yield Layer(text, [start] * len(text), [end] * len(text))
 
 
+def broken(data: bytes) -> bool:
+    try:
+        for _ in expanded(codec_of(data), data):
+            pass
+    except Exception as error:
+        if not faulty_data(error):
+            raise
+        return True
+    return False
+
+
+def packed_runs(layer: Layer, head: re.Pattern, unit: re.Pattern, value) -> Iterator[Layer]:
+    """Layers of compressed data whose bytes stand as escapes and plain characters, from a head as far as units go."""
+    at = 0
+    while m := head.search(layer.text, at):
+        at = m.end()
+        data, bounds, k = bytearray(), [], m.start()
+        while (u := unit.match(layer.text, k)) and (byte := value(u)) < 256:
+            data.append(byte)
+            bounds.append((k, u.end()))
+            k = u.end()
+            if len(data) == 256 and (codec_of(bytes(data)) is None or broken(bytes(data))):
+                break
+        found, taken = streams(bytes(data))
+        if found:
+            yield from opened(found, layer.starts[m.start()], layer.ends[bounds[taken - 1][1] - 1])
+            at = bounds[taken - 1][1]
+
+
 def from_base64(layer: Layer, m: re.Match) -> Iterator[Layer]:
     """Layers behind a base64 run. A run over several lines may begin or end with words that don't belong to it: all four phases are read."""
     body = m[0].rstrip("=")
@@ -303,10 +343,15 @@ def layers_in(layer: Layer) -> Iterator[Layer | None]:
     """The layers one step below."""
     if "%" in layer.text:
         yield substituted(layer, PERCENT, unquoted)
+        yield from packed_runs(layer, QUOTED_HEAD, QUOTED, quoted_byte)
     if "\\" in layer.text:
         yield substituted(layer, ESCAPE, unescaped)
+        yield from packed_runs(layer, ESCAPED_HEAD, ESCAPED_UNIT, escaped_byte)
     for m in BASE64.finditer(layer.text):
         yield from from_base64(layer, m)
+    if "\n" in layer.text:
+        for m in WRAPPED.finditer(layer.text):
+            yield from from_base64(layer, m)
 
 
 def hidden_matches(text: str, plain: list[tuple[int, int, int]]) -> list[tuple[int, int, int]]:

@@ -274,6 +274,37 @@ def test_secret_over_the_end_of_a_window():
     assert kinds(f"see {text} tail") == [1]
 
 
+def test_secrets_in_compressed_escapes():
+    t = "x password=hunter2hunter y " + " ".join(str(i * i) for i in range(60))
+    for pack in (gzip.compress, zlib.compress, bz2.compress, zstandard.compress):
+        data = pack(t.encode())
+        for coded in ("".join(f"%{b:02X}" for b in data), urllib.parse.quote(data, safe=""), "".join(f"\\x{b:02x}" for b in data), repr(data), json.dumps(data.decode("latin-1"))):
+            text = f"lead {coded}&tail"
+            hidden = secret_scan.scan_text(text)[1]
+            assert hidden and all(kind == 0 and 5 <= start < end <= len(text) - 5 for start, kind, end in hidden)
+            assert secret_scan.redacted_text(text).endswith("&tail")
+
+
+def test_secrets_next_to_foreign_bytes():
+    assert kinds("a %E9%74%6F%6B%65%6E=hunter2hunter b") == [0]
+    assert kinds("a %74%6F%6B%65%6E%3Dhunter2%E9 b") == [0]
+    assert kinds(r"a \ud800\u0074\u006f\u006b\u0065\u006e=hunter2hunter b") == [0]
+    assert kinds("a %E9%FF b") == [] and kinds(r"a \ud800\udbff b") == []
+
+
+@pytest.mark.parametrize("width", [20, 64, 76])
+@pytest.mark.parametrize("end", ["\n", "\r\n"])
+def test_secrets_in_wrapped_base64(width, end):
+    t = "x " * 17 + "password=hunter2hunter " + " ".join(str(i * i) for i in range(60))
+    for data in (t.encode(), gzip.compress(t.encode()), zlib.compress(t.encode()), bz2.compress(t.encode())):
+        coded = base64.b64encode(data).decode()
+        lines = end.join(coded[k : k + width] for k in range(0, len(coded), width))
+        for lead in ("lead:", "lead\n", "Dear all\n"):
+            text = f"{lead}{lines}\n\nBest regards"
+            assert 0 in kinds(text)
+            assert 0 not in kinds(secret_scan.redacted_text(text)) and secret_scan.redacted_text(text).endswith("Best regards")
+
+
 def test_secrets_base_and_odd(tiny, odd, none):
     got = {r.doc_id: r for r in secret_scan.scan(tiny).collect()}
     assign = re.compile(r"""((?:[pP][aA][sS][sS][wW][oO][rR][dD])|(?:[pP][aA][sS][sS][wW][dD])|(?:[sS][eE][cC][rR][eE][tT])|(?:[tT][oO][kK][eE][nN])|(?:[aA][pP][iI]_?[kK][eE][yY]))["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""")
