@@ -365,6 +365,7 @@ def registry() -> dict[str, tuple[Query, str | None]]:
     q["duration_direct_g2"] = ((lambda s, d: baselines.duration_count(catalog.load(s, d, "g2"), 365)), deltas_sql(day_edges("g2"), [365]))
     q["duration_grouped_g6"] = ((lambda s, d: duration.grouped(catalog.load(s, d, "g6"), delta_table(s, [10, 40]))), deltas_sql(day_edges("g6"), [10, 40]))
     q["duration_list_g2"] = ((lambda s, d: baselines.duration_list(catalog.load(s, d, "g2"), 365, 100)), f"WITH {timed_sql(day_edges('g2'))} SELECT x, z, y1, y2, l, r FROM f WHERE r - l <= 365 ORDER BY l, r, x, z, y1, y2 LIMIT 100")
+    q["duration_list_all_g2"] = ((lambda s, d: baselines.duration_list(catalog.load(s, d, "g2"), 365)), f"WITH {timed_sql(day_edges('g2'))} SELECT x, z, y1, y2, l, r FROM f WHERE r - l <= 365")
     q["bcc_trend_g4"] = plain(bcc_trend, BCC_SQL)
     q["three_paths_g2"] = ((lambda s, d: measures.three_paths(catalog.load(s, d, "g2"), windows.fixed(s, DAYS))), three_paths_sql(day_edges("g2"), windows.fixed_sql(DAYS)))
     q["publications_g4"] = (year_windows(measures.mean_degree), PROJECTED_YEARS + " SELECT CAST(window_id AS BIGINT) AS window_id, round(count(*) / count(DISTINCT u), 6) AS mean_degree FROM p GROUP BY 1")
