@@ -233,6 +233,8 @@ def registry() -> dict[str, tuple[Query, str | None]]:
     q["rel_a11_arg_max"] = (lambda s, d: per_day(g4(s, d)).agg(F.max_by("t", F.struct("edges", "t")).alias("t"))), f"SELECT t FROM ({PER_DAY.format(G4)}) ORDER BY edges DESC, t DESC LIMIT 1"
     q["rel_a12_spread"] = (lambda s, d: per_day(g4(s, d)).agg(F.round(F.avg("edges"), 6).alias("mean"), F.round(F.stddev_samp("edges"), 6).alias("sd"))), f"SELECT round(avg(edges), 6) AS mean, round(stddev_samp(edges), 6) AS sd FROM ({PER_DAY.format(G4)})"
     q["rel_a13_bitmaps"] = (lambda s, d: g4(s, d).where("u < 60").groupBy("v").agg(F.bit_or(F.expr("shiftleft(1L, cast(u as int))")).alias("m")).select("v", F.bit_count("m").alias("n"))), f"SELECT v, CAST(count(DISTINCT u) AS INTEGER) AS n FROM ({G4}) WHERE u < 60 GROUP BY v"
+    words = lambda e: e.groupBy("v", F.shiftright("u", 6).alias("word")).agg(F.bit_or(F.expr("shiftleft(1L, cast(u & 63 as int))")).alias("m"))
+    q["rel_a13_bitmaps_all"] = (lambda s, d: words(g4(s, d)).groupBy("v").agg(F.sum(F.bit_count("m")).cast("int").alias("n"))), f"SELECT v, CAST(count(DISTINCT u) AS INTEGER) AS n FROM ({G4}) GROUP BY v"
     # window functions
     over = "OVER (PARTITION BY u ORDER BY t, v)"
     q["rel_n1_lead_lag"] = (lambda s, d: g4(s, d).select("u", "v", "t", F.lead("t").over(by_u()).alias("next_t"), F.lag("t").over(by_u()).alias("last_t"))), f"SELECT u, v, t, lead(t) {over} AS next_t, lag(t) {over} AS last_t FROM ({G4})"
@@ -264,6 +266,7 @@ def registry() -> dict[str, tuple[Query, str | None]]:
     q["rel_f6_maps"] = (lambda s, d: g4(s, d).groupBy("u").agg(F.map_from_entries(F.array_sort(F.collect_set(F.struct((F.col("t") % 5).alias("k"), F.lit(1).alias("x"))))).alias("m")).select("u", F.size(F.map_keys("m")).alias("kinds"))), f"SELECT u, CAST(count(DISTINCT t % 5) AS INTEGER) AS kinds FROM ({G4}) GROUP BY u"
     q["rel_f7_json"] = (lambda s, d: events(s, d).select("event_id", F.get_json_object("props", "$.k").cast("long").alias("k"), F.from_json("props", "k long")["k"].alias("k2"))), "SELECT event_id, CAST(json_extract_string(props, '$.k') AS BIGINT) AS k, CAST(json_extract_string(props, '$.k') AS BIGINT) AS k2 FROM events"
     q["rel_f8_structs"] = (lambda s, d: g4(s, d).where("u = 1").select(F.inline(F.array(F.struct(F.col("u").alias("a"), F.col("v").alias("b")), F.struct(F.col("v").alias("a"), F.col("u").alias("b")))))), f"SELECT u AS a, v AS b FROM ({G4}) WHERE u = 1 UNION ALL SELECT v, u FROM ({G4}) WHERE u = 1"
+    q["rel_f8_structs_all"] = (lambda s, d: g4(s, d).select(F.inline(F.array(F.struct(F.col("u").alias("a"), F.col("v").alias("b")), F.struct(F.col("v").alias("a"), F.col("u").alias("b")))))), f"SELECT u AS a, v AS b FROM ({G4}) UNION ALL SELECT v, u FROM ({G4})"
     q["rel_f9_hash"] = (lambda s, d: g4(s, d).select("u", "v", F.xxhash64("u", "v").alias("h"))), None
     q["rel_f10_bits"] = (lambda s, d: g4(s, d).select("u", "v", F.shiftright("v", 2).alias("a"), F.bit_count("v").alias("b"))), f"SELECT u, v, v >> 2 AS a, CAST(bit_count(v) AS INTEGER) AS b FROM ({G4})"
     # streams

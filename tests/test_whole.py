@@ -1,6 +1,7 @@
 """Queries that stand for a whole job and not for its first rows."""
 
-from bflyspark.plans import graph_queries
+from bflyspark.plans import graph_queries, relops
+from bflyspark.sources import catalog
 
 
 def test_the_full_list_is_as_long_as_the_count(spark, small):
@@ -8,3 +9,14 @@ def test_the_full_list_is_as_long_as_the_count(spark, small):
     count = run["duration_direct_g2"][0](spark, small).first()["butterflies"]
     rows = run["duration_list_all_g2"][0](spark, small)
     assert rows.count() == count > 100
+
+
+def test_bitmaps_and_structs_of_all_edges(spark):
+    run, sf = relops.registry(), "/root/testdata/sf0.01"
+    edges = [(r.u, r.v) for r in catalog.load(spark, sf, "g4").edges.collect()]
+    partners = {}
+    for u, v in edges:
+        partners.setdefault(v, set()).add(u)
+    assert max(u for u, _ in edges) >= 64
+    assert {r.v: r.n for r in run["rel_a13_bitmaps_all"][0](spark, sf).collect()} == {v: len(us) for v, us in partners.items()}
+    assert sorted((r.a, r.b) for r in run["rel_f8_structs_all"][0](spark, sf).collect()) == sorted(edges + [(v, u) for u, v in edges])
