@@ -4,7 +4,9 @@ Words of the benchmark get numbers; all other words are 0. Fixed masks pick some
 words and skip the others, so a substituted word under a skipped place doesn't hide a match. Seeds of
 a document that also occur in the benchmark name an item and a diagonal; there the words of both are
 held against each other and the best stretch (matches minus twice the mismatches) is measured.
-A document is contaminated if some stretch has enough matching words.
+A document is contaminated if some stretch has enough matching words, or the aligned item as a whole has
+that share of them. For items of LIGHT_ITEM words or more, three words in a row are a seed too, once a
+diagonal has as many of them as an item with the share of matching words can't fall below.
 
 The benchmark goes out with the plan in blocks of at most BLOCK_WORDS words. Small benchmarks are one
 block; larger ones are several, each a further step of the same pass over the documents.
@@ -27,7 +29,8 @@ from pyspark.sql import functions as F
 from .common import read_table
 
 # Places that a seed looks at (1) or skips (0).
-MASKS = ("111011011101", "110110111011", "101111001111", "11111111")
+MASKS = ("111011011101", "110110111011", "101111001111", "11111111", "111101111", "11101110111")
+LIGHT, LIGHT_ITEM = "111", 9
 WORD = re.compile(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")
 BLOCK_WORDS = 1_000_000
 MIN_ITEM = 5
@@ -78,13 +81,20 @@ class Block:
         self.ids = [np.array([self.vocabulary.setdefault(w, len(self.vocabulary) + 1) for w in words], np.int64) for words in by_text]
         short = sorted({len(x) for x in self.ids if len(x) < SPAN})
         self.masks = [*MASKS, *("1" * n for n in short if "1" * n not in MASKS)]
+        self.light = [x if len(x) >= LIGHT_ITEM else x[:0] for x in self.ids]
         self.seeds = []
-        for mask in self.masks:
-            found = [(h, i, s) for i, x in enumerate(self.ids) for s, h in zip(*(v.tolist() for v in seeds(x, mask)), strict=True) if len(x) >= SPAN or len(mask) == len(x) or mask in MASKS]
+        for mask in [*self.masks, LIGHT]:
+            found = [(h, i, s) for i, x in enumerate(self.light if mask == LIGHT else self.ids) for s, h in zip(*(v.tolist() for v in seeds(x, mask)), strict=True) if len(x) >= SPAN or len(mask) == len(x) or mask in (*MASKS, LIGHT)]
             found.sort()
             self.seeds.append((np.array([f[0] for f in found], np.uint64), np.array([f[1] for f in found], np.int64), np.array([f[2] for f in found], np.int64)))
 
 
+def least_seeds(n: np.ndarray, share: float) -> np.ndarray:
+    """Three matching words in a row that n words have at least if that share matches: k others leave k + 1 runs, and each run costs two."""
+    k = n - np.ceil(share * n - 1e-9)
+    return np.maximum(n - k - 2 * (k + 1), 1)
+
+
 def best_stretch(match: np.ndarray) -> int:
     """Matching words in the stretch with the largest matches minus twice mismatches."""
     score = np.concatenate([[0], np.cumsum(np.where(match, 1, -2))])
@@ -107,7 +117,9 @@ def find(texts: list[str | None], block: Block, limits: Limits) -> list[dict[int
     first = np.cumsum(sizes) - sizes
     line = np.concatenate(numbers)
     diagonals: set[tuple[int, int]] = set()
-    for mask, (hashes, items, offsets) in zip(block.masks, block.seeds, strict=True):
+    longest = max(len(x) for x in block.ids)
+    need = least_seeds(np.array([len(x) for x in block.ids]), limits.share)
+    for mask, (hashes, items, offsets) in zip([*block.masks, LIGHT], block.seeds, strict=True):
         if not len(hashes):
             continue
         starts, h = seeds(line, mask)
@@ -115,6 +127,12 @@ def find(texts: list[str | None], block: Block, limits: Limits) -> list[dict[int
         hit = np.flatnonzero(high > low)
         counts = (high - low)[hit]
         entry = np.repeat(low[hit], counts) + np.arange(counts.sum()) - np.repeat(np.cumsum(counts) - counts, counts)
+        if mask == LIGHT:
+            width = 2 * (len(line) + longest)
+            keys, times = np.unique(items[entry] * width + np.repeat(starts[hit], counts) - offsets[entry] + longest, return_counts=True)
+            keys = keys[times >= need[keys // width]]
+            diagonals.update(zip((keys // width).tolist(), (keys % width - longest).tolist(), strict=True))
+            continue
         diagonals.update(zip(items[entry].tolist(), (np.repeat(starts[hit], counts) - offsets[entry]).tolist(), strict=True))
     owner = np.searchsorted(first, np.arange(len(line)), "right") - 1 if diagonals else None
     for item, at in diagonals:
@@ -124,7 +142,10 @@ def find(texts: list[str | None], block: Block, limits: Limits) -> list[dict[int
         match = line[a:b] == own[a - at : b - at]
         docs = owner[a:b]
         for doc in np.unique(docs[match]).tolist():
-            n = best_stretch(match & (docs == doc))
+            inside = match & (docs == doc)
+            n = best_stretch(inside)
+            if n < min(limits.words, limits.share * len(own)) and inside.sum() >= limits.share * len(own):
+                n = int(inside.sum())
             if n >= min(limits.words, limits.share * len(own)):
                 for name in block.names[item]:
                     out[doc][name] = max(n, out[doc].get(name, 0))

@@ -4,6 +4,7 @@ import base64
 import bz2
 import gzip
 import hashlib
+import itertools
 import json
 import random
 import re
@@ -371,6 +372,23 @@ def test_decontamination(spark, small, tiny, odd, none):
     assert decontaminate.drop_contaminated(odd, benchmark).columns == odd.columns
 
 
+@pytest.mark.parametrize("n,changed", [(9, 2), (12, 3), (15, 2), (15, 3), (18, 3), (20, 5)])
+def test_any_few_words_of_a_short_item_replaced(n, changed):
+    words = [f"w{k}" for k in range(n)]
+    block = decontaminate.Block([(7, " ".join(words))])
+    texts = ["lead in " + " ".join("swapped" if k in at else w for k, w in enumerate(words)) + " and out" for at in itertools.combinations(range(n), changed)]
+    assert all(found == {7: max(found.values(), default=0)} for found in decontaminate.find(texts, block, decontaminate.Limits()))
+
+
+@pytest.mark.parametrize("period", [4, 5])
+def test_every_fourth_or_fifth_word_replaced(period):
+    words = [f"w{k}" for k in range(59)]
+    block = decontaminate.Block([(7, " ".join(words + ["more"] * 40))])
+    for phase in range(period):
+        text = " ".join("swapped" if k % period == phase else w for k, w in enumerate(words))
+        assert 7 in decontaminate.find([text], block, decontaminate.Limits())[0]
+
+
 def test_benchmark_in_blocks(spark, small, tiny, monkeypatch):
     benchmark = spark.read.parquet(f"{small}/benchmark.parquet")
     one = {r.doc_id: (r.contaminated, r.matched_words) for r in decontaminate.scan(tiny, benchmark).collect()}
