@@ -350,6 +350,7 @@ def registry() -> dict[str, tuple[Query, str | None]]:
     q["skew_recount_g8_one_side"] = with_windows("g8", baselines.recount, k=3, sides="v")
     q["skew_hybrid_g8_k3"] = with_windows("g8", hybrid(alpha=0.5), k=3, sides="both")
     q["random_windows_hybrid_g2"] = random_batch("g2", lambda g, w: indexes.query_hybrid(indexes.build_hybrid(g, alpha=1.0), w, layout="dyadic"))
+    q["random_windows_5000_g2"] = plain(lambda s, d: indexes.query_hybrid(indexes.build_hybrid(catalog.load(s, d, "g2"), alpha=1.0), windows.random_windows(s, 5000, 0, 2404), layout="dyadic"))
     q["random_windows_recount_g4"] = random_batch("g4", baselines.recount)
     q["instances_g9"] = ((lambda s, d: duration.instance_counts(catalog.load(s, d, "g9"), windows.fixed(s, HOURS))), instance_sql(day_edges("g9"), windows.fixed_sql(HOURS)))
     q["sampled_one_g4"] = plain(sampled_one, SAMPLED_ONE_SQL)

@@ -20,3 +20,10 @@ def test_bitmaps_and_structs_of_all_edges(spark):
     assert max(u for u, _ in edges) >= 64
     assert {r.v: r.n for r in run["rel_a13_bitmaps_all"][0](spark, sf).collect()} == {v: len(us) for v, us in partners.items()}
     assert sorted((r.a, r.b) for r in run["rel_f8_structs_all"][0](spark, sf).collect()) == sorted(edges + [(v, u) for u, v in edges])
+
+
+def test_five_thousand_random_windows(spark, small):
+    run = graph_queries.registry()
+    got = {r.window_id: r for r in run["random_windows_5000_g2"][0](spark, small).collect()}
+    assert sorted(got) == list(range(5000))
+    assert all(got[r.window_id] == r for r in run["random_windows_hybrid_g2"][0](spark, small).collect())
