@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions.hashing import PRIME, portable_hash
@@ -42,38 +42,68 @@ def inverse_power(rank: Column, gamma: float, largest: int) -> Column:
     return F.pow(1 + rank * (largest**e - 1), F.lit(1 / e))
 
 
+def unit(c: Column, s: int, seed: int) -> Column:
+    return (portable_hash([c, F.lit(s)], seed + s) + 0.5) / PRIME
+
+
+def expected_degrees(spark: SparkSession, n_u: int, n_v: int, gamma_u: float, gamma_v: float, largest_u: int, largest_v: int, seed: int = 1) -> tuple[DataFrame, DataFrame]:
+    """(u, du) and (v, dv): degrees at random quantiles. The right side is scaled to the left sum, and no degree of it passes largest_v."""
+    left = spark.range(n_u).select(F.col("id").alias("u"), inverse_power(unit(F.col("id"), 1, seed), gamma_u, largest_u).alias("du"))
+    total = left.agg(F.sum("du")).first()[0]
+    if total > n_v * largest_v:
+        raise ValueError(f"{n_v} right vertices of degree {largest_v} at most can't hold {total:.0f} edges")
+    drawn = inverse_power(unit(F.col("id"), 2, seed), gamma_v, largest_v) if gamma_v else F.lit(1.0)
+    right = spark.range(n_v).select(F.col("id").alias("v"), drawn.cast("double").alias("dv"))
+    scale, full = 0.0, -1
+    while True:  # those at the bound only become more
+        at_bound = F.col("dv") * scale >= largest_v
+        n, rest = right.agg(F.count(F.when(at_bound, 1)), F.sum(F.when(~at_bound, F.col("dv")))).first()
+        if n == full or not rest:
+            break
+        scale, full = (total - n * largest_v) / rest, n
+    return left, right.select("v", F.least(F.lit(float(largest_v)), F.col("dv") * scale).alias("dv"))
+
+
+def intervals(right: DataFrame, block: int = 4096) -> DataFrame:
+    """v, low, high: the cumulated degrees around each vertex, by blocks of ids."""
+    own = right.withColumn("block", F.floor(F.col("v") / block))
+    sums = own.groupBy("block").agg(F.sum("dv").alias("all"))
+    before = sums.select("block", (F.sum("all").over(Window.orderBy("block")) - F.col("all")).alias("before"))
+    inside = F.sum("dv").over(Window.partitionBy("block").orderBy("v"))
+    placed = own.withColumn("inside", inside).join(before, "block")
+    return placed.select("v", (F.col("before") + F.col("inside") - F.col("dv")).alias("low"), (F.col("before") + F.col("inside")).alias("high"))
+
+
 def power_law(spark: SparkSession, n_u: int, n_v: int, gamma_u: float, gamma_v: float, largest_u: int, largest_v: int, seed: int = 1, exact: bool = False) -> TemporalBipartite:
     """Random graph whose expected degrees follow d^-gamma on both sides (gamma_v = 0: even degrees).
 
     exact draws every pair with probability d_u d_v / m (a cross join of two bounded ranges, for small
-    graphs); otherwise each left vertex draws its expected number of edges and right ends by weight.
-    Times are even on [1, number of edges].
+    graphs); otherwise each left vertex draws its expected number of edges and right ends by the cumulated
+    degrees of the right side. Times are even on [1, number of edges].
     """
-    unit = lambda c, s: (portable_hash([c, F.lit(s)], seed + s) + 0.5) / PRIME
-    left = spark.range(n_u).select(F.col("id").alias("u"), inverse_power(unit(F.col("id"), 1), gamma_u, largest_u).alias("du"))
+    left, right = expected_degrees(spark, n_u, n_v, gamma_u, gamma_v, largest_u, largest_v, seed)
     total = left.agg(F.sum("du")).first()[0]
-    if gamma_v:
-        right = spark.range(n_v).select(F.col("id").alias("v"), inverse_power(unit(F.col("id"), 2), gamma_v, largest_v).alias("dv"))
-    else:
-        right = spark.range(n_v).select(F.col("id").alias("v"), F.lit(total / n_v).alias("dv"))
     if exact:
         p = F.least(F.lit(1.0), F.col("du") * F.col("dv") / total)
         pairs = left.crossJoin(right).where(portable_hash([F.col("u"), F.col("v"), F.col("u") * 31 + F.col("v")], seed + 5) < p * PRIME).select("u", "v")
     else:
-        count = F.floor(F.col("du") + unit(F.col("u"), 3)).cast("int")
+        count = F.floor(F.col("du") + unit(F.col("u"), 3, seed)).cast("int")
         stubs = left.select("u", F.explode(F.sequence(F.lit(1), F.greatest(count, F.lit(1)))).alias("k"))
-        # The right end by inverse of the weights' cumulated share: d^(1-gamma) ranks again follow a power.
-        share = unit(F.col("u") * 131 + F.col("k"), 4)
-        shape = 1 - 1 / (gamma_v - 1) if gamma_v else 1.0
-        pairs = stubs.select("u", F.floor(n_v * F.pow(share, F.lit(1 / shape))).cast("long").alias("v")).distinct()
+        drawn = stubs.select("u", (unit(F.col("u") * 131 + F.col("k"), 4, seed) * total).alias("x"))
+        # A draw and the interval that holds it meet in a cell of width 1.
+        cells = intervals(right).withColumn("cell", F.explode(F.sequence(F.floor("low"), F.floor("high"))))
+        pairs = drawn.withColumn("cell", F.floor("x")).join(cells, "cell").where("low <= x and x < high").select("u", "v").distinct()
     m = pairs.count()
     t = 1 + F.pmod(portable_hash([F.col("u"), F.col("v")], seed + 9) * 7 + F.col("v"), F.lit(max(m, 1)))
     return TemporalBipartite(pairs.select("u", "v", t.cast("long").alias("t")))
 
 
-def balance(g: TemporalBipartite) -> DataFrame:
-    """Sums of degrees on both sides, which must agree, and the largest degrees."""
+def balance(g: TemporalBipartite, left: DataFrame | None = None, right: DataFrame | None = None) -> DataFrame:
+    """Sums of degrees on both sides and the largest degrees; with the expected degrees also their sums, which must agree."""
     pairs = g.edges.select("u", "v").distinct()
     u = pairs.groupBy("u").count().agg(F.sum("count").alias("sum_u"), F.max("count").alias("max_u"))
     v = pairs.groupBy("v").count().agg(F.sum("count").alias("sum_v"), F.max("count").alias("max_v"))
-    return u.crossJoin(v)
+    both = u.crossJoin(v)
+    if left is None or right is None:
+        return both
+    return both.crossJoin(left.agg(F.sum("du").alias("expected_u"))).crossJoin(right.agg(F.sum("dv").alias("expected_v")))

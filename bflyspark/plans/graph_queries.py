@@ -287,8 +287,9 @@ def memory_levels(spark, sf_dir):
 
 def generated(**options):
     def run(spark, sf_dir):
-        g = hardness.power_law(spark, 2000, 2000, options.get("gamma_u", 2.5), options.get("gamma_v", 2.5), 300, 300, seed=3, exact=options.get("exact", False))
-        return hardness.balance(g)
+        law = (2000, 2000, options.get("gamma_u", 2.5), options.get("gamma_v", 2.5), 300, 300)
+        g = hardness.power_law(spark, *law, seed=3, exact=options.get("exact", False))
+        return hardness.balance(g, *hardness.expected_degrees(spark, *law, seed=3))
 
     return run
 

@@ -1,5 +1,9 @@
 """Queries that stand for a whole job and not for its first rows."""
 
+import pytest
+from pyspark.sql import functions as F
+
+from bflyspark.operators import hardness
 from bflyspark.plans import graph_queries, relops
 from bflyspark.sources import catalog
 
@@ -27,3 +31,15 @@ def test_five_thousand_random_windows(spark, small):
     got = {r.window_id: r for r in run["random_windows_5000_g2"][0](spark, small).collect()}
     assert sorted(got) == list(range(5000))
     assert all(got[r.window_id] == r for r in run["random_windows_hybrid_g2"][0](spark, small).collect())
+
+
+@pytest.mark.parametrize("exact", [False, True])
+def test_right_degrees_follow_their_bound_and_the_left_sum(spark, exact):
+    law = (3000, 400, 2.5, 2.5, 200, 40)
+    left, right = hardness.expected_degrees(spark, *law, seed=3)
+    g = hardness.power_law(spark, *law, seed=3, exact=exact)
+    row = hardness.balance(g, left, right).first()
+    assert row.expected_u == pytest.approx(row.expected_v) and right.agg(F.max("dv")).first()[0] <= 40
+    assert row.max_v <= 40 + 5 * 40**0.5 and row.sum_v == pytest.approx(row.expected_v, rel=0.1)
+    with pytest.raises(ValueError):
+        hardness.expected_degrees(spark, 3000, 10, 2.5, 2.5, 200, 40)
