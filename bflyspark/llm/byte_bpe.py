@@ -139,7 +139,7 @@ class Encoder:
 
 
 def encoder(path: str, pattern: str) -> Encoder:
-    return per_worker(("byte_bpe", path, pattern), lambda: Encoder(read_ranks(path), pattern))
+    return per_worker("byte_bpe", (path, pattern), lambda: Encoder(read_ranks(path), pattern))
 
 
 def encode_documents(docs: DataFrame, path: str, pattern: str, with_ids: bool = True) -> DataFrame:

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import ctypes
+import gc
 import sys
 import tempfile
 import uuid
@@ -34,11 +36,14 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
-def stored(df: DataFrame, label: str) -> DataFrame:
-    """Write a table to the shared folder as Parquet and read it back: it outlives lost executors."""
+def stored(df: DataFrame, label: str, row_group: int = 32 << 20) -> DataFrame:
+    """Write a table to the shared folder as Parquet and read it back: it outlives lost executors.
+
+    Small row groups bound what a writer holds and what a reader of long values takes in at once.
+    """
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{label}-{uuid.uuid4().hex}"
-    df.write.option("compression", "zstd").parquet(path)
+    df.write.option("compression", "zstd").option("parquet.block.size", row_group).parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
@@ -47,16 +52,29 @@ def ascii_lower(col: Column) -> Column:
     return F.translate(col, ASCII_UPPER, ASCII_LOWER)
 
 
-def per_worker(key, build):
-    """Build once in each Python worker process; later tasks of that worker reuse it."""
+def per_worker(name: str, version, build):
+    """One value per name in each Python worker process: later tasks reuse it until another version is asked for."""
     cache = sys.__dict__.setdefault("_bfly_worker_cache", {})
-    if key not in cache:
-        cache[key] = build()
-    return cache[key]
-
-
-def bounded_batches(spark: SparkSession, rows: int = 2000) -> None:
-    """Arrow batches of fewer rows, as long texts would make the usual ones large."""
-    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
-    if int(spark.conf.get(key)) > rows:
-        spark.conf.set(key, rows)
+    held = cache.get(name)
+    if held is None or held[0] != version:
+        cache.pop(name, None)
+        held = cache[name] = (version, build())
+    return held[1]
+
+
+def forget(*names: str) -> None:
+    """Drop values that an earlier stage has left in this worker, and hand the memory back."""
+    cache = sys.__dict__.get("_bfly_worker_cache", {})
+    if [cache.pop(n) for n in names if n in cache]:
+        gc.collect()
+        trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+        if trim:
+            trim(0)
+
+
+def bounded_batches(spark: SparkSession, rows: int = 2000, size: int = 8 << 20) -> None:
+    """Arrow batches of fewer rows and bytes, as long texts would make the usual ones large."""
+    for key, limit in (("spark.sql.execution.arrow.maxRecordsPerBatch", rows), ("spark.sql.execution.arrow.maxBytesPerBatch", size)):
+        now = spark.conf.get(key).removesuffix("B").removesuffix("b")
+        if not now.isdigit() or not 0 < int(now) <= limit:
+            spark.conf.set(key, limit)

@@ -11,6 +11,8 @@ LATIN_LETTER = "A-Za-z\xaa\xb5\xba\xc0-\xd6\xd8-\xf6\xf8-ɏ"
 LATIN_NUMBER = "0-9\xb2\xb3\xb9\xbc-\xbe"
 LATIN_BLANK = r"\t-\r \x85\xa0"
 
+WORD_BYTES = 64
+
 BEYOND_LATIN = re.compile("[^\x00-ɏ]")
 
 
@@ -30,12 +32,16 @@ class Cutter:
 
 
 class Memo:
-    """Values of words, the recent ones kept: two generations of bounded size, the older one dropped when the newer is full."""
+    """Values of words, the recent ones kept: two generations of bounded size, the older one dropped when the newer is full.
+
+    size is in words that take WORD_BYTES at most; longer ones count as several.
+    """
 
     def __init__(self, size: int, fill):
         self.size, self.fill = size, fill
         self.new: dict[str, object] = {}
         self.old: dict[str, object] = {}
+        self.long = 0
 
     def __call__(self, words: list[str]) -> list:
         new = self.new
@@ -50,8 +56,9 @@ class Memo:
                     new[words[i]] = value
             if missing:
                 new.update(zip(missing, self.fill(list(missing)), strict=True))
+                self.long += sum(len(w) // WORD_BYTES for w in missing if len(w) > WORD_BYTES)
             for i in gaps:
                 out[i] = new[words[i]]
-            if len(new) > self.size:
-                self.old, self.new = new, {}
+            if len(new) + self.long > self.size:
+                self.old, self.new, self.long = new, {}, 0
         return out

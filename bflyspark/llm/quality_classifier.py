@@ -15,6 +15,7 @@ Repeats, ties and null ids need no care; extra columns are left alone.
 
 from __future__ import annotations
 
+import hashlib
 import zlib
 from dataclasses import dataclass
 from operator import eq
@@ -89,6 +90,14 @@ class Model:
     vectors: np.ndarray
     weights: np.ndarray
     bias: np.ndarray
+    digest: str = ""  # of all parameters, made once; it tells the word tables of models apart
+
+    def __post_init__(self):
+        parts = (repr(self.settings).encode(), *(np.ascontiguousarray(x).data for x in (self.vectors, self.weights, self.bias)))
+        whole = hashlib.sha256()
+        for part in parts:
+            whole.update(part)
+        self.digest = whole.hexdigest()
 
     def word_vectors(self, words: list[bytes]) -> np.ndarray:
         features, counts = word_features(words, self.settings)
@@ -96,7 +105,7 @@ class Model:
         return np.add.reduceat(self.vectors[features], ends - counts, axis=0) / counts[:, None]
 
     def scores(self, texts: list[str | None]) -> list[float]:
-        number, table = per_worker(("quality_classifier", self.vectors.tobytes()[:4096]), lambda: ({}, [np.zeros((0, self.settings.dim))]))
+        number, table = per_worker("quality_classifier", self.digest, lambda: ({}, [np.zeros((0, self.settings.dim))]))
         if len(number) > WORDS_KEPT:
             number.clear()
             table[0] = table[0][:0]

@@ -134,7 +134,7 @@ def repeated_lines(text: str) -> int:
 
 
 def _tools():
-    return per_worker("quality_rules", lambda: (class_table(), common_vocabulary()))
+    return per_worker("quality_rules", 0, lambda: (class_table(), common_vocabulary()))
 
 
 def references(docs: DataFrame) -> dict[str, tuple[np.ndarray, np.ndarray]]:

@@ -61,7 +61,7 @@ def stretches(data: np.ndarray, valid: np.ndarray) -> tuple[np.ndarray, np.ndarr
 
     data: bytes of texts; valid: whether a string of LENGTH bytes of one text starts at each place.
     """
-    table, up, down = per_worker("suffix_dedup", powers)
+    table, up, down = per_worker("suffix_dedup", 0, powers)
     n = len(data)
     if n < LENGTH or not valid.any():
         return (np.zeros(0, np.int64),) * 2 + (np.zeros(0, np.uint64),) * 2

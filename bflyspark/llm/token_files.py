@@ -1,6 +1,7 @@
 """Token files in canonical length-limited Huffman code.
 
-Texts are encoded to ids with the tokenizers library, piece by piece with a memo of pieces. Ids are
+Texts are encoded to ids with the tokenizers library as it comes: cut at the vocabulary's added tokens
+first, then into pieces, with a memo of pieces of bounded size that is dropped when encoding ends. Ids are
 counted over the whole corpus, which gives one code book of fixed size (package-merge under a length
 limit, then canonical codes). Documents are coded, dealt by ranges of doc_id and packed in order into
 segments. A segment holds an index of documents, checkpoints (the bit offset of every block of
@@ -16,25 +17,28 @@ first; repeated rows and ties keep one entry each. An empty table gives no files
 
 from __future__ import annotations
 
+import json
+import re
 import struct
 import zlib
-from bisect import bisect_right
-from itertools import chain
+from itertools import chain, pairwise
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import per_worker, read_table, stored
+from .common import forget, per_worker, read_table, stored
 from .pieces import Cutter, Memo
 
 END_ID = 2
 BLOCK = 1024
-SEGMENT_BYTES = 2 << 20
+SEGMENT_BYTES = 1 << 20
 FILE_BYTES = 24 << 20
+FILES_BROADCAST = 1 << 20  # a row of 16 bytes per file; beyond it the starts are joined by a shuffle
+IDS_AT_ONCE = 1 << 18  # ids that a task codes side by side
 CODE_LIMIT = 18
-PIECES_KEPT = 400_000
+PIECES_KEPT = 250_000
 MAGIC = b"BFH1"
 
 
@@ -48,7 +52,12 @@ class PieceEncoder:
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.tokenizer.encode_special_tokens = True
+        with open(path, encoding="utf-8") as described:
+            own = json.load(described)
+        added = sorted((t["content"] for t in own["added_tokens"]), key=len, reverse=True)
+        self.added = re.compile(f"({'|'.join(map(re.escape, added))})") if added else None
+        # Added tokens that take in blanks or wait for word ends, and normalizers, are left to the library.
+        self.whole = bool(own["normalizer"]) or any(t[k] for t in own["added_tokens"] for k in ("single_word", "lstrip", "rstrip")) or any("\n" in t for t in added)
         self.cut = Cutter(pattern)
         self.dtype = np.dtype("<u2" if self.tokenizer.get_vocab_size() < 1 << 16 else "<u4")
         self.mark = self.tokenizer.encode("\n", add_special_tokens=False).ids
@@ -71,8 +80,17 @@ class PieceEncoder:
         out.update((p, np.array(e.ids, self.dtype).tobytes()) for p, e in zip(rest, self.tokenizer.encode_batch_fast(rest, add_special_tokens=False), strict=True))
         return [out[p] for p in pieces]
 
+    def pieces(self, text: str) -> list[str]:
+        """Added tokens as they are, and the pieces of what lies between them."""
+        if self.added is None or not self.added.search(text):
+            return self.cut(text)
+        parts = self.added.split(text)
+        return list(chain.from_iterable([p] if k % 2 else self.cut(p) for k, p in enumerate(parts)))
+
     def __call__(self, texts: list[str | None], end: int) -> list[bytes]:
-        cut = [self.cut(t) if t else [] for t in texts]
+        if self.whole:
+            return [np.array([*e.ids, end], self.dtype).tobytes() for e in self.tokenizer.encode_batch_fast([t or "" for t in texts], add_special_tokens=False)]
+        cut = [self.pieces(t) if t else [] for t in texts]
         codes = self.known(list(chain.from_iterable(cut)))
         tail, at, out = np.array([end], self.dtype).tobytes(), 0, []
         for pieces in cut:
@@ -212,7 +230,7 @@ def token_table(docs: DataFrame, path: str, pattern: str) -> DataFrame:
     """doc_id, n_tokens, ids (packed little-endian, the end id last)."""
 
     def run(batches):
-        encoder = per_worker(("token_files", path), lambda: PieceEncoder(path, pattern))
+        encoder = per_worker("token_files", (path, pattern), lambda: PieceEncoder(path, pattern))
         for batch in batches:
             for at in range(0, batch.num_rows, 256):
                 rows = batch.slice(at, 256)
@@ -233,6 +251,7 @@ def global_counts(tokens: DataFrame, dtype: np.dtype) -> np.ndarray:
     """How often each id occurs in the corpus; every task sums its own first. Bounded by the vocabulary."""
 
     def run(batches):
+        forget("token_files")
         total = np.zeros(0, np.int64)
         for batch in batches:
             for x in batch.column(0).to_pylist():
@@ -260,17 +279,16 @@ def write_files(docs: DataFrame, path: str, pattern: str) -> tuple[DataFrame, Co
     book = CodeBook(code_lengths(counts))
     coded_bytes = int((counts * book.lengths).sum()) // 8
     files = max(1, coded_bytes // FILE_BYTES)
-    bounds = tokens.select(F.percentile_approx("doc_id", [i / files for i in range(1, files)], 20_000)).first()[0] if files > 1 else []
-    bounds = sorted(set(bounds or []))
 
     def code(batches):
+        forget("token_files")
         for batch in batches:
-            for at in range(0, batch.num_rows, 200):
-                rows = batch.slice(at, 200)
-                own = rows.column(0).to_pylist()
+            part = (np.cumsum(batch.column(1).to_numpy()) // IDS_AT_ONCE).tolist()
+            edges = [0, *(i for i in range(1, len(part)) if part[i] != part[i - 1]), len(part)] if part else []
+            for a, b in pairwise(edges):
+                rows = batch.slice(a, b - a)
                 coded = book.encode([np.frombuffer(x, dtype) for x in rows.column(2).to_pylist()])
-                place = [0 if i is None else bisect_right(bounds, i) for i in own]
-                yield pa.RecordBatch.from_arrays([pa.array(place, pa.int32()), rows.column(0), rows.column(1), pa.array([c[0] for c in coded], pa.binary()), pa.array([c[1].tobytes() for c in coded], pa.binary())], ["file", "doc_id", "n_tokens", "bits", "checkpoints"])
+                yield pa.RecordBatch.from_arrays([rows.column(0), rows.column(1), pa.array([c[0] for c in coded], pa.binary()), pa.array([c[1].tobytes() for c in coded], pa.binary())], ["doc_id", "n_tokens", "bits", "checkpoints"])
 
     def pack(batches):
         file, place, before, size, docs = None, 0, 0, 0, []
@@ -293,29 +311,32 @@ def write_files(docs: DataFrame, path: str, pattern: str) -> tuple[DataFrame, Co
         if docs:
             yield flush()
 
-    coded = tokens.mapInArrow(code, "file int, doc_id long, n_tokens long, bits binary, checkpoints binary")
-    dealt = coded.repartition(max(len(bounds) + 1, 1), "file").sortWithinPartitions("file", F.col("doc_id").asc_nulls_first(), F.crc32("bits"), "n_tokens")
-    return stored(dealt.mapInArrow(pack, "file int, place int, tokens_before long, tokens long, data binary"), "token-files"), book
+    coded = tokens.mapInArrow(code, "doc_id long, n_tokens long, bits binary, checkpoints binary")
+    order = (F.col("doc_id").asc_nulls_first(), F.crc32("bits"), F.col("n_tokens"))
+    dealt = coded.repartitionByRange(files, *order).withColumn("file", F.spark_partition_id()).sortWithinPartitions(*order)
+    packed = dealt.select("file", "doc_id", "n_tokens", "bits", "checkpoints").mapInArrow(pack, "file int, place int, tokens_before long, tokens long, data binary")
+    return stored(packed, "token-files", 8 << 20), book
 
 
 def read_files(files: DataFrame, book: CodeBook) -> DataFrame:
     """doc_id, start, n_tokens, ids_crc32 of every document, decoded from the files."""
-    totals = sorted(files.groupBy("file").agg(F.sum("tokens").alias("n")).collect())  # a row per file
-    start_of, sofar = {}, 0
-    for row in totals:
-        start_of[row.file] = sofar
-        sofar += row.n
+    totals = files.groupBy("file").agg(F.sum("tokens").alias("n"))
+    first = totals.select("file", (F.sum("n").over(Window.orderBy("file")) - F.col("n")).alias("first"))  # a row per file
+    if files.select("file").distinct().count() <= FILES_BROADCAST:
+        first = F.broadcast(first)
 
     def run(batches):
         for batch in batches:
-            for file, before, data in zip(*(batch.column(k).to_pylist() for k in range(3)), strict=True):
+            for i in range(batch.num_rows):  # one segment at a time
+                start, data = batch.column(0)[i].as_py(), batch.column(1)[i].as_py()
                 docs = unpack_segment(data, book)
                 n = np.array([len(d[1]) for d in docs], np.int64)
-                starts = start_of[file] + before + np.cumsum(n) - n
+                starts = start + np.cumsum(n) - n
                 crc = [zlib.crc32(np.ascontiguousarray(d[1], "<u4").data) for d in docs]
                 yield pa.RecordBatch.from_arrays([pa.array([d[0] for d in docs], pa.int64()), pa.array(starts), pa.array(n), pa.array(crc, pa.int64())], ["doc_id", "start", "n_tokens", "ids_crc32"])
 
-    return files.select("file", "tokens_before", "data").mapInArrow(run, "doc_id long, start long, n_tokens long, ids_crc32 long")
+    placed = files.join(first, "file").select((F.col("first") + F.col("tokens_before")).alias("start"), "data")
+    return placed.mapInArrow(run, "doc_id long, start long, n_tokens long, ids_crc32 long")
 
 
 def op3_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -102,9 +102,10 @@ def test_byte_bpe_random_strings():
 
 
 def test_token_files_round_trip(tiny, odd, none):
-    lib = Tokenizer.from_file(BPE)
-    lib.encode_special_tokens = True
-    for df in (tiny, odd):
+    lib = Tokenizer.from_file(BPE)  # as it comes: added tokens in a text are found
+    marked = tiny.sparkSession.createDataFrame([(5, "a <|endoftext|> b"), (3, "<|endoftext|><|endoftext|>x"), (4, " <|endoftext|>\n"), (1, "<|endoftext|"), (2, None)], "doc_id long, text string")
+    assert 50256 in lib.encode("a <|endoftext|> b", add_special_tokens=False).ids
+    for df in (tiny, odd, marked):
         files, book = token_files.write_files(df, BPE, public_tokenizers.PATTERN)
         got = sorted((r.start, r.n_tokens, r.ids_crc32, r.doc_id if r.doc_id is not None else -1) for r in token_files.read_files(files, book).collect())
         start, want = 0, []
@@ -340,6 +341,46 @@ def test_classifier(spark, small, odd, none, tiny):
     assert quality_classifier.score(none, model).count() == 0
     empty = quality_classifier.fit(none, labels.limit(0))
     assert [r.score for r in quality_classifier.score(tiny.limit(2), empty).collect()] == pytest.approx([0.5, 0.5])
+    one_label = quality_classifier.fit(docs, labels.where("quality = 1"))
+    assert all(r.score > 0.99 for r in quality_classifier.score(tiny, one_label).collect())
+    unknown = quality_classifier.fit(docs, labels.selectExpr("doc_id", "cast(null as int) as quality"))
+    assert all(r.score == 0.5 for r in quality_classifier.score(tiny, unknown).collect())
+
+
+def plain_score(model, text):
+    """The score by the definition: feature by feature, no tables, nothing remembered."""
+    s = model.settings
+
+    def vector(word):
+        marked = b"<" + word + b">"
+        found = [zlib.crc32(word) % s.buckets]
+        for n in s.grams:
+            for i in range(len(marked) - n + 1):
+                h = 14695981039346656037
+                for b in marked[i : i + n]:
+                    h = ((h ^ (b + 1)) * 1099511628211) % (1 << 64)
+                found.append((h ^ (h >> 29)) % s.buckets)
+        return np.mean([model.vectors[f] for f in found], axis=0)
+
+    words = text.encode("utf-8", "replace").split()
+    out = np.mean([vector(w) for w in quality_classifier.shape_tokens(words, text)], axis=0) * s.shape_weight
+    if words:
+        out = out + np.mean([vector(w) for w in words], axis=0)
+    z = np.exp(out @ model.weights + model.bias)
+    return z[1] / z.sum()
+
+
+def test_classifier_models_stay_apart(spark, tiny, odd):
+    """Two models from one seed, one after the other in the same workers, and both against the definition."""
+    rows = tiny.where("text is not null").orderBy("doc_id").limit(80).collect()
+    texts = [r.text[:2000] for r in rows]
+    models = [quality_classifier.train(texts, [f(i) for i in range(len(texts))]) for f in (lambda i: i % 2, lambda i: int(i < 40))]
+    assert models[0].digest != models[1].digest
+    sample = spark.createDataFrame([(i, t) for i, t in enumerate([*texts[:12], "", "é漢字 ñ", "x" * 300])], "doc_id long, text string").coalesce(1)
+    for model in (*models, models[0]):
+        for r in quality_classifier.score(sample, model).collect():
+            text = [*texts[:12], "", "é漢字 ñ", "x" * 300][r.doc_id]
+            assert r.score == pytest.approx(plain_score(model, text), abs=1e-9)
 
 
 # 9
