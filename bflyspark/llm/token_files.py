@@ -38,7 +38,7 @@ FILE_BYTES = 24 << 20
 FILES_BROADCAST = 1 << 20  # a row of 16 bytes per file; beyond it the starts are joined by a shuffle
 IDS_AT_ONCE = 1 << 18  # ids that a task codes side by side
 CODE_LIMIT = 18
-PIECES_KEPT = 250_000
+PIECES_KEPT = 450_000
 MAGIC = b"BFH1"
 
 
@@ -68,8 +68,8 @@ class PieceEncoder:
         out: dict[str, bytes] = {}
         lined = [p for p in pieces if p.strip() and "\n" not in p]
         width = self.dtype.itemsize
-        for at in range(0, len(lined), 500):
-            part = lined[at : at + 500]
+        for at in range(0, len(lined), 64):
+            part = lined[at : at + 64]
             ids = np.array(self.tokenizer.encode_batch_fast(["\n".join(part)], add_special_tokens=False)[0].ids, self.dtype)
             breaks = np.flatnonzero(ids == self.mark[0]) if len(self.mark) == 1 else []
             if len(breaks) == len(part) - 1:
@@ -254,13 +254,10 @@ def global_counts(tokens: DataFrame, dtype: np.dtype) -> np.ndarray:
         forget("token_files")
         total = np.zeros(0, np.int64)
         for batch in batches:
-            for x in batch.column(0).to_pylist():
-                c = np.bincount(np.frombuffer(x, dtype))
-                if len(c) > len(total):
-                    c[: len(total)] += total
-                    total = c
-                else:
-                    total[: len(c)] += c
+            for at in range(0, batch.num_rows, 200):
+                c = np.bincount(np.frombuffer(b"".join(batch.column(0).slice(at, 200).to_pylist()), dtype), minlength=len(total))
+                c[: len(total)] += total
+                total = c
         used = np.flatnonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array(used, pa.int64()), pa.array(total[used], pa.int64())], ["id", "n"])
 
@@ -280,17 +277,16 @@ def write_files(docs: DataFrame, path: str, pattern: str) -> tuple[DataFrame, Co
     coded_bytes = int((counts * book.lengths).sum()) // 8
     files = max(1, coded_bytes // FILE_BYTES)
 
-    def code(batches):
-        forget("token_files")
-        for batch in batches:
-            part = (np.cumsum(batch.column(1).to_numpy()) // IDS_AT_ONCE).tolist()
-            edges = [0, *(i for i in range(1, len(part)) if part[i] != part[i - 1]), len(part)] if part else []
-            for a, b in pairwise(edges):
-                rows = batch.slice(a, b - a)
-                coded = book.encode([np.frombuffer(x, dtype) for x in rows.column(2).to_pylist()])
-                yield pa.RecordBatch.from_arrays([rows.column(0), rows.column(1), pa.array([c[0] for c in coded], pa.binary()), pa.array([c[1].tobytes() for c in coded], pa.binary())], ["doc_id", "n_tokens", "bits", "checkpoints"])
+    def code(batch):
+        """file, doc_id, n_tokens, bits and checkpoints of a batch's documents, some IDS_AT_ONCE ids at a time."""
+        part = (np.cumsum(batch.column(2).to_numpy()) // IDS_AT_ONCE).tolist()
+        edges = [0, *(i for i in range(1, len(part)) if part[i] != part[i - 1]), len(part)] if part else []
+        for a, b in pairwise(edges):
+            f, doc, n, ids = (c.to_pylist() for c in batch.slice(a, b - a).columns)
+            yield from ((*row, *coded) for row, coded in zip(zip(f, doc, n, strict=True), book.encode([np.frombuffer(x, dtype) for x in ids]), strict=True))
 
     def pack(batches):
+        forget("token_files")
         file, place, before, size, docs = None, 0, 0, 0, []
 
         def flush():
@@ -298,7 +294,7 @@ def write_files(docs: DataFrame, path: str, pattern: str) -> tuple[DataFrame, Co
             return pa.RecordBatch.from_arrays([pa.array([file], pa.int32()), pa.array([place], pa.int32()), pa.array([before], pa.int64()), pa.array([n], pa.int64()), pa.array([pack_segment(docs)], pa.binary())], ["file", "place", "tokens_before", "tokens", "data"])
 
         for batch in batches:
-            for f, doc, n, bits, marks in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+            for f, doc, n, bits, marks in code(batch):
                 if docs and (f != file or size > SEGMENT_BYTES):
                     yield flush()
                     place, before = (place + 1, before + sum(d[1] for d in docs)) if f == file else (0, 0)
@@ -306,15 +302,15 @@ def write_files(docs: DataFrame, path: str, pattern: str) -> tuple[DataFrame, Co
                 elif f != file:
                     place, before = 0, 0
                 file = f
-                docs.append((doc, n, bits, np.frombuffer(marks, np.uint32)))
+                docs.append((doc, n, bits, marks))
                 size += len(bits)
         if docs:
             yield flush()
 
-    coded = tokens.mapInArrow(code, "doc_id long, n_tokens long, bits binary, checkpoints binary")
-    order = (F.col("doc_id").asc_nulls_first(), F.crc32("bits"), F.col("n_tokens"))
-    dealt = coded.repartitionByRange(files, *order).withColumn("file", F.spark_partition_id()).sortWithinPartitions(*order)
-    packed = dealt.select("file", "doc_id", "n_tokens", "bits", "checkpoints").mapInArrow(pack, "file int, place int, tokens_before long, tokens long, data binary")
+    # Ranges are drawn from two narrow columns; rows that agree in both are told apart inside their file.
+    order = (F.col("doc_id").asc_nulls_first(), F.col("n_tokens"))
+    dealt = tokens.repartitionByRange(files, *order).withColumn("file", F.spark_partition_id()).sortWithinPartitions(*order, F.crc32("ids"))
+    packed = dealt.select("file", "doc_id", "n_tokens", "ids").mapInArrow(pack, "file int, place int, tokens_before long, tokens long, data binary")
     return stored(packed, "token-files", 8 << 20), book
 
 
