@@ -23,9 +23,14 @@ def kept(columns: list[Column], share: float, seed: int) -> Column:
     return portable_hash(columns, seed) < F.lit(round(share * PRIME))
 
 
-def kept_sql(columns: list[str], share: float, seed: int) -> str:
-    """The same choice as SQL text."""
+def hash_sql(columns: list[str], seed: int) -> str:
+    """The same hash as SQL text."""
     total = str(seed % PRIME)
     for c, f in zip(columns, FACTORS, strict=False):
         total = f"((({total} + ((({c}) % {PRIME}) + {PRIME}) % {PRIME} + 1) * {f}) % {PRIME})"
-    return f"((({total}) * ({total}) + ({total}) * 7919) % {PRIME}) < {round(share * PRIME)}"
+    return f"((({total}) * ({total}) + ({total}) * 7919) % {PRIME})"
+
+
+def kept_sql(columns: list[str], share: float, seed: int) -> str:
+    """The same choice as SQL text."""
+    return f"{hash_sql(columns, seed)} < {round(share * PRIME)}"

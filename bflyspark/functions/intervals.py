@@ -28,30 +28,53 @@ def compose(a: Column, b: Column) -> Column:
     return interval(F.least(a["l"], b["l"]), F.greatest(a["r"], b["r"]))
 
 
-def minimal(candidates: Column) -> Column:
-    """The candidates that hold no other one, by rising l. One backward walk keeps the smallest r so far."""
-    key = F.transform(candidates, lambda c: F.struct((-c["l"]).alias("nl"), c["r"].alias("r")))
-    start = F.struct(F.array().cast(f"array<{INTERVAL}>").alias("kept"), F.lit((1 << 63) - 1).alias("least"))
-    walked = F.aggregate(
-        F.array_sort(key),
-        start,
-        lambda acc, c: F.when(c["r"] < acc["least"], F.struct(F.concat(F.array(interval(-c["nl"], c["r"])), acc["kept"]).alias("kept"), c["r"].alias("least"))).otherwise(acc),
-    )
-    return walked["kept"]
+def bound(value: Column, body) -> Column:
+    """body(value), with the value computed once per row: in there it is a variable of a lambda."""
+    return F.transform(F.array(value), body)[0]
+
+
+def merged_stairs(a: Column, b: Column) -> Column:
+    """Minimal intervals that hold one of a and one of b, in one merge of two staircases.
+
+    A start l asks for the least r: the larger of the ends of the first steps of a and b from l on. In the
+    order of starts the k-th entry, if it is the i-th of its own staircase, has k - i of the other before
+    it, so both steps are found by place. A start counts if no later one has the same r, and if no entry
+    with the same start has a smaller one.
+    """
+
+    def entries(stairs: Column, source: int) -> Column:
+        return F.transform(stairs, lambda s, i: F.struct(s["l"].alias("l"), F.lit(source).alias("source"), i.alias("place")))
+
+    def merge(a: Column, b: Column) -> Column:
+        def least_end(e: Column, k: Column) -> Column:
+            own, other = e["place"], k - e["place"]
+            first = F.get(a, F.when(e["source"] == 0, own).otherwise(other))["r"]
+            second = F.get(b, F.when(e["source"] == 0, other).otherwise(own))["r"]
+            return F.struct(e["l"].alias("l"), F.when(first.isNotNull() & second.isNotNull(), F.greatest(first, second)).alias("r"))
+
+        def kept(steps: Column) -> Column:
+            later, earlier = lambda k: F.get(steps, k + 1), lambda k: F.get(steps, k - 1)
+            falls = lambda s, k: later(k)["r"].isNull() | (s["r"] < later(k)["r"])
+            beaten = lambda s, k: F.coalesce((earlier(k)["l"] == s["l"]) & (earlier(k)["r"] < s["r"]), F.lit(False))
+            return F.filter(steps, lambda s, k: s["r"].isNotNull() & falls(s, k) & ~beaten(s, k))
+
+        order = F.array_sort(F.concat(entries(a, 0), entries(b, 1)))
+        return bound(order, lambda m: bound(F.transform(m, least_end), kept))
+
+    return bound(a, lambda x: bound(b, lambda y: merge(x, y))).cast(f"array<{INTERVAL}>")
 
 
 def wedge_stairs(times1: Column, times2: Column) -> Column:
-    """Minimal intervals of a wedge from the sorted times of its two edges."""
+    """Minimal intervals of a wedge from the sorted times of its two edges; an edge's times are a staircase of points."""
     simple = (F.size(times1) == 1) & (F.size(times2) == 1)
-    every = F.flatten(F.transform(times1, lambda a: F.transform(times2, lambda b: wedge_interval(a, b))))
-    return F.when(simple, F.array(wedge_interval(times1[0], times2[0]))).otherwise(minimal(every))
+    steps = lambda times: F.transform(times, lambda t: interval(t, t))
+    return F.when(simple, F.array(wedge_interval(times1[0], times2[0]))).otherwise(merged_stairs(steps(times1), steps(times2)))
 
 
 def compose_stairs(a: Column, b: Column) -> Column:
     """Minimal intervals of a butterfly from those of its two wedges."""
     simple = (F.size(a) == 1) & (F.size(b) == 1)
-    every = F.flatten(F.transform(a, lambda x: F.transform(b, lambda y: compose(x, y))))
-    return F.when(simple, F.array(compose(a[0], b[0]))).otherwise(minimal(every))
+    return F.when(simple, F.array(compose(a[0], b[0]))).otherwise(merged_stairs(a, b))
 
 
 def signed_points(stairs: Column) -> Column:

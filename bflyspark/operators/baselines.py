@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from ..functions.hashing import portable_hash
 from ..functions.intervals import choose2
+from ..functions.ranking import running
 from ..sources.graph import TemporalBipartite, project
 from .dominance import all_windows
 from .wedges import GROUP, priority_wedges
@@ -32,9 +33,8 @@ def relabelled(g: TemporalBipartite) -> TemporalBipartite:
     def ranks(side: str) -> DataFrame:
         deg = g.edges.select("u", "v").distinct().groupBy(side).agg(F.count("*").alias("deg"))
         per = deg.groupBy("deg").agg(F.count("*").alias("n"))
-        before = per.withColumn("before", F.sum("n").over(Window.orderBy(F.desc("deg"))) - F.col("n"))  # a row per degree
-        inside = F.row_number().over(Window.partitionBy("deg").orderBy(side))
-        return deg.withColumn("inside", inside).join(F.broadcast(before), "deg").select(side, (F.col("before") + F.col("inside") - 1).cast("long").alias(f"new_{side}"))
+        first = per.select("deg", (F.sum("n").over(Window.orderBy(F.desc("deg"))) - F.col("n")).alias("first"))  # a row per degree
+        return running(deg, side, by=("deg",)).join(F.broadcast(first), "deg").select(side, (F.col("first") + F.col("before")).cast("long").alias(f"new_{side}"))
 
     both = g.edges.join(ranks("u"), "u").join(ranks("v"), "v")
     return TemporalBipartite(both.select(F.col("new_u").alias("u"), F.col("new_v").alias("v"), "t"))
@@ -54,23 +54,27 @@ def four_way(g: TemporalBipartite, windows: DataFrame) -> DataFrame:
 def sampled_pairs(g: TemporalBipartite, windows: DataFrame, draws: int, side: str = "u", seed: int = 1, weights: str = "degree") -> DataFrame:
     """window_id, draw, value: unbiased single estimates from pairs of vertices of one side.
 
-    Both ends of a pair are drawn by degree (an edge each, with replacement) or evenly. Edges are numbered by
-    rank inside their window, draws pick numbers by modular arithmetic.
+    Both ends of a pair are drawn by degree (an edge each, with replacement) or evenly. Each vertex owns as
+    many numbers of its window as its degree; draws pick numbers by modular arithmetic. A number is looked
+    up by the block of ids that holds it, and then by the vertex inside.
     """
     end, other = ("u", "v") if side == "u" else ("v", "u")
     pairs = project(g, windows).select("window_id", F.col(end).alias("e"), F.col(other).alias("o"))
     deg = pairs.groupBy("window_id", "e").agg(F.count("*").alias("deg"))
-    if weights == "degree":
-        pool = pairs.join(deg, ["window_id", "e"]).select("window_id", "e", "deg", F.row_number().over(Window.partitionBy("window_id").orderBy("e", "o")).alias("k"))
-    else:
-        pool = deg.select("window_id", "e", "deg", F.row_number().over(Window.partitionBy("window_id").orderBy("e")).alias("k"))
-    total = pool.groupBy("window_id").agg(F.count("*").alias("m"))
+    own = F.col("deg") if weights == "degree" else F.lit(1).cast("long")
+    pool = running(deg, "e", own, ("window_id",)).select("window_id", "e", "deg", (F.col("before") + 1).alias("first"), (F.col("before") + own).alias("last"), F.shiftright("e", 12).alias("block"))
+    blocks = pool.groupBy("window_id", "block").agg(F.min("first").alias("first"), F.max("last").alias("last"))
+    total = pool.groupBy("window_id").agg(F.max("last").alias("m"))
     asked = total.withColumn("draw", F.explode(F.sequence(F.lit(1), F.lit(draws)))).withColumn("draw", F.col("draw").cast("long"))
     pick = lambda which: 1 + F.pmod(portable_hash([F.col("draw") * 2 + which, F.col("window_id"), F.col("draw")], seed) * 1009 + portable_hash([F.col("draw") + 7919, F.col("window_id")], seed + 13 + which), F.col("m"))
     asked = asked.withColumn("ka", pick(0)).withColumn("kb", pick(1))
-    a = pool.select("window_id", F.col("k").alias("ka"), F.col("e").alias("a"), F.col("deg").alias("da"))
-    b = pool.select("window_id", F.col("k").alias("kb"), F.col("e").alias("b"), F.col("deg").alias("db"))
-    drawn = asked.join(a, ["window_id", "ka"]).join(b, ["window_id", "kb"])
+
+    def owner(rows: DataFrame, number: str, name: str, degree: str) -> DataFrame:
+        inside = F.col(number).between(F.col("first"), F.col("last"))
+        near = rows.join(blocks, "window_id").where(inside).drop("first", "last")
+        return near.join(pool, ["window_id", "block"]).where(inside).drop("first", "last", "block").withColumnsRenamed({"e": name, "deg": degree})
+
+    drawn = owner(owner(asked, "ka", "a", "da"), "kb", "b", "db")
     near_a = pairs.select("window_id", F.col("e").alias("a"), "o")
     near_b = pairs.select("window_id", F.col("e").alias("b"), "o")
     common = drawn.where("a <> b").join(near_a, ["window_id", "a"]).join(near_b, ["window_id", "b", "o"]).groupBy("window_id", "draw").agg(F.count("*").alias("c"))

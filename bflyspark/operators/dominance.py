@@ -6,6 +6,9 @@ dyadic  each point in one node per level of a binary tree over l, running sums b
         asks one node per level; for many points, many windows and many times
 sweep   a merge tree per partition of points, answered for all windows in numpy; for offline batches
 packed  sorted arrays per key, counted inside an expression; for many middle-sized keys
+
+With keys (the grouped index) dyadic keeps a tree per key, and sweep_groups answers a batch of windows from
+sums over each key's ranks, or from a merge tree for a key of many points.
 """
 
 from __future__ import annotations
@@ -74,15 +77,24 @@ def window_nodes(windows: DataFrame, low: int, height: int) -> DataFrame:
     return at.where(odd | root).select("window_id", "t_end", "level", "node")
 
 
-def dyadic(points: DataFrame, windows: DataFrame) -> DataFrame:
-    """As-of look-up of each node's last running sum at r <= t_end: a union sorted by r, no range join."""
-    low, height = tree_height(points)
-    tree = build_dyadic(points, low, height)
+def query_dyadic(tree: DataFrame, windows: DataFrame, low: int, height: int, keys: tuple[str, ...] = ()) -> DataFrame:
+    """As-of look-up of each node's last running sum at r <= t_end: a union sorted by r, no range join.
+
+    With keys, a window asks those nodes of its cover that a key has, if they hold a point in time at all.
+    """
     asked = window_nodes(windows, low, height)
-    both = tree.select("level", "node", "r", "cum", F.lit(0).alias("ask"), F.lit(None).cast("long").alias("window_id")).unionByName(asked.select("level", "node", F.col("t_end").alias("r"), F.lit(None).cast("long").alias("cum"), F.lit(1).alias("ask"), "window_id"))
-    order = Window.partitionBy("level", "node").orderBy("r", "ask").rowsBetween(Window.unboundedPreceding, 0)
+    if keys:
+        least = tree.groupBy(*keys, "level", "node").agg(F.min("r").alias("least"))
+        asked = least.join(asked, ["level", "node"]).where("least <= t_end").drop("least")
+    both = tree.select(*keys, "level", "node", "r", "cum", F.lit(0).alias("ask"), F.lit(None).cast("long").alias("window_id")).unionByName(asked.select(*keys, "level", "node", F.col("t_end").alias("r"), F.lit(None).cast("long").alias("cum"), F.lit(1).alias("ask"), "window_id"))
+    order = Window.partitionBy(*keys, "level", "node").orderBy("r", "ask").rowsBetween(Window.unboundedPreceding, 0)
     found = both.withColumn("seen", F.last("cum", ignorenulls=True).over(order)).where("ask = 1")
-    return found.groupBy("window_id").agg(F.sum(F.coalesce("seen", F.lit(0))).alias("cnt"))
+    return found.groupBy("window_id", *keys).agg(F.sum(F.coalesce("seen", F.lit(0))).alias("cnt"))
+
+
+def dyadic(points: DataFrame, windows: DataFrame, keys: tuple[str, ...] = ()) -> DataFrame:
+    low, height = tree_height(points)
+    return query_dyadic(build_dyadic(points, low, height, keys), windows, low, height, keys)
 
 
 def merge_tree_counts(l: np.ndarray, r: np.ndarray, w: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:  # noqa: E741
@@ -137,6 +149,68 @@ def sweep(points: DataFrame, windows: DataFrame, batch: int = 1 << 18) -> DataFr
     return points.select("l", "r", "w").mapInArrow(run, "window_id long, part long").groupBy("window_id").agg(F.sum("part").alias("cnt"))
 
 
+GRID_POINTS = 512
+
+
+class Batch:
+    """Windows in order of their starts and of their ends, so that ranks of a group's points are found by counting."""
+
+    def __init__(self, start: np.ndarray, end: np.ndarray):
+        self.start, self.end = start, end
+        self.starts, self.ends = np.sort(start), np.sort(end)
+        self.by_start, self.by_end = np.argsort(np.argsort(start, kind="stable")), np.argsort(np.argsort(end, kind="stable"))
+
+    def counts(self, l: np.ndarray, r: np.ndarray, w: np.ndarray) -> np.ndarray:  # noqa: E741
+        """Weight of one group's points inside each window: sums over all pairs of ranks, two look-ups a window; a merge tree for more points."""
+        n = len(l)
+        if n > GRID_POINTS:
+            return merge_tree_counts(l, r, w, self.start, self.end)
+        first = np.searchsorted(self.starts, np.sort(l), "right")  # windows from here on start behind the point
+        last = np.searchsorted(self.ends, np.sort(r), "left")  # windows from here on end at or behind it
+        i = np.cumsum(np.bincount(first, minlength=len(self.start) + 1))[self.by_start]
+        j = np.cumsum(np.bincount(last, minlength=len(self.end) + 1))[self.by_end]
+        table = np.zeros((n + 1, n + 1), np.int64)
+        np.add.at(table, (np.argsort(np.argsort(l, kind="stable"), kind="stable"), np.argsort(np.argsort(r, kind="stable"), kind="stable") + 1), w)
+        table = np.cumsum(np.cumsum(table[::-1], axis=0)[::-1], axis=1)
+        return table[i, j]
+
+
+def sweep_groups(groups: DataFrame, windows: DataFrame, keys: tuple[str, ...]) -> DataFrame:
+    """window_id, cnt: the sum over keys of C(c, 2), c the key's weight inside the window. A batch of windows goes to every task."""
+    ids, starts, ends = (windows.toArrow().column(k).to_numpy() for k in ("window_id", "t_start", "t_end"))
+
+    def run(batches):
+        batch, total = Batch(starts, ends), np.zeros(len(ids), np.int64)
+        held: list[np.ndarray] = []
+
+        def solve(l, r, w):  # noqa: E741
+            c = batch.counts(l, r, w)
+            np.add(total, c * (c - 1) // 2, out=total)
+
+        def whole(cols: list[np.ndarray], final: bool) -> list[np.ndarray]:
+            """Solve the groups that are complete; the last one may go on in the next batch."""
+            names = cols[:-3]
+            fresh = np.zeros(len(cols[0]), bool)
+            for c in names:
+                fresh[1:] |= c[1:] != c[:-1]
+            edges = [0, *np.flatnonzero(fresh).tolist()]
+            for a, b in zip(edges, edges[1:] + [len(fresh)], strict=True):
+                if b < len(fresh) or final:
+                    solve(*(c[a:b] for c in cols[-3:]))
+            return [] if final else [c[edges[-1] :] for c in cols]
+
+        for b in batches:
+            if b.num_rows:
+                new = [b.column(k).to_numpy(zero_copy_only=False) for k in range(b.num_columns)]
+                held = whole([np.concatenate(x) for x in zip(held, new, strict=True)] if held else new, False)
+        if held:
+            whole(held, True)
+        yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(total, pa.int64())], ["window_id", "part"])
+
+    dealt = groups.select(*keys, "l", "r", "w").repartition(*keys).sortWithinPartitions(*keys)
+    return dealt.mapInArrow(run, "window_id long, part long").groupBy("window_id").agg(F.sum("part").alias("cnt"))
+
+
 def packed_groups(points: DataFrame, keys: tuple[str, ...]) -> DataFrame:
     """One row per key with its points in an array, by r."""
     return points.groupBy(*keys).agg(F.array_sort(F.collect_list(F.struct("r", "l", "w"))).alias("pts"), F.min("l").alias("first"), F.max("r").alias("last"))

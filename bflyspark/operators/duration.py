@@ -1,18 +1,45 @@
-"""Indexes for many duration thresholds at once."""
+"""Indexes for many duration thresholds: built once up to a largest span, asked for any batch of smaller ones.
+
+A butterfly in time order is two wedges of one pair of ends, with other middles and four different times,
+that span at most delta. Small groups are enumerated: how many butterflies span exactly so much. Large
+groups stay as points, cut by stretches of time as long as the largest span, so that a group of any size is
+read by many tasks; each wedge asks how many wedges that begin after it end in time, from a merge tree or,
+in a stretch of few points, by its pairs.
+"""
 
 from __future__ import annotations
 
+from dataclasses import dataclass, field
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.intervals import choose2
-from ..sources.graph import TemporalBipartite
+from ..sources.graph import TemporalBipartite, in_windows
+from ..sources.scratch import written
 from .baselines import instance_wedges, timed_butterflies
+from .dominance import merge_tree_counts
+from .indexes import Cutoff, cutoff_by_share
+
+PAIRED = 2048  # points of a group up to which its pairs are read one by one; beyond, look-ups in a tree are fewer
+BATCH = 1 << 16  # points that a task holds before it answers, whole stretches at a time
+ASKED = 1 << 20  # look-ups at once
+
 
+@dataclass(frozen=True)
+class DurationIndex:
+    """spans: span, n of the enumerated part. points: x, z, cell, own, y, l, r, w of the grouped part; own marks those that ask."""
 
-def build_spans(g: TemporalBipartite, side: str = "v") -> DataFrame:
-    """span, butterflies: how many butterflies span exactly so much. The enumerated part's index."""
-    return timed_butterflies(g, None, side).groupBy((F.col("r") - F.col("l")).alias("span")).agg(F.count("*").alias("n"))
+    spans: DataFrame
+    points: DataFrame
+    meta: dict = field(default_factory=dict)
+
+
+def build_spans(g: TemporalBipartite, side: str = "v", largest: int | None = None) -> DataFrame:
+    """span, n: how many butterflies span exactly so much, up to the largest. The enumerated part's index."""
+    return timed_butterflies(g, largest, side).groupBy((F.col("r") - F.col("l")).alias("span")).agg(F.count("*").alias("n"))
 
 
 def query_spans(spans: DataFrame, deltas: DataFrame) -> DataFrame:
@@ -21,47 +48,156 @@ def query_spans(spans: DataFrame, deltas: DataFrame) -> DataFrame:
     return inside.groupBy("delta").agg(F.coalesce(F.sum("n"), F.lit(0)).alias("butterflies"))
 
 
-def _anchored(w: DataFrame, deltas: DataFrame, keys: list[str]) -> DataFrame:
-    """delta, n: pairs of wedges in a group with four different times, anchored on the earlier start.
-
-    Starts are summed per (group, l, r), so equal wedges are paired by their weights.
-    """
-    points = w.groupBy(*keys, "l", "r").agg(F.count("*").alias("w"))
-    a = points.select(*keys, F.col("l").alias("l1"), F.col("r").alias("r1"), F.col("w").alias("w1"))
-    b = points.select(*keys, F.col("l").alias("l2"), F.col("r").alias("r2"), F.col("w").alias("w2"))
-    both = a.join(b, keys).where("l2 > l1 and l2 <> r1 and r2 <> r1")
-    span = (F.greatest("r1", "r2") - F.col("l1")).alias("span")
-    per_span = both.groupBy(span).agg(F.sum(F.col("w1") * F.col("w2")).alias("n"))
-    return query_spans(per_span, deltas).withColumnRenamed("butterflies", "n")
-
-
-def grouped(g: TemporalBipartite, deltas: DataFrame, side: str = "v", wedges: DataFrame | None = None) -> DataFrame:
-    """Count by groups: all pairs in (x, z) less those that share their middle."""
-    w = instance_wedges(g, None, side) if wedges is None else wedges
-    every = _anchored(w, deltas, ["x", "z"])
-    same = _anchored(w, deltas, ["x", "z", "y"]).withColumnRenamed("n", "same")
-    return every.join(same, "delta").select("delta", (F.col("n") - F.col("same")).cast("long").alias("butterflies"))
-
-
-def hybrid(g: TemporalBipartite, deltas: DataFrame, cutoff: int = 16, side: str = "v") -> DataFrame:
-    """Small groups by their spans, large groups by anchors; one answer per delta."""
-    w = instance_wedges(g, None, side)
-    sizes = w.groupBy("x", "z").agg(F.count("*").alias("size"))
-    large = grouped(g, deltas, side, w.join(sizes.where(F.col("size") > cutoff).select("x", "z"), ["x", "z"], "left_semi"))
-    small_keys = sizes.where((F.col("size") <= cutoff) & (F.col("size") >= 2)).select("x", "z")
-    a = w.join(small_keys, ["x", "z"], "left_semi")
-    b = a.select("x", "z", F.col("y").alias("y2"), F.col("l").alias("l2"), F.col("r").alias("r2"))
+def spans_of(wedges: DataFrame, largest: int) -> DataFrame:
+    """The span histogram of wedge rows x, z, y, l, r: pairs within a group, no longer than the largest."""
+    a = wedges.select("x", "z", "y", "l", "r")
+    b = wedges.select("x", "z", F.col("y").alias("y2"), F.col("l").alias("l2"), F.col("r").alias("r2"))
     pairs = a.join(b, ["x", "z"]).where("y < y2 and l <> l2 and l <> r2 and r <> l2 and r <> r2")
-    spans = pairs.groupBy((F.greatest("r", "r2") - F.least("l", "l2")).alias("span")).agg(F.count("*").alias("n"))
-    both = large.unionByName(query_spans(spans, deltas))
+    span = F.greatest("r", "r2") - F.least("l", "l2")
+    return pairs.select(span.alias("span")).where(F.col("span") <= largest).groupBy("span").agg(F.count("*").alias("n"))
+
+
+def build(g: TemporalBipartite, largest: int, alpha: float = 0.5, side: str = "v") -> DurationIndex:
+    """Both parts of the index, written once. Wedges longer than the largest span belong to no butterfly that is asked for."""
+    wedges = instance_wedges(g, largest, side)
+    sizes = wedges.groupBy("x", "z").agg(F.count("*").alias("size"))
+    sized = written(wedges.join(sizes, ["x", "z"]), "duration-wedges")
+    cutoff: Cutoff = cutoff_by_share(sized.select("size", F.lit(1).alias("w")), alpha)
+    small, large = sized.where((F.col("size") >= 2) & (F.col("size") <= cutoff.size)), sized.where((F.col("size") >= 2) & (F.col("size") > cutoff.size))
+    cell = F.floor(F.col("l") / (largest + 1))
+    points = large.groupBy("x", "z", "y", "l", "r").agg(F.count("*").alias("w"))
+    own = points.withColumn("cell", cell).withColumn("own", F.lit(True))
+    mate = points.withColumn("cell", cell - 1).withColumn("own", F.lit(False))
+    stored = own.unionByName(mate).select("x", "z", "cell", "own", "y", "l", "r", "w")
+    spans = written(spans_of(small, largest), "duration-spans")
+    return DurationIndex(spans, written(stored.repartition("x", "z", "cell").sortWithinPartitions("x", "z", "cell"), "duration-points"), {"largest": largest, "alpha": cutoff.alpha, "size": cutoff.size})
+
+
+def later_wedges(group: np.ndarray, l: np.ndarray, r: np.ndarray, w: np.ndarray, asks: np.ndarray, deltas: np.ndarray) -> np.ndarray:  # noqa: E741
+    """Per delta: pairs of a point that asks and a point of its group that begins later, no time shared, both within delta.
+
+    Groups are laid behind one another on the line of time, too far apart to meet.
+    """
+    reach = int(deltas.max()) + 1
+    low = int(l.min())
+    width = int(r.max()) - low + reach + 2
+    base = group.astype(np.int64) * width - low
+    l, r = l + base, r + base  # noqa: E741
+    times = np.unique(np.concatenate([l, r]))
+    rank = lambda x: np.searchsorted(times, x)
+    stride = len(times) + 1
+
+    def summed(first: np.ndarray, second: np.ndarray):
+        """Weight of points with a given first time and a second one in [low rank, high rank)."""
+        key = rank(first) * stride + rank(second)
+        order = np.argsort(key, kind="stable")
+        key, total = key[order], np.concatenate([[0], np.cumsum(w[order])])
+        return lambda at, a, b: total[np.searchsorted(key, rank(at) * stride + b)] - total[np.searchsorted(key, rank(at) * stride + a)]
+
+    by_start, by_end = summed(l, r), summed(r, l)
+    out = np.zeros(len(deltas), np.int64)
+    for d, delta in enumerate(deltas.tolist()):
+        asking = np.flatnonzero(asks & (r - l <= delta))
+        for at in range(0, len(asking), ASKED):
+            own = asking[at : at + ASKED]
+            until = l[own] + delta
+            n = merge_tree_counts(l, r, w, l[own] + 1, until)
+            past = np.searchsorted(times, until, "right")
+            n = n - by_start(r[own], 0, past) - by_end(r[own], rank(l[own]) + 1, stride - 1)
+            out[d] += int((w[own] * n).sum())
+    return out
+
+
+def near_pairs(group: np.ndarray, y: np.ndarray, l: np.ndarray, r: np.ndarray, w: np.ndarray, asks: np.ndarray, deltas: np.ndarray) -> np.ndarray:  # noqa: E741
+    """Per delta, the same of two different middles, by the pairs themselves: each point with the k-th after it in its group, for all groups at once.
+
+    Points that lie behind the largest delta end the walk of those before them.
+    """
+    order = np.lexsort((r, l, group))
+    group, y, l, r, w, asks = (c[order] for c in (group, y, l, r, w, asks))  # noqa: E741
+    total = np.zeros(len(deltas) + 1, np.int64)
+    i, k = np.flatnonzero(asks & (r - l <= deltas[-1])), 1
+    while len(i):
+        i = i[i + k < len(l)]
+        i = i[(group[i + k] == group[i]) & (l[i + k] - l[i] <= deltas[-1])]
+        j = i + k
+        use = (y[i] != y[j]) & (l[i] != l[j]) & (l[j] != r[i]) & (r[i] != r[j])
+        a, b = i[use], j[use]
+        place = np.searchsorted(deltas, np.maximum(r[a], r[b]) - l[a])
+        np.add.at(total, place, w[a] * w[b])
+        k += 1
+    return np.cumsum(total[:-1])
+
+
+def query_points(points: DataFrame, deltas: DataFrame) -> DataFrame:
+    """delta, n of the grouped part: all pairs of a group less those that share their middle. Deltas are a batch on the driver."""
+    asked = np.array(sorted({r.delta for r in deltas.collect()}), np.int64)
+
+    def run(batches):
+        total, held = np.zeros(len(asked), np.int64), None
+
+        def solve(cols: list[np.ndarray]) -> None:
+            x, z, cell, own, y, l, r, w = cols  # noqa: E741
+            if not len(x) or not len(asked):
+                return
+            order = np.lexsort((y, cell, z, x))
+            x, z, cell, own, y, l, r, w = (c[order] for c in (x, z, cell, own, y, l, r, w))  # noqa: E741
+            fresh = np.concatenate([[False], (x[1:] != x[:-1]) | (z[1:] != z[:-1]) | (cell[1:] != cell[:-1])])
+            group = np.cumsum(fresh)
+            few = np.bincount(group)[group] <= PAIRED
+            total[:] += near_pairs(*(c[few] for c in (group, y, l, r, w, own)), asked)
+            if few.all():
+                return
+            other = np.cumsum(fresh | np.concatenate([[False], y[1:] != y[:-1]]))
+            for names, sign in ((group, 1), (other, -1)):
+                _, name = np.unique(names[~few], return_inverse=True)
+                total[:] += sign * later_wedges(name, *(c[~few] for c in (l, r, w, own)), asked)
+
+        for b in batches:
+            new = [b.column(k).to_numpy(zero_copy_only=False) for k in range(b.num_columns)]
+            held = new if held is None else [np.concatenate(c) for c in zip(held, new, strict=True)]
+            if len(held[0]) >= BATCH:
+                x, z, cell = held[:3]
+                cuts = np.flatnonzero((x[1:] != x[:-1]) | (z[1:] != z[:-1]) | (cell[1:] != cell[:-1]))
+                if len(cuts):  # the last stretch may go on in the next batch
+                    solve([c[: cuts[-1] + 1] for c in held])
+                    held = [c[cuts[-1] + 1 :] for c in held]
+        if held is not None:
+            solve(held)
+        yield pa.RecordBatch.from_arrays([pa.array(asked), pa.array(total)], ["delta", "part"])
+
+    dealt = points.repartition("x", "z", "cell").sortWithinPartitions("x", "z", "cell")
+    return dealt.mapInArrow(run, "delta long, part long").groupBy("delta").agg(F.sum("part").alias("n"))
+
+
+def query(index: DurationIndex, deltas: DataFrame) -> DataFrame:
+    """delta, butterflies for each delta up to the largest of the index."""
+    over = deltas.agg(F.max("delta")).first()[0]
+    if over is not None and over > index.meta["largest"]:
+        raise ValueError(f"the index holds spans up to {index.meta['largest']}, not {over}")
+    large = deltas.distinct().join(query_points(index.points, deltas), "delta", "left").select("delta", F.coalesce("n", F.lit(0)).alias("butterflies"))
+    both = large.unionByName(query_spans(index.spans, deltas.distinct()))
     return both.groupBy("delta").agg(F.sum("butterflies").cast("long").alias("butterflies"))
 
 
+def largest_of(deltas: DataFrame) -> int:
+    return deltas.agg(F.max("delta")).first()[0] or 0
+
+
+def grouped(g: TemporalBipartite, deltas: DataFrame, side: str = "v") -> DataFrame:
+    """All groups by points: built up to the largest delta and asked once."""
+    return query(build(g, largest_of(deltas), 0.0, side), deltas)
+
+
+def hybrid(g: TemporalBipartite, deltas: DataFrame, alpha: float = 0.5, side: str = "v") -> DataFrame:
+    """Small groups by spans, large groups by points: built up to the largest delta and asked once."""
+    return query(build(g, largest_of(deltas), alpha, side), deltas)
+
+
 def instance_counts(g: TemporalBipartite, windows: DataFrame, side: str = "v") -> DataFrame:
     """window_id, butterflies: every choice of four temporal edges counts. C(c, 2) per group less C(c_y, 2) per middle."""
     end, middle = ("v", "u") if side == "v" else ("u", "v")
-    inside = F.col("t").between(F.col("t_start"), F.col("t_end"))
-    e = g.edges.distinct().join(F.broadcast(windows), inside).groupBy("window_id", end, middle).agg(F.count("*").alias("k"))
+    e = in_windows(g.edges.distinct(), windows).groupBy("window_id", end, middle).agg(F.count("*").alias("k"))
     a = e.select("window_id", F.col(end).alias("x"), F.col(middle).alias("y"), F.col("k").alias("k1"))
     b = e.select("window_id", F.col(end).alias("z"), F.col(middle).alias("y"), F.col("k").alias("k2"))
     c = a.join(b, ["window_id", "y"]).where("x < z").select("window_id", "x", "z", (F.col("k1") * F.col("k2")).alias("c"))

@@ -2,11 +2,15 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, SparkSession, Window
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.hashing import PRIME, portable_hash
+from ..functions.ranking import running
 from ..sources.graph import TemporalBipartite
+from ..sources.scratch import written
 
 
 def reduce_sets(sets: DataFrame, shared: int = -1) -> TemporalBipartite:
@@ -64,14 +68,9 @@ def expected_degrees(spark: SparkSession, n_u: int, n_v: int, gamma_u: float, ga
     return left, right.select("v", F.least(F.lit(float(largest_v)), F.col("dv") * scale).alias("dv"))
 
 
-def intervals(right: DataFrame, block: int = 4096) -> DataFrame:
+def intervals(right: DataFrame) -> DataFrame:
     """v, low, high: the cumulated degrees around each vertex, by blocks of ids."""
-    own = right.withColumn("block", F.floor(F.col("v") / block))
-    sums = own.groupBy("block").agg(F.sum("dv").alias("all"))
-    before = sums.select("block", (F.sum("all").over(Window.orderBy("block")) - F.col("all")).alias("before"))
-    inside = F.sum("dv").over(Window.partitionBy("block").orderBy("v"))
-    placed = own.withColumn("inside", inside).join(before, "block")
-    return placed.select("v", (F.col("before") + F.col("inside") - F.col("dv")).alias("low"), (F.col("before") + F.col("inside")).alias("high"))
+    return running(right, "v", F.col("dv")).select("v", F.col("before").alias("low"), (F.col("before") + F.col("dv")).alias("high"))
 
 
 def power_law(spark: SparkSession, n_u: int, n_v: int, gamma_u: float, gamma_v: float, largest_u: int, largest_v: int, seed: int = 1, exact: bool = False) -> TemporalBipartite:
@@ -98,6 +97,59 @@ def power_law(spark: SparkSession, n_u: int, n_v: int, gamma_u: float, gamma_v:
     return TemporalBipartite(pairs.select("u", "v", t.cast("long").alias("t")))
 
 
+def _uniforms(a: np.ndarray, b: np.ndarray, seed: int) -> np.ndarray:
+    """In (0, 1): a mix of two whole numbers and a seed, so that a task that runs again draws the same."""
+    h = a.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15) + b.astype(np.uint64) * np.uint64(0xC2B2AE3D27D4EB4F) + np.uint64(seed * 0x165667B1 + 0x27D4EB2F)
+    for shift, factor in ((30, 0xBF58476D1CE4E5B9), (27, 0x94D049BB133111EB)):
+        h = (h ^ (h >> np.uint64(shift))) * np.uint64(factor)
+    return ((h ^ (h >> np.uint64(31))) >> np.uint64(11)).astype(np.float64) / (1 << 53) + 2.0**-54
+
+
+def power_law_arrow(spark: SparkSession, n_u: int, n_v: int, gamma_u: float, gamma_v: float, largest_u: int, largest_v: int, seed: int = 1) -> TemporalBipartite:
+    """The same law in one pass without joins: each left vertex draws its edges, right ends by the inverse of the cumulated degrees.
+
+    A right vertex of quantile q has expected degree (1 + q K)^(1 / e), K = D^e - 1, e = 1 - gamma; the
+    cumulated degree has a closed inverse. Quantiles are the ids themselves: low ids have high degrees.
+    """
+    e_v = 1.0 - gamma_v
+    k_v = largest_v**e_v - 1 if gamma_v else 0.0
+    power = 1 / e_v + 1 if gamma_v else 1.0
+
+    def right_end(x: np.ndarray) -> np.ndarray:
+        if not gamma_v:
+            return np.minimum((x * n_v).astype(np.int64), n_v - 1)
+        if abs(power) < 1e-12:
+            q = (np.exp(x * np.log1p(k_v)) - 1) / k_v
+        else:
+            q = ((1 + x * ((1 + k_v) ** power - 1)) ** (1 / power) - 1) / k_v
+        return np.minimum(((1 - q) * n_v).astype(np.int64), n_v - 1)
+
+    def run(batches):
+        for batch in batches:
+            u = batch.column(0).to_numpy()
+            e = 1.0 - gamma_u
+            degree = (1 + _uniforms(u, u * 0 + 1, seed) * (largest_u**e - 1)) ** (1 / e) if gamma_u else np.ones(len(u))
+            n = np.maximum(1, np.floor(degree + _uniforms(u, u * 0 + 2, seed))).astype(np.int64)
+            for at in range(0, len(u), 1024):  # a vertex has at most largest_u edges
+                own, k = np.repeat(u[at : at + 1024], n[at : at + 1024]), n[at : at + 1024]
+                number = np.arange(len(own)) - np.repeat(np.cumsum(k) - k, k) + 3
+                yield pa.RecordBatch.from_arrays([pa.array(own, pa.int64()), pa.array(right_end(_uniforms(own, number, seed)), pa.int64())], ["u", "v"])
+
+    pairs = written(spark.range(n_u).mapInArrow(run, "u long, v long").distinct(), "power-law")
+    m = pairs.count()
+    t = 1 + F.pmod(portable_hash([F.col("u"), F.col("v")], seed + 9) * 7 + F.col("v"), F.lit(max(m, 1)))
+    return TemporalBipartite(pairs.select("u", "v", t.cast("long").alias("t")))
+
+
+def uniformity(g: TemporalBipartite, bins: int = 20) -> DataFrame:
+    """One row: edges, chi_square of their times over equal bins of [1, edges], degrees of freedom."""
+    total = g.edges.agg(F.count("*").alias("edges"))
+    binned = g.edges.crossJoin(F.broadcast(total)).select("edges", F.floor((F.col("t") - 1) * bins / F.col("edges")).alias("bin"))
+    per = binned.groupBy("bin").agg(F.count("*").alias("n"), F.first("edges").alias("edges"))
+    share = F.col("edges") / bins
+    return per.agg(F.first("edges").alias("edges"), F.round(F.sum(F.pow(F.col("n") - share, F.lit(2)) / share), 6).alias("chi_square"), F.lit(bins - 1).alias("freedom"))
+
+
 def balance(g: TemporalBipartite, left: DataFrame | None = None, right: DataFrame | None = None) -> DataFrame:
     """Sums of degrees on both sides and the largest degrees; with the expected degrees also their sums, which must agree."""
     pairs = g.edges.select("u", "v").distinct()

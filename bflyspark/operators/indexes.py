@@ -7,14 +7,17 @@ from dataclasses import dataclass, field
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.hashing import kept
+from ..functions.hashing import PRIME, kept, portable_hash
 from ..functions.intervals import choose2, compose_stairs, signed_points
+from ..functions.ranking import running
 from ..sources.graph import TemporalBipartite
+from ..sources.scratch import written
 from . import dominance
 from .wedges import GROUP, group_points, group_sizes, priority_wedges, with_stairs
 
 POINT_BYTES = 24  # l, r, w
 GROUPED_POINT_BYTES = 41  # side, x, z, l, r, w
+MATES = 2000  # points of a group that one task pairs with the others; a larger group is split
 
 
 @dataclass(frozen=True)
@@ -26,25 +29,33 @@ class Index:
     meta: dict = field(default_factory=dict)
 
 
+def with_size(points: DataFrame) -> DataFrame:
+    """Adds the wedges of each point's group: the weights of a wedge's signed points add up to 1."""
+    return points.withColumn("size", F.sum("w").over(Window.partitionBy(*GROUP)))
+
+
+def sized_points(g: TemporalBipartite) -> DataFrame:
+    """side, x, z, l, r, w, size of all groups, written once: sizes and both sides of a split are read from it."""
+    return written(with_size(group_points(with_stairs(priority_wedges(g)))), "group-points")
+
+
 def enumerate_points(groups: DataFrame) -> DataFrame:
     """One signed point per butterfly, equal ones added up, from each group's signed points.
 
     With c the sum of w over alive points, C(c, 2) is the sum over pairs i < j of w_i w_j at
     (least l, greatest r) plus (w_i^2 - w_i) / 2 at each point itself; so repeated intervals are
-    paired by their weights and never expanded.
+    paired by their weights and never expanded. A large group is paired by several tasks, each of which
+    holds a share of it against the whole.
     """
-    a = groups.select(*GROUP, F.struct("l", "r").alias("p"), F.col("w").alias("wp"))
-    b = groups.select(*GROUP, F.struct("l", "r").alias("q"), F.col("w").alias("wq"))
-    pairs = a.join(b, GROUP).where("p < q").select(F.least("p.l", "q.l").alias("l"), F.greatest("p.r", "q.r").alias("r"), (F.col("wp") * F.col("wq")).alias("w"))
+    sized = groups if "size" in groups.columns else groups.withColumn("size", F.count("*").over(Window.partitionBy(*GROUP)))
+    last = F.floor((F.col("size") - 1) / MATES)
+    a = sized.select(*GROUP, F.pmod(F.xxhash64("l", "r"), last + 1).alias("share"), F.struct("l", "r").alias("p"), F.col("w").alias("wp"))
+    b = sized.select(*GROUP, F.explode(F.sequence(F.lit(0).cast("long"), last)).alias("share"), F.struct("l", "r").alias("q"), F.col("w").alias("wq"))
+    pairs = a.join(b, [*GROUP, "share"]).where("p < q").select(F.least("p.l", "q.l").alias("l"), F.greatest("p.r", "q.r").alias("r"), (F.col("wp") * F.col("wq")).alias("w"))
     own = groups.select("l", "r", choose2(F.col("w")).alias("w")).where("w <> 0")
     return pairs.unionByName(own).groupBy("l", "r").agg(F.sum("w").alias("w")).where("w <> 0")
 
 
-def many(groups: DataFrame, sizes: DataFrame) -> DataFrame:
-    """Points of groups that have two wedges or more; a single wedge makes no butterfly."""
-    return groups.join(sizes.where("size >= 2").select(*GROUP), GROUP, "left_semi")
-
-
 def build_enumerated(g: TemporalBipartite) -> Index:
     return Index(enumerate_points(group_points(with_stairs(priority_wedges(g)))), None)
 
@@ -58,8 +69,21 @@ def build_grouped(g: TemporalBipartite) -> Index:
 
 
 def grouped_partial(groups: DataFrame, windows: DataFrame, layout: str = "scan") -> DataFrame:
-    """window_id, cnt: sum of C(c, 2) over groups."""
-    keyed = dominance.query_packed(dominance.packed_groups(groups, tuple(GROUP)), windows, tuple(GROUP)) if layout == "packed" else dominance.scan(groups, windows, tuple(GROUP))
+    """window_id, cnt: sum of C(c, 2) over groups.
+
+    scan reads every point for every window. packed walks one array per group. dyadic looks up one running
+    sum per tree node of a group (logarithmic, all in the engine). sweep answers a whole batch of windows
+    from each group's own sorted structure, group after group.
+    """
+    keys = tuple(GROUP)
+    if layout == "sweep":
+        return dominance.sweep_groups(groups, windows, keys)
+    if layout == "packed":
+        keyed = dominance.query_packed(dominance.packed_groups(groups, keys), windows, keys)
+    elif layout == "dyadic":
+        keyed = dominance.dyadic(groups, windows, keys)
+    else:
+        keyed = dominance.scan(groups, windows, keys)
     return keyed.groupBy("window_id").agg(F.sum(choose2(F.col("cnt"))).alias("cnt"))
 
 
@@ -78,8 +102,9 @@ class Cutoff:
 
 
 def size_histogram(sizes: DataFrame) -> DataFrame:
-    """size, groups, butterflies: at most one row per degree."""
-    return sizes.groupBy("size").agg(F.count("*").alias("groups")).withColumn("butterflies", choose2(F.col("size")) * F.col("groups"))
+    """size, groups, butterflies: at most one row per degree. From a row per group, or from points with their group's size."""
+    groups = F.expr("sum(w) div first(size)") if "w" in sizes.columns else F.count("*")
+    return sizes.groupBy("size").agg(groups.alias("groups")).withColumn("butterflies", choose2(F.col("size")) * F.col("groups"))
 
 
 def cutoff_by_share(sizes: DataFrame, alpha: float, rule: str = "atmost", ties: str = "class") -> Cutoff:
@@ -132,31 +157,42 @@ def cutoff_by_memory(sizes: DataFrame, limit_bytes: int, distinct_times: int | N
     return Cutoff(size, 0, done / total if total else 1.0, estimate)
 
 
-def split_groups(sizes: DataFrame, cutoff: Cutoff) -> tuple[DataFrame, DataFrame]:
-    """Keys of the small (enumerated) and the large (grouped) side; single wedges are on neither."""
-    small = sizes.where((F.col("size") >= 2) & (F.col("size") <= cutoff.size)).select(*GROUP)
-    large = sizes.where((F.col("size") >= 2) & (F.col("size") > cutoff.size))
+def split_groups(rows: DataFrame, cutoff: Cutoff) -> tuple[DataFrame, DataFrame]:
+    """Rows of the small (enumerated) and of the large (grouped) side; single wedges are on neither. rows: GROUP, size, any others."""
+    small = rows.where((F.col("size") >= 2) & (F.col("size") <= cutoff.size))
+    large = rows.where((F.col("size") >= 2) & (F.col("size") > cutoff.size))
     if not cutoff.tie_quota:
-        return small, large.select(*GROUP)
+        return small, large
     step = large.agg(F.min("size")).first()[0]
-    ranked = large.where(F.col("size") == step).withColumn("rank", F.row_number().over(Window.orderBy(F.desc("x"), F.desc("z"), "side")))
-    moved = ranked.where(F.col("rank") <= cutoff.tie_quota).select(*GROUP)
-    return small.unionByName(moved), large.select(*GROUP).join(moved, GROUP, "left_anti")
+    keys = large.where(F.col("size") == step).select(*GROUP).distinct()
+    per_end = running(keys.groupBy((-F.col("x")).alias("end")).agg(F.count("*").alias("n")), "end", F.col("n"))
+    ranked = keys.withColumn("end", -F.col("x")).join(per_end, "end").withColumn("rank", F.col("before") + F.row_number().over(Window.partitionBy("end").orderBy(F.desc("z"), "side")))
+    moved = written(ranked.where(F.col("rank") <= cutoff.tie_quota).select(*GROUP), "moved-groups")
+    return small.unionByName(large.join(moved, GROUP, "left_semi")), large.join(moved, GROUP, "left_anti")
 
 
 def build_hybrid(g: TemporalBipartite, alpha: float | None = None, limit_bytes: int | None = None, rule: str = "atmost", ties: str = "class") -> Index:
-    """The split by a share of butterflies, or by a limit of bytes."""
-    wedges = priority_wedges(g)
-    sizes = group_sizes(priority_wedges(g, with_times=True).select(*GROUP))
-    cutoff = cutoff_by_memory(sizes, limit_bytes) if alpha is None else cutoff_by_share(sizes, alpha, rule, ties)
-    small, large = split_groups(sizes, cutoff)
-    points = group_points(with_stairs(wedges))
-    enumerated = enumerate_points(points.join(small, GROUP, "left_semi"))
-    return Index(enumerated, points.join(large, GROUP, "left_semi"), {"alpha": cutoff.alpha, "size": cutoff.size, "est_bytes": cutoff.est_bytes})
+    """The split by a share of butterflies, or by a limit of bytes. Wedges are enumerated once."""
+    points = sized_points(g)
+    cutoff = cutoff_by_memory(points, limit_bytes) if alpha is None else cutoff_by_share(points, alpha, rule, ties)
+    small, large = split_groups(points, cutoff)
+    return Index(enumerate_points(small), large.drop("size"), {"alpha": cutoff.alpha, "size": cutoff.size, "est_bytes": cutoff.est_bytes})
+
+
+def prune(index: Index, windows: DataFrame) -> Index:
+    """The points of a stored index that some window can count; ranges of l that lie before all windows aren't read."""
+    if "step" not in index.meta or index.points is None:
+        return index
+    low, high = windows.agg(F.min("t_start"), F.max("t_end")).first()
+    if low is None:
+        return index
+    cell = (low - index.meta["low"]) // index.meta["step"]
+    return Index(index.points.where((F.col("part_l") >= cell) & (F.col("l") >= low) & (F.col("r") <= high)), index.groups, index.meta)
 
 
 def query_hybrid(index: Index, windows: DataFrame, layout: str = "scan", grouped_layout: str = "scan", parallelism: int | None = None) -> DataFrame:
     """Sum of both parts; independent parts are read by as many tasks as there are partitions."""
+    index = prune(index, windows)
     groups = index.groups if parallelism is None else index.groups.repartition(parallelism, *GROUP)
     first = dominance.count(index.points, windows, layout).select("window_id", "cnt")
     both = first.unionByName(grouped_partial(groups, windows, grouped_layout)).groupBy("window_id").agg(F.sum("cnt").alias("cnt"))
@@ -173,12 +209,32 @@ def butterflies(stairs: DataFrame) -> DataFrame:
     return a.join(b, GROUP).where("y < w").select(*GROUP, "y", "w", compose_stairs(F.col("s1"), F.col("s2")).alias("stairs"))
 
 
+def drawn_pairs(sizes: DataFrame, share: float, seed: int) -> DataFrame:
+    """side, x, z, i, j (i < j, from 0): pairs of a group's wedges, each drawn with probability share, by numbers alone.
+
+    Pairs of a group are numbered; every stretch of 1 / share numbers draws one place in it by a hash. So
+    the work is that of the sample, not that of all pairs.
+    """
+    pairs = choose2(F.col("size"))
+    stretch = F.explode(F.sequence(F.lit(0).cast("long"), F.floor((pairs - 1) * share).cast("long"))).alias("stretch")
+    at = (portable_hash([F.col("x"), F.col("z"), F.col("stretch"), F.col("side").cast("long")], seed) + 0.5) / PRIME
+    number = F.floor((F.col("stretch") + at) / share).cast("long")
+    drawn = sizes.where("size >= 2").select(*GROUP, "size", stretch).withColumn("number", number).where(F.col("number") < pairs)
+    j = F.floor((1 + F.sqrt(1 + 8 * F.col("number").cast("double"))) / 2).cast("long")
+    exact = F.when(choose2(j) > F.col("number"), j - 1).when(choose2(j + 1) <= F.col("number"), j + 1).otherwise(j)  # roots of large numbers are rounded
+    return drawn.withColumn("j", exact).select(*GROUP, (F.col("number") - choose2(F.col("j"))).alias("i"), "j")
+
+
 def thin_butterflies(stairs: DataFrame, share: float, seed: int) -> DataFrame:
-    """Butterflies kept by a hash of their four vertices: the draw precedes the work on intervals."""
-    a = stairs.select(*GROUP, "y", F.col("stairs").alias("s1"))
-    b = stairs.select(*GROUP, F.col("y").alias("w"), F.col("stairs").alias("s2"))
-    drawn = a.join(b, GROUP).where((F.col("y") < F.col("w")) & kept([F.col("x"), F.col("z"), F.col("y"), F.col("w")], share, seed))
-    return drawn.select(*GROUP, "y", "w", compose_stairs(F.col("s1"), F.col("s2")).alias("stairs"))
+    """Butterflies of drawn pairs of wedges; a share of 1 takes all. Only drawn pairs are joined."""
+    if share >= 1:
+        return butterflies(stairs)
+    ranked = stairs.select(*GROUP, "y", "stairs", (F.row_number().over(Window.partitionBy(*GROUP).orderBy("y")).cast("long") - 1).alias("rank"))
+    drawn = drawn_pairs(group_sizes(stairs), share, seed)
+    a = ranked.select(*GROUP, "y", F.col("rank").alias("i"), F.col("stairs").alias("s1"))
+    b = ranked.select(*GROUP, F.col("y").alias("w"), F.col("rank").alias("j"), F.col("stairs").alias("s2"))
+    both = drawn.join(a, [*GROUP, "i"]).join(b, [*GROUP, "j"])
+    return both.select(*GROUP, "y", "w", compose_stairs(F.col("s1"), F.col("s2")).alias("stairs"))
 
 
 def thin_wedges(stairs: DataFrame, share: float, seed: int) -> DataFrame:
@@ -188,12 +244,12 @@ def thin_wedges(stairs: DataFrame, share: float, seed: int) -> DataFrame:
 def build_sampled(g: TemporalBipartite, alpha: float, share1: float, share2: float = 1.0, seed: int = 1, rule: str = "atmost") -> Index:
     """share1 of the enumerated butterflies and share2 of the grouped wedges."""
     stairs = with_stairs(priority_wedges(g))
-    sizes = group_sizes(stairs)
-    cutoff = cutoff_by_share(sizes, alpha, rule)
-    small, large = split_groups(sizes, cutoff)
-    few = thin_butterflies(stairs.join(small, GROUP, "left_semi"), share1, seed)
+    sized = written(stairs.withColumn("size", F.count("*").over(Window.partitionBy(*GROUP))), "sized-wedges")
+    cutoff = cutoff_by_share(sized.select("size", F.lit(1).alias("w")), alpha, rule)
+    small, large = split_groups(sized, cutoff)
+    few = thin_butterflies(small, share1, seed)
     points = few.select(F.explode(signed_points(F.col("stairs"))).alias("p")).groupBy(F.col("p.l").alias("l"), F.col("p.r").alias("r")).agg(F.sum("p.w").alias("w"))
-    groups = group_points(thin_wedges(stairs.join(large, GROUP, "left_semi"), share2, seed + 1))
+    groups = group_points(thin_wedges(large, share2, seed + 1))
     return Index(points, groups, {"share1": share1, "share2": share2, "alpha": cutoff.alpha, "size": cutoff.size})
 
 

@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..functions.intervals import choose2
 from ..sources.graph import TemporalBipartite, census, project, unique_degrees
 from .dominance import all_windows
-from .indexes import Index, query_hybrid, size_histogram
+from .indexes import GROUPED_POINT_BYTES, POINT_BYTES, Index, query_hybrid, size_histogram
 from .wedges import group_sizes, priority_wedges
 
 
@@ -53,11 +54,16 @@ def relative_error(estimates: DataFrame, exact: DataFrame) -> DataFrame:
     return both.select("window_id", F.when(F.col("butterflies") > 0, F.round(F.abs(F.col("estimate") - F.col("butterflies")) / F.col("butterflies"), 9)).alias("error"))
 
 
-def error_bounds(share1: float, share2: float, enumerated: int, grouped: int, n: int) -> tuple[float, float]:
-    """The two published bounds without their constants: sqrt(B ln n / share1) and (S ln n)^0.75 * share2^-1.75."""
-    from math import log
+def error_bounds(counts: DataFrame, vertices: int, share1: float, share2: float) -> DataFrame:
+    """window_id, bound_one, bound_two: the two published bounds without their constants.
 
-    return (enumerated * log(n) / share1) ** 0.5, (grouped * log(n)) ** 0.75 * share2**-1.75
+    counts: window_id, enumerated, grouped (exact counts of both parts, B and S). sqrt(B ln n / share1) and
+    (S ln n)^0.75 * share2^-1.75, with n the number of vertices.
+    """
+    log_n = F.log(F.lit(float(max(vertices, 2))))
+    one = F.sqrt(F.col("enumerated") * log_n / share1)
+    two = F.pow(F.col("grouped") * log_n, F.lit(0.75)) * share2**-1.75
+    return counts.select("window_id", F.round(one, 6).alias("bound_one"), F.round(two, 6).alias("bound_two"))
 
 
 def work_counters(g: TemporalBipartite) -> DataFrame:
@@ -81,11 +87,39 @@ def summary(g: TemporalBipartite) -> DataFrame:
 def index_size(index: Index) -> DataFrame:
     """Points and estimated bytes of each part."""
     parts = []
-    if index.points is not None:
-        parts.append(index.points.agg(F.lit("enumerated").alias("part"), F.count("*").alias("points"), (F.count("*") * 24).alias("bytes")))
-    if index.groups is not None:
-        parts.append(index.groups.agg(F.lit("grouped").alias("part"), F.count("*").alias("points"), (F.count("*") * 41).alias("bytes")))
+    for name, table, width in (("enumerated", index.points, POINT_BYTES), ("grouped", index.groups, GROUPED_POINT_BYTES)):
+        if table is not None:
+            parts.append(table.agg(F.lit(name).alias("part"), F.count("*").alias("points"), (F.count("*") * width).alias("bytes")))
     out = parts[0]
     for p in parts[1:]:
         out = out.unionByName(p)
     return out
+
+
+def stored_bytes(spark: SparkSession, path: str) -> int:
+    """Bytes of the files below a path, as the file system of the path tells them."""
+    jvm, conf = spark._jvm, spark._jsparkSession.sessionState().newHadoopConf()
+    at = jvm.org.apache.hadoop.fs.Path(path)
+    return at.getFileSystem(conf).getContentSummary(at).getLength()
+
+
+def concentration_share(sizes: DataFrame, below: int = 10, grouped_above: int | None = None) -> DataFrame:
+    """One row: groups, share of groups under a size; share of the heavy ones (over half of the largest size, or over a given one) among groups and butterflies."""
+    hist = size_histogram(sizes)
+    top = hist.agg(F.max("size").alias("largest"))
+    both = hist.crossJoin(top)
+    heavy = F.col("size") > (F.col("largest") / 2 if grouped_above is None else F.lit(grouped_above))
+    return both.agg(
+        F.sum("groups").alias("groups"),
+        F.round(F.sum(F.when(F.col("size") < below, F.col("groups")).otherwise(0)) / F.sum("groups"), 6).alias("share_small"),
+        F.round(F.sum(F.when(heavy, F.col("groups")).otherwise(0)) / F.sum("groups"), 6).alias("share_heavy"),
+        F.round(F.sum(F.when(heavy, F.col("butterflies")).otherwise(0)) / F.greatest(F.sum("butterflies"), F.lit(1)), 6).alias("butterflies_heavy"),
+    )
+
+
+def work_done(index: Index, points: DataFrame) -> DataFrame:
+    """One row: pairs expanded by the enumerated part, points after compaction, their ratio. points: sized group points."""
+    size = index.meta["size"]
+    pairs = points.where(F.col("size").between(2, size)).groupBy("side", "x", "z").agg(F.count("*").alias("n")).agg(F.coalesce(F.sum(choose2(F.col("n"))), F.lit(0)).alias("pairs"))
+    after = index.points.agg(F.count("*").alias("points"))
+    return pairs.crossJoin(after).select("pairs", "points", F.round(F.col("points") / F.greatest("pairs", F.lit(1)), 6).alias("compaction"))

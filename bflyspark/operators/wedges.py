@@ -13,10 +13,7 @@ from ..functions.intervals import choose2, signed_points, wedge_stairs
 from ..sources.graph import SIDE_U, SIDE_V, TemporalBipartite, unique_degrees
 
 GROUP = ["side", "x", "z"]
-
-
-def _by_window(windowed: bool) -> list[str]:
-    return ["window_id"] if windowed else []
+SHARE = 4096  # neighbours of a middle that one task joins; a middle of higher degree is split
 
 
 def prioritised(pairs: DataFrame, *by: str) -> DataFrame:
@@ -37,14 +34,19 @@ def _before(d1: Column, s1: Column, i1: Column, d2: Column, s2: Column, i2: Colu
 
 
 def priority_wedges(g: TemporalBipartite | None = None, pairs: DataFrame | None = None, by: tuple[str, ...] = (), with_times: bool = True) -> DataFrame:
-    """by..., side, x, z, y and the sorted times of both edges. One join on the middle; edges are oriented before it."""
+    """by..., side, x, z, y and the sorted times of both edges. One join on the middle; edges are oriented before it.
+
+    The neighbours z of a middle of high degree are dealt to several tasks; its few ends x of higher
+    priority are copied to each.
+    """
     pairs = g.pairs if pairs is None else pairs
     arcs = prioritised(pairs, *by)
     times = ["times"] if with_times else []
+    last = F.floor((F.col("db") - 1) / SHARE)
     head = arcs.where(_before(F.col("da"), F.col("side"), F.col("a"), F.col("db"), 1 - F.col("side"), F.col("b")))
-    head = head.select(*by, "side", F.col("a").alias("x"), F.col("b").alias("y"), F.col("da").alias("dx"), *(F.col(t).alias("times_x") for t in times))
-    tail = arcs.select(*by, "side", F.col("a").alias("z"), F.col("b").alias("y"), F.col("da").alias("dz"), *(F.col(t).alias("times_z") for t in times))
-    both = head.join(tail, [*by, "side", "y"])
+    head = head.select(*by, "side", F.col("a").alias("x"), F.col("b").alias("y"), F.col("da").alias("dx"), F.explode(F.sequence(F.lit(0).cast("long"), last)).alias("part"), *(F.col(t).alias("times_x") for t in times))
+    tail = arcs.select(*by, "side", F.col("a").alias("z"), F.col("b").alias("y"), F.col("da").alias("dz"), F.pmod(F.xxhash64("a"), last + 1).alias("part"), *(F.col(t).alias("times_z") for t in times))
+    both = head.join(tail, [*by, "side", "y", "part"])
     both = both.where((F.col("dx") > F.col("dz")) | ((F.col("dx") == F.col("dz")) & (F.col("x") < F.col("z"))))
     return both.select(*by, "side", "x", "z", "y", *(["times_x", "times_z"] if with_times else []))
 

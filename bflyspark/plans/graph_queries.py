@@ -7,12 +7,12 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..functions.hashing import FACTORS, PRIME, kept_sql
+from ..functions.hashing import PRIME, hash_sql, kept_sql
 from ..functions.intervals import active_interval
 from ..operators import apps, baselines, dominance, duration, hardness, indexes, measures
 from ..operators.wedges import concentration, group_points, group_sizes, one_sided_wedges, priority_wedges, with_stairs
 from ..sources import catalog, graph, windows
-from . import sqlapi
+from . import experiments, sqlapi
 
 Query = Callable[[SparkSession, str], DataFrame]
 DAYS, HOURS = windows.FIXED_DAYS, windows.FIXED_HOURS
@@ -43,10 +43,10 @@ def arcs_sql(edges: str, times: bool = False) -> str:
     return f"""
 e AS ({edges}), p AS (SELECT DISTINCT u, v{t} FROM e), q AS (SELECT DISTINCT u, v FROM e),
 du AS (SELECT u, count(*) AS d FROM q GROUP BY u), dv AS (SELECT v, count(*) AS d FROM q GROUP BY v),
-arcs AS (SELECT 0 AS side, p.u AS a, p.v AS b, du.d AS da, dv.d AS db{t} FROM p JOIN du ON p.u = du.u JOIN dv ON p.v = dv.v
+arcs AS MATERIALIZED (SELECT 0 AS side, p.u AS a, p.v AS b, du.d AS da, dv.d AS db{t} FROM p JOIN du ON p.u = du.u JOIN dv ON p.v = dv.v
  UNION ALL SELECT 1, p.v, p.u, dv.d, du.d{t} FROM p JOIN du ON p.u = du.u JOIN dv ON p.v = dv.v),
-heads AS (SELECT * FROM arcs WHERE da > db OR (da = db AND (side > 1 - side OR (side = 1 - side AND a < b)))),
-g AS (SELECT h.side, h.a AS x, k.a AS z, h.b AS y{lr} FROM heads h JOIN arcs k ON h.side = k.side AND h.b = k.b WHERE h.da > k.da OR (h.da = k.da AND h.a < k.a))"""
+heads AS MATERIALIZED (SELECT * FROM arcs WHERE da > db OR (da = db AND (side > 1 - side OR (side = 1 - side AND a < b)))),
+g AS MATERIALIZED (SELECT h.side, h.a AS x, k.a AS z, h.b AS y{lr} FROM heads h JOIN arcs k ON h.side = k.side AND h.b = k.b WHERE h.da > k.da OR (h.da = k.da AND h.a < k.a))"""
 
 
 def three_paths_sql(edges: str, wins: str) -> str:
@@ -111,24 +111,26 @@ def random_batch(name: str, method, n: int = 20, high: int = 2404) -> tuple[Quer
     return (lambda s, d: method(catalog.load(s, d, name), windows.random_windows(s, n, 0, high))), counts_sql(catalog.edges_sql(name), windows.random_sql(n, 0, high), "u" if name == "g7" else "v")
 
 
-def pair_sampling_sql(edges: str, wins: str, draws: int, seed: int) -> str:
-    def h(cols: list[str], s: int) -> str:
-        total = str(s % PRIME)
-        for c, f in zip(cols, FACTORS, strict=False):
-            total = f"((({total} + (({c}) % {PRIME}) + 1) * {f}) % {PRIME})"
-        return f"((({total}) * ({total}) + ({total}) * 7919) % {PRIME})"
-
-    pick = lambda which: f"1 + ({h([f'draw * 2 + {which}', 'window_id', 'draw'], seed)} * 1009 + {h(['draw + 7919', 'window_id'], seed + 13 + which)}) % m"
+def draws_sql(edges: str, wins: str, draws: int, seed: int, weights: str = "degree", side: str = "u") -> str:
+    """CTEs up to val(window_id, draw, value)."""
+    pick = lambda which: f"1 + ({hash_sql([f'draw * 2 + {which}', 'window_id', 'draw'], seed)} * 1009 + {hash_sql(['draw + 7919', 'window_id'], seed + 13 + which)}) % m"
+    pool = "SELECT p.window_id, p.e, deg, row_number() OVER (PARTITION BY p.window_id ORDER BY p.e, p.o) AS k FROM p JOIN deg ON p.window_id = deg.window_id AND p.e = deg.e" if weights == "degree" else "SELECT window_id, e, deg, row_number() OVER (PARTITION BY window_id ORDER BY e) AS k FROM deg"
+    scale = "CAST(m AS DOUBLE) * m / (2 * da * db)" if weights == "degree" else "CAST(m AS DOUBLE) * m / 2"
+    end, other = ("u", "v") if side == "u" else ("v", "u")
     return f"""
 WITH e AS ({edges}), w AS ({wins}),
-p AS (SELECT DISTINCT w.window_id, e.u AS e, e.v AS o FROM e JOIN w ON e.t BETWEEN w.t_start AND w.t_end),
+p AS (SELECT DISTINCT w.window_id, e.{end} AS e, e.{other} AS o FROM e JOIN w ON e.t BETWEEN w.t_start AND w.t_end),
 deg AS (SELECT window_id, e, count(*) AS deg FROM p GROUP BY 1, 2),
-pool AS (SELECT p.window_id, p.e, deg, row_number() OVER (PARTITION BY p.window_id ORDER BY p.e, p.o) AS k FROM p JOIN deg ON p.window_id = deg.window_id AND p.e = deg.e),
+pool AS ({pool}),
 m AS (SELECT window_id, count(*) AS m FROM pool GROUP BY 1),
 asked AS (SELECT window_id, m, draw, {pick(0)} AS ka, {pick(1)} AS kb FROM m, (SELECT unnest(range(1, {draws + 1})) AS draw)),
 drawn AS (SELECT asked.*, a.e AS a, a.deg AS da, b.e AS b, b.deg AS db FROM asked JOIN pool a ON asked.window_id = a.window_id AND ka = a.k JOIN pool b ON asked.window_id = b.window_id AND kb = b.k),
 com AS (SELECT d.window_id, d.draw, count(*) AS c FROM drawn d JOIN p x ON d.window_id = x.window_id AND d.a = x.e JOIN p y ON d.window_id = y.window_id AND d.b = y.e AND x.o = y.o WHERE d.a <> d.b GROUP BY 1, 2),
-val AS (SELECT d.window_id, d.draw, CASE WHEN a = b THEN 0.0 ELSE CAST(m AS DOUBLE) * m / (2 * da * db) * (coalesce(c, 0) * (coalesce(c, 0) - 1) // 2) END AS value FROM drawn d LEFT JOIN com ON d.window_id = com.window_id AND d.draw = com.draw)
+val AS (SELECT d.window_id, d.draw, CASE WHEN a = b THEN 0.0 ELSE {scale} * (coalesce(c, 0) * (coalesce(c, 0) - 1) // 2) END AS value FROM drawn d LEFT JOIN com ON d.window_id = com.window_id AND d.draw = com.draw)"""
+
+
+def pair_sampling_sql(edges: str, wins: str, draws: int, seed: int, **options) -> str:
+    return f"""{draws_sql(edges, wins, draws, seed, **options)}
 SELECT CAST(w.window_id AS BIGINT) AS window_id, CAST(w.t_start AS BIGINT) AS t_start, CAST(w.t_end AS BIGINT) AS t_end, coalesce(round(avg(value), 6), 0.0) AS estimate FROM w LEFT JOIN val ON w.window_id = val.window_id GROUP BY w.window_id, w.t_start, w.t_end"""
 
 
@@ -142,11 +144,22 @@ def sampled_two(spark, sf_dir):
     return indexes.query_sampled(index, windows.fixed(spark, DAYS)).select("window_id", "kept_pairs", F.col("estimate"))
 
 
-SAMPLED_ONE_SQL = f"""
-WITH {arcs_sql(catalog.edges_sql("g4"), True)}, w AS ({windows.fixed_sql(DAYS)}),
-b AS (SELECT a.x, a.z, a.y AS y, c.y AS w, least(a.l, c.l) AS l, greatest(a.r, c.r) AS r FROM g a JOIN g c ON a.side = c.side AND a.x = c.x AND a.z = c.z AND a.y < c.y),
-k AS (SELECT * FROM b WHERE {kept_sql(["x", "z", "y", "w"], 0.25, 5)})
-SELECT w.window_id, CAST(count(k.l) AS BIGINT) AS kept_points, round(count(k.l) / 0.25, 6) AS estimate FROM w LEFT JOIN k ON k.l >= w.t_start AND k.r <= w.t_end GROUP BY w.window_id"""
+def sampled_one_sql(name: str, share: float, seed: int) -> str:
+    """Pairs of a group's wedges by number, one drawn place per stretch of 1 / share numbers; counts per window."""
+    q = f"CAST({share} AS DOUBLE)"
+    return f"""
+WITH {arcs_sql(catalog.edges_sql(name), True)}, w AS ({windows.fixed_sql(DAYS)}),
+ranked AS (SELECT *, row_number() OVER (PARTITION BY side, x, z ORDER BY y) - 1 AS rank FROM g),
+sizes AS (SELECT side, x, z, count(*) AS size FROM g GROUP BY 1, 2, 3 HAVING count(*) >= 2),
+stretches AS (SELECT side, x, z, size, unnest(range(CAST(floor((size * (size - 1) // 2 - 1) * {q}) AS BIGINT) + 1)) AS stretch FROM sizes),
+numbers AS (SELECT side, x, z, size, CAST(floor((stretch + ({hash_sql(["x", "z", "stretch", "side"], seed)} + CAST(0.5 AS DOUBLE)) / {PRIME}) / {q}) AS BIGINT) AS number FROM stretches),
+placed AS (SELECT side, x, z, number, CAST(floor((1 + sqrt(1 + 8 * CAST(number AS DOUBLE))) / 2) AS BIGINT) AS j FROM numbers WHERE number < size * (size - 1) // 2),
+k AS (SELECT least(a.l, b.l) AS l, greatest(a.r, b.r) AS r FROM placed n JOIN ranked b ON n.side = b.side AND n.x = b.x AND n.z = b.z AND b.rank = n.j
+ JOIN ranked a ON n.side = a.side AND n.x = a.x AND n.z = a.z AND a.rank = n.number - n.j * (n.j - 1) // 2)
+SELECT w.window_id, CAST(count(k.l) AS BIGINT) AS kept_points, round(count(k.l) / {q}, 6) AS estimate FROM w LEFT JOIN k ON k.l >= w.t_start AND k.r <= w.t_end GROUP BY w.window_id"""
+
+
+SAMPLED_ONE_SQL = sampled_one_sql("g4", 0.25, 5)
 
 SAMPLED_TWO_SQL = f"""
 WITH {arcs_sql(catalog.edges_sql("g1"))}, w AS ({windows.fixed_sql(DAYS)}),
@@ -177,6 +190,21 @@ def disjointness(spark, sf_dir):
 DISJOINT_SQL = "WITH s AS (SELECT DISTINCT n_regionkey + 1 AS i, n_nationkey % 7 AS e FROM nation), q AS (SELECT CAST(column0 AS BIGINT) AS a, CAST(column1 AS BIGINT) AS b FROM (VALUES (1, 2), (1, 4), (2, 5)) AS t(column0, column1)) SELECT q.a, q.b, CAST(count(y.e) AS BIGINT) AS common FROM q LEFT JOIN s x ON x.i = q.a LEFT JOIN s y ON y.i = q.b AND y.e = x.e GROUP BY 1, 2"
 
 
+def supplier_sets(spark, sf_dir):
+    """A set per nation, its suppliers; a supplier has one nation, so no two sets meet."""
+    supplier = catalog.table(spark, sf_dir, "supplier")
+    g = hardness.reduce_sets(supplier.select((F.col("s_nationkey") + 1).cast("long").alias("set_id"), F.col("s_suppkey").cast("long").alias("element")))
+    index, out = indexes.build_enumerated(g), None
+    for a, b in ((1, 2), (3, 9), (5, 25)):
+        counts = indexes.query_enumerated(index, hardness.intersection_windows(spark, a, b))
+        one = hardness.intersection_size(counts).select(F.lit(a).cast("long").alias("a"), F.lit(b).cast("long").alias("b"), "common")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+SUPPLIER_SETS_SQL = "WITH q AS (SELECT CAST(column0 AS BIGINT) AS a, CAST(column1 AS BIGINT) AS b FROM (VALUES (1, 2), (3, 9), (5, 25)) AS t(column0, column1)) SELECT q.a, q.b, CAST(count(y.s_suppkey) AS BIGINT) AS common FROM q LEFT JOIN supplier x ON x.s_nationkey + 1 = q.a LEFT JOIN supplier y ON y.s_nationkey + 1 = q.b AND y.s_suppkey = x.s_suppkey GROUP BY 1, 2"
+
+
 def literal_counts(rows, spans):
     def run(spark, sf_dir):
         g = catalog.literal(spark, rows)
@@ -276,7 +304,7 @@ def sampled_error(spark, sf_dir):
 def memory_levels(spark, sf_dir):
     """Limits of 10 % to 100 % of the enumerated size: alpha chosen, estimated bytes."""
     g = catalog.load(spark, sf_dir, "g2")
-    sizes = group_sizes(priority_wedges(g)).persist()
+    sizes = indexes.sized_points(g)
     full = sum(r.butterflies for r in indexes.size_histogram(sizes).collect()) * indexes.POINT_BYTES
     rows = []
     for tenth in range(1, 11):
@@ -285,6 +313,41 @@ def memory_levels(spark, sf_dir):
     return spark.createDataFrame(rows, "tenth int, limit_bytes long, size long, alpha double, est_bytes long")
 
 
+def memory_levels_sql(name: str) -> str:
+    """The walk over sizes as running sums: it stops before the first size whose estimate passes the limit and grows."""
+    return f"""
+WITH {arcs_sql(catalog.edges_sql(name))}, s AS (SELECT count(*) AS size FROM g GROUP BY side, x, z HAVING count(*) >= 2),
+h AS (SELECT size, count(*) AS groups FROM s GROUP BY 1),
+a AS (SELECT CAST(sum(size * (size - 1) // 2 * groups) AS BIGINT) AS total, CAST(sum(size * groups) AS BIGINT) AS wedges FROM h),
+c AS (SELECT size, CAST(sum(size * (size - 1) // 2 * groups) OVER (ORDER BY size) AS BIGINT) AS done, CAST(sum(size * groups) OVER (ORDER BY size) AS BIGINT) AS moved FROM h),
+f AS (SELECT size, done, done * {indexes.POINT_BYTES} + (wedges - moved) * {indexes.GROUPED_POINT_BYTES} AS est FROM c, a),
+steps AS (SELECT size, done, est, lag(est, 1, (SELECT wedges * {indexes.GROUPED_POINT_BYTES} FROM a)) OVER (ORDER BY size) AS before FROM f),
+t AS (SELECT tenth, total * {indexes.POINT_BYTES} * tenth // 10 AS lim FROM a, (SELECT unnest(range(1, 11)) AS tenth)),
+b AS (SELECT tenth, lim, (SELECT coalesce(min(size), 1099511627776) FROM steps WHERE est > lim AND est > before) AS stop FROM t)
+SELECT CAST(tenth AS INTEGER) AS tenth, CAST(lim AS BIGINT) AS limit_bytes, CAST(coalesce(max(steps.size), 0) AS BIGINT) AS size, round(coalesce(max(steps.done), 0) / any_value(a.total), 6) AS alpha, CAST(coalesce(arg_max(steps.est, steps.size), any_value(a.wedges) * {indexes.GROUPED_POINT_BYTES}) AS BIGINT) AS est_bytes
+FROM b CROSS JOIN a LEFT JOIN steps ON steps.size < b.stop GROUP BY tenth, lim"""
+
+
+def index_sizes_sql(name: str, alpha: float) -> str:
+    """Points of both parts for pairs of one time: small groups up to the share of butterflies, large ones beyond it."""
+    return f"""
+WITH {arcs_sql(catalog.edges_sql(name), True)}, s AS (SELECT side, x, z, count(*) AS size FROM g GROUP BY 1, 2, 3 HAVING count(*) >= 2),
+h AS (SELECT size, sum(size * (size - 1) // 2) AS b FROM s GROUP BY 1),
+c AS (SELECT size, sum(b) OVER (ORDER BY size) AS done, (SELECT sum(b) FROM h) AS total FROM h),
+cut AS (SELECT coalesce(max(size), 0) AS most FROM c WHERE done <= {alpha} * total),
+k AS (SELECT g.*, size FROM g JOIN s ON g.side = s.side AND g.x = s.x AND g.z = s.z),
+one AS (SELECT DISTINCT least(a.l, b.l), greatest(a.r, b.r) FROM k a JOIN k b ON a.side = b.side AND a.x = b.x AND a.z = b.z AND a.y < b.y WHERE a.size <= (SELECT most FROM cut)),
+two AS (SELECT DISTINCT side, x, z, l, r FROM k WHERE size > (SELECT most FROM cut))
+SELECT 'enumerated' AS part, count(*) AS points, count(*) * {indexes.POINT_BYTES} AS bytes FROM one UNION ALL SELECT 'grouped', count(*), count(*) * {indexes.GROUPED_POINT_BYTES} FROM two"""
+
+
+def concentration_share_sql(name: str) -> str:
+    return f"""
+WITH {arcs_sql(catalog.edges_sql(name))}, s AS (SELECT count(*) AS size FROM g GROUP BY side, x, z), m AS (SELECT max(size) AS largest FROM s)
+SELECT count(*) AS groups, round(sum(CASE WHEN size < 10 THEN 1 ELSE 0 END) / count(*), 6) AS share_small, round(sum(CASE WHEN size > largest / 2 THEN 1 ELSE 0 END) / count(*), 6) AS share_heavy,
+round(sum(CASE WHEN size > largest / 2 THEN size * (size - 1) // 2 ELSE 0 END) / greatest(sum(size * (size - 1) // 2), 1), 6) AS butterflies_heavy FROM s, m"""
+
+
 def generated(**options):
     def run(spark, sf_dir):
         law = (2000, 2000, options.get("gamma_u", 2.5), options.get("gamma_v", 2.5), 300, 300)
@@ -357,10 +420,31 @@ def registry() -> dict[str, tuple[Query, str | None]]:
     q["sampled_one_g4"] = plain(sampled_one, SAMPLED_ONE_SQL)
     q["sampled_two_g1"] = plain(sampled_two, SAMPLED_TWO_SQL)
     q["sampled_error_g1"] = plain(sampled_error)
-    q["memory_levels_g2"] = plain(memory_levels)
+    q["memory_levels_g2"] = plain(memory_levels, memory_levels_sql("g2"))
+    q["error_bounds_g1"] = plain(experiments.bounds)
+    q["thread_counts_g6"] = plain(experiments.thread_counts, f"WITH c AS ({counts_sql(day_edges('g6'), windows.fixed_sql(HOURS))}) SELECT CAST(n AS BIGINT) AS threads, CAST(b AS BIGINT) AS hybrid, CAST(b AS BIGINT) AS recount FROM (SELECT sum(butterflies) AS b FROM c), (SELECT unnest([1, 8]) AS n)")
+    q["power_law_counts"] = plain(experiments.generated_counts)
+    q["grouped_dyadic_g2"] = with_windows("g2", grouped("dyadic"))
+    q["grouped_sweep_g1"] = with_windows("g1", grouped("sweep"))
+    q["hybrid_dyadic_g4_a10"] = with_windows("g4", lambda g, w: indexes.query_hybrid(indexes.build_hybrid(g, alpha=0.1), w, "dyadic", "dyadic"), end="u")
+    for n in ("g1", "g4", "g6"):
+        q[f"random_windows_hybrid_{n}_a10"] = random_batch(n, lambda g, w: indexes.query_hybrid(indexes.build_hybrid(g, alpha=0.1), w, "sweep", "sweep"), high=719 if n == "g6" else 2404)
+    for n in ("g3", "g5", "g6"):
+        q[f"hybrid_auto_alpha_{n}"] = with_windows(n, hybrid(limit_bytes=1_500_000), end="u" if n == "g5" else "v")
+    q["skew_recount_g8_k11"] = with_windows("g8", baselines.recount, DAYS[:2], k=11, sides="both")
+    q["skew_hybrid_g8_k11_one_side"] = with_windows("g8", hybrid(alpha=0.1), DAYS[:2], k=11, sides="v")
+    for n, deltas in (("g2", MANY_DELTAS), ("g5", DELTAS), ("g6", [10, 40, 100])):
+        q[f"duration_index_{n}"] = ((lambda s, d, n=n, deltas=deltas: duration.query(duration.build(catalog.load(s, d, n), max(deltas), 0.5), delta_table(s, deltas))), deltas_sql(day_edges(n), deltas))
+    for n in ("g2", "g4", "g6", "g7"):
+        q[f"concentration_share_{n}"] = ((lambda s, d, n=n: measures.concentration_share(group_sizes(priority_wedges(catalog.load(s, d, n))))), concentration_share_sql(n))
+    q["data_summary"] = plain(lambda s, d: experiments.summaries(s, d, ["g1", "g2", "g3", "g4", "g5", "g6", "g9"]), " UNION ALL ".join(f"SELECT '{n}' AS graph, pairs, edges, n_u, n_v, mean_min_degree FROM ({census_sql(n)})" for n in ("g1", "g2", "g3", "g4", "g5", "g6", "g9")))
+    q["ego_busiest_window_g4"] = plain(lambda s, d: apps.busiest_window(s, catalog.load(s, d, "g4"), 3, 0, 2404 - 729, 730, 30), EGO_SQL.replace(day_edges("g2"), day_edges("g4")).replace("WHERE u = 7", "WHERE u = 3"))
+    q["disjointness_suppliers"] = plain(supplier_sets, SUPPLIER_SETS_SQL)
+    q["uniform_times"] = plain(lambda s, d: hardness.uniformity(hardness.power_law_arrow(s, 2000, 2000, 2.5, 2.5, 300, 300, seed=3)))
     q["pair_sampling_g2"] = ((lambda s, d: baselines.pair_sampling(catalog.load(s, d, "g2"), windows.fixed(s, DAYS[:2]), 2000)), pair_sampling_sql(day_edges("g2"), windows.fixed_sql(DAYS[:2]), 2000, 1))
-    q["pair_sampling_even_g2"] = plain(lambda s, d: baselines.pair_sampling(catalog.load(s, d, "g2"), windows.fixed(s, DAYS[:2]), 2000, weights="even"))
-    q["pair_sampling_draws_g1"] = plain(lambda s, d: baselines.draws_to_error(baselines.sampled_pairs(catalog.load(s, d, "g1"), windows.fixed(s, DAYS[:2]), 2000), baselines.recount(catalog.load(s, d, "g1"), windows.fixed(s, DAYS[:2]))))
+    q["pair_sampling_even_g2"] = plain(lambda s, d: baselines.pair_sampling(catalog.load(s, d, "g2"), windows.fixed(s, DAYS[:2]), 2000, weights="even"), pair_sampling_sql(day_edges("g2"), windows.fixed_sql(DAYS[:2]), 2000, 1, weights="even"))
+    q["pair_sampling_right_g2"] = plain(lambda s, d: baselines.pair_sampling(catalog.load(s, d, "g2"), windows.fixed(s, DAYS[:2]), 2000, side="v"), pair_sampling_sql(day_edges("g2"), windows.fixed_sql(DAYS[:2]), 2000, 1, side="v"))
+    q["pair_sampling_draws_g1"] = plain(lambda s, d: baselines.draws_to_error(baselines.sampled_pairs(catalog.load(s, d, "g1"), windows.fixed(s, DAYS[:2]), 2000), baselines.recount(catalog.load(s, d, "g1"), windows.fixed(s, DAYS[:2]))), f"{draws_sql(day_edges('g1'), windows.fixed_sql(DAYS[:2]), 2000, 1)}, ex AS ({counts_sql(day_edges('g1'), windows.fixed_sql(DAYS[:2]))}), run AS (SELECT window_id, draw, avg(value) OVER (PARTITION BY window_id ORDER BY draw) AS mean FROM val) SELECT CAST(run.window_id AS BIGINT) AS window_id, CAST(min(CASE WHEN abs(mean - butterflies) / butterflies <= 0.1 THEN draw END) AS BIGINT) AS draws FROM run JOIN ex ON run.window_id = ex.window_id GROUP BY 1")
     q["duration_spans_g2"] = ((lambda s, d: duration.query_spans(duration.build_spans(catalog.load(s, d, "g2")), delta_table(s, DELTAS))), deltas_sql(day_edges("g2"), DELTAS))
     q["duration_grouped_g2"] = ((lambda s, d: duration.grouped(catalog.load(s, d, "g2"), delta_table(s, DELTAS))), deltas_sql(day_edges("g2"), DELTAS))
     q["duration_hybrid_g2_many"] = ((lambda s, d: duration.hybrid(catalog.load(s, d, "g2"), delta_table(s, MANY_DELTAS))), deltas_sql(day_edges("g2"), MANY_DELTAS))
@@ -381,7 +465,7 @@ def registry() -> dict[str, tuple[Query, str | None]]:
     q["toy_windows"] = literal_counts(catalog.TOY, [(1, 5), (1, 6), (2, 4), (4, 6), (3, 6), (5, 6)])
     q["duplicate_edges_windows"] = literal_counts(catalog.DUPLICATES, [(1, 8), (2, 9), (1, 9), (2, 8)])
     q["concentration_g2"] = ((lambda s, d: concentration(group_sizes(priority_wedges(catalog.load(s, d, "g2"))))), concentration_sql("g2"))
-    q["concentration_g7"] = plain(lambda s, d: concentration(group_sizes(priority_wedges(catalog.load(s, d, "g7")))))
+    q["concentration_g7"] = plain(lambda s, d: concentration(group_sizes(priority_wedges(catalog.load(s, d, "g7")))), concentration_sql("g7"))
     q["work_counters_g4"] = ((lambda s, d: measures.work_counters(catalog.load(s, d, "g4"))), counters_sql("g4"))
     for n in ("g1", "g4", "g8"):
         q[f"census_{n}"] = ((lambda s, d, n=n: graph.census(catalog.load(s, d, n))), census_sql(n))
@@ -403,8 +487,8 @@ def registry() -> dict[str, tuple[Query, str | None]]:
         f"WITH {arcs_sql(day_edges('g5'), True)} SELECT CAST(a.side AS INTEGER) AS side, a.x, a.z, a.y, c.y AS w, least(a.l, c.l) AS l, greatest(a.r, c.r) AS r FROM g a JOIN g c ON a.side = c.side AND a.x = c.x AND a.z = c.z AND a.y < c.y",
     )
     q["duration_per_window_g2"] = ((lambda s, d: baselines.duration_per_window(catalog.load(s, d, "g2"), windows.fixed(s, DAYS))), f"WITH {timed_sql(day_edges('g2'))}, w AS ({windows.fixed_sql(DAYS)}) SELECT w.window_id, w.t_start, w.t_end, CAST(count(f.l) AS BIGINT) AS butterflies FROM w LEFT JOIN f ON f.l >= w.t_start AND f.r <= w.t_end GROUP BY ALL")
-    q["index_sizes_g4"] = plain(lambda s, d: measures.index_size(indexes.build_hybrid(catalog.load(s, d, "g4"), alpha=0.5)))
-    q["exact_against_estimate_g4"] = plain(lambda s, d: measures.relative_error(indexes.query_sampled(indexes.build_sampled(catalog.load(s, d, "g4"), 1.0, 0.1), windows.fixed(s, DAYS)), baselines.recount(catalog.load(s, d, "g4"), windows.fixed(s, DAYS))))
+    q["index_sizes_g4"] = plain(lambda s, d: measures.index_size(indexes.build_hybrid(catalog.load(s, d, "g4"), alpha=0.5)), index_sizes_sql("g4", 0.5))
+    q["exact_against_estimate_g4"] = plain(lambda s, d: measures.relative_error(indexes.query_sampled(indexes.build_sampled(catalog.load(s, d, "g4"), 1.0, 0.1), windows.fixed(s, DAYS)), baselines.recount(catalog.load(s, d, "g4"), windows.fixed(s, DAYS))), f"SELECT a.window_id, CASE WHEN b.butterflies > 0 THEN round(abs(a.estimate - b.butterflies) / b.butterflies, 9) END AS error FROM ({sampled_one_sql('g4', 0.1, 1)}) a JOIN ({counts_sql(day_edges('g4'), windows.fixed_sql(DAYS), 'u')}) b ON a.window_id = b.window_id")
     q["power_law_double"] = plain(generated())
     q["power_law_single"] = plain(generated(gamma_v=0.0))
     q["power_law_exact"] = plain(generated(exact=True))

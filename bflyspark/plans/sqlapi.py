@@ -43,8 +43,30 @@ def lateral_count(spark: SparkSession, index: Index, windows: DataFrame) -> Data
     return spark.sql("SELECT q.window_id, q.t_start, q.t_end, c.butterflies FROM bfly_windows q, LATERAL (SELECT coalesce(sum(p.w), 0) AS butterflies FROM bfly_points p WHERE p.l >= q.t_start AND p.r <= q.t_end) c")
 
 
-def register_functions(spark: SparkSession) -> None:
-    """SQL functions: choose2(c), and bfly_nodes(start, height), a table function of tree nodes."""
+def union_of_stairs(intervals: DataFrame, keys: list[str]) -> DataFrame:
+    """keys, l, r: of each key's intervals those that hold no other one: one walk from the largest l on, keeping the least r."""
+
+    def walk(rows: pd.DataFrame) -> pd.DataFrame:
+        order = np.lexsort((rows["r"].to_numpy(), -rows["l"].to_numpy()))
+        r = rows["r"].to_numpy()[order]
+        least = np.minimum.accumulate(r)
+        fresh = np.concatenate([[True], r[1:] < least[:-1]])
+        return rows.iloc[order[fresh]]
+
+    schema = intervals.select(*keys, "l", "r")
+    return schema.groupBy(*keys).applyInPandas(walk, schema.schema)
+
+
+#: Body of a window function: C(c, 2) over pairs of right vertices, or paths of three edges, between two times.
+COUNTED = """
+(SELECT coalesce(sum(c * (c - 1) DIV 2), 0L) FROM (SELECT count(*) AS c FROM (SELECT DISTINCT u, v FROM {prefix}_edges WHERE t BETWEEN low AND high) a
+ JOIN (SELECT DISTINCT u, v AS v2 FROM {prefix}_edges WHERE t BETWEEN low AND high) b ON a.u = b.u AND a.v < b.v2 GROUP BY a.v, b.v2))"""
+PATHS = """
+(SELECT coalesce(sum((du - 1) * (dv - 1)), 0L) FROM (SELECT count(*) OVER (PARTITION BY u) AS du, count(*) OVER (PARTITION BY v) AS dv FROM (SELECT DISTINCT u, v FROM {prefix}_edges WHERE t BETWEEN low AND high)))"""
+
+
+def register_functions(spark: SparkSession, prefix: str | None = None) -> None:
+    """SQL functions: choose2(c); bfly_nodes(start, height), a table function of tree nodes; with a registered graph's prefix also bfly_count(low, high) and bfly_three_paths(low, high)."""
     from pyspark.sql.functions import udtf
 
     @udtf(returnType="level int, node bigint")
@@ -63,6 +85,9 @@ def register_functions(spark: SparkSession) -> None:
 
     spark.udtf.register("bfly_nodes", Nodes)
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION choose2(c BIGINT) RETURNS BIGINT RETURN c * (c - 1) DIV 2")
+    if prefix:
+        for name, body in (("bfly_count", COUNTED), ("bfly_three_paths", PATHS)):
+            spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {name}(low BIGINT, high BIGINT) RETURNS BIGINT RETURN {body.format(prefix=prefix)}")
 
 
 def packed_udf(windows: DataFrame):

@@ -35,8 +35,7 @@ def power_rank(residue: Column, k: int) -> Column:
     """Whole-number power of a residue, scaled back below the modulus after each factor."""
     out = residue
     for _ in range(k - 1):
-        product = out * residue
-        out = ((product - F.pmod(product, F.lit(MODULUS))) / MODULUS).cast("long")
+        out = F.floor(out * residue / MODULUS)  # below 2^53, and a quotient is whole or far from the next whole number
     return out
 
 

@@ -4,10 +4,13 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..functions.ranking import running
+
 SIDE_U, SIDE_V = 0, 1
+BROADCAST_ROWS = 2_000_000  # rows of three whole numbers
 
 
 @dataclass(frozen=True)
@@ -35,10 +38,25 @@ def from_table(df: DataFrame, u: str = "u", v: str = "v", t: str = "t") -> Tempo
     return TemporalBipartite(df.select(_given(u).alias("u"), _given(v).alias("v"), _given(t).alias("t")))
 
 
+def in_windows(edges: DataFrame, windows: DataFrame, cells: int = 256) -> DataFrame:
+    """Rows of edges with the id of each closed window that holds their time, by an equi-join on cells of time.
+
+    A window stands in every cell that it touches. That table is broadcast as long as it has BROADCAST_ROWS
+    rows at most; a larger batch of windows is joined by a shuffle.
+    """
+    n, low, high = windows.agg(F.count("*"), F.min("t_start"), F.max("t_end")).first()
+    width = max(1, ((high or 0) - (low or 0)) // cells + 1)
+    cell = lambda c: F.floor((c - F.lit(low or 0)) / width)
+    touched = windows.where("t_start <= t_end").select("window_id", "t_start", "t_end", F.explode(F.sequence(cell(F.col("t_start")), cell(F.col("t_end")))).alias("cell"))
+    if n * cells <= BROADCAST_ROWS:
+        touched = F.broadcast(touched)
+    placed = edges.where(F.col("t").between(F.lit(low), F.lit(high))).withColumn("cell", cell(F.col("t")))
+    return placed.join(touched, "cell").where(F.col("t").between(F.col("t_start"), F.col("t_end"))).select("window_id", *edges.columns)
+
+
 def project(g: TemporalBipartite, windows: DataFrame) -> DataFrame:
-    """window_id, u, v: pairs with a time inside the closed window, once each. Windows are few, edges many."""
-    inside = F.col("t").between(F.col("t_start"), F.col("t_end"))
-    return g.edges.join(F.broadcast(windows), inside).select("window_id", "u", "v").distinct()
+    """window_id, u, v: pairs with a time inside the closed window, once each."""
+    return in_windows(g.edges, windows).select("window_id", "u", "v").distinct()
 
 
 def restrict(g: TemporalBipartite, low: int, high: int) -> TemporalBipartite:
@@ -47,9 +65,9 @@ def restrict(g: TemporalBipartite, low: int, high: int) -> TemporalBipartite:
 
 
 def compact_time(g: TemporalBipartite) -> tuple[TemporalBipartite, DataFrame]:
-    """Times as dense ranks from 1, and the table rank -> time. Only the distinct times are ranked in one place."""
-    ranks = g.edges.select("t").distinct().withColumn("rank", F.dense_rank().over(Window.orderBy("t")).cast("long"))
-    edges = g.edges.join(F.broadcast(ranks), "t").select("u", "v", F.col("rank").alias("t"))
+    """Times as dense ranks from 1, and the table rank -> time. Ranks are numbers by blocks of times; the engine picks the join."""
+    ranks = running(g.edges.select("t").distinct(), "t").select("t", (F.col("before") + 1).alias("rank"))
+    edges = g.edges.join(ranks, "t").select("u", "v", F.col("rank").alias("t"))
     return TemporalBipartite(edges), ranks
 
 

@@ -8,9 +8,8 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..operators.baselines import recount
-from ..sources.graph import TemporalBipartite
 from ..sources.scratch import scratch
+from . import maintenance
 
 
 def event_edges(spark: SparkSession, path: str, files_per_trigger: int = 1) -> DataFrame:
@@ -39,35 +38,56 @@ def sessions(edges: DataFrame, gap: str = "1 hour", delay: str = "1 day") -> Dat
     return edges.withWatermark("ts", delay).groupBy(F.session_window("ts", gap), "u").agg(F.count("*").alias("edges"))
 
 
-def count_batches(edges: DataFrame, windows: DataFrame, sink: Callable[[DataFrame, int], None]):
-    """Butterflies per window of each arriving batch by the batch method; sink(counts, batch_id)."""
+def hours(edges: DataFrame) -> DataFrame:
+    """u, v, t with t in whole hours of the event clock; events without a property make no edge."""
+    t = F.timestamp_diff("HOUR", F.lit("2024-01-01 00:00:00").cast("timestamp"), F.col("ts"))
+    return edges.where("u is not null and v is not null").select("u", "v", t.cast("long").alias("t"))
 
-    def each(batch: DataFrame, batch_id: int) -> None:
-        hours = F.timestamp_diff("HOUR", F.lit("2024-01-01 00:00:00").cast("timestamp"), F.col("ts"))
-        g = TemporalBipartite(batch.select("u", "v", hours.cast("long").alias("t")))
-        sink(recount(g, windows), batch_id)
 
-    return edges.writeStream.foreachBatch(each)
+class Maintained:
+    """An index kept up by a stream, batch by batch. A batch that is delivered again is passed over by its id."""
+
+    def __init__(self, spark: SparkSession, sink: Callable[[maintenance.State, DataFrame, int], None] | None = None):
+        self.state, self.last, self.sink = maintenance.empty(spark), -1, sink
+
+    def take(self, batch: DataFrame, batch_id: int) -> None:
+        if batch_id <= self.last:
+            return
+        self.state, added = maintenance.append(self.state, hours(batch), f"batch-{batch_id}")
+        self.last = batch_id
+        if self.sink:
+            self.sink(self.state, added, batch_id)
+
+    def follow(self, edges: DataFrame) -> None:
+        """Take in what is there and stop."""
+        writer = edges.writeStream.foreachBatch(self.take).option("checkpointLocation", scratch(edges.sparkSession, "stream"))
+        writer.trigger(availableNow=True).start().awaitTermination()
+
+
+def in_order_and_late(edges: DataFrame, latest: DataFrame, delay: str = "1 day") -> tuple[DataFrame, DataFrame]:
+    """Edges of a batch that the watermark lets through, and those that come later than the delay behind `latest` (one row, ts)."""
+    marked = edges.crossJoin(F.broadcast(latest.select((F.col("ts") - F.expr(f"INTERVAL {delay}")).alias("watermark"))))
+    on_time = F.col("watermark").isNull() | (F.col("ts") >= F.col("watermark"))
+    return marked.where(on_time).drop("watermark"), marked.where(~on_time).drop("watermark")
 
 
 def partner_increments(edges: DataFrame) -> DataFrame:
     """v, u, partners: for each new edge, how many earlier distinct neighbours its right vertex had.
 
-    The sum of these increments is the number of wedges through right vertices. State: one set per vertex.
+    The sum of these increments is the number of wedges through right vertices. State: each pair once, and a
+    count per vertex, so that taking in an edge touches one number however many neighbours there are.
     """
+    first = edges.where("v is not null").withWatermark("ts", "40 days").dropDuplicates(["u", "v"])
 
     def update(key: tuple, batches: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
-        known = set(state.get[0]) if state.exists else set()
-        rows = []
+        known = state.get[0] if state.exists else 0
         for batch in batches:
-            for u in batch.sort_values("ts")["u"].tolist():
-                if u not in known:
-                    rows.append((key[0], u, len(known)))
-                    known.add(u)
-        state.update((sorted(known),))
-        yield pd.DataFrame(rows, columns=["v", "u", "partners"])
+            users = batch.sort_values(["ts", "u"])["u"]
+            yield pd.DataFrame({"v": key[0], "u": users.to_numpy(), "partners": range(known, known + len(users))})
+            known += len(users)
+        state.update((known,))
 
-    return edges.where("v is not null").groupBy("v").applyInPandasWithState(update, "v long, u long, partners long", "known array<long>", "append", "NoTimeout")
+    return first.groupBy("v").applyInPandasWithState(update, "v long, u long, partners long", "known long", "append", "NoTimeout")
 
 
 def labelled(edges: DataFrame, labels: DataFrame) -> DataFrame:
@@ -83,14 +103,12 @@ def paired(a: DataFrame, b: DataFrame, within: str = "1 hour", delay: str = "1 d
 
 
 def run_to_table(stream: DataFrame, name: str, mode: str = "append") -> DataFrame:
-    """Take in what is there and stop; the result as a table in memory (tests, reports)."""
+    """Take in what is there and stop; the result as Parquet in the shared folder. Complete results replace the table at each batch."""
     spark = stream.sparkSession
-    writer = stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", scratch(spark, "stream"))
-    query = writer.trigger(availableNow=True).start()
-    query.awaitTermination()
-    return spark.table(name)
-
-
-def delta_points(points: DataFrame, new_points: DataFrame) -> DataFrame:
-    """Points of an index after an appended batch: new edges only add points, old ones stay."""
-    return points.unionByName(new_points).groupBy("l", "r").agg(F.sum("w").alias("w")).where("w <> 0")
+    path = scratch(spark, name)
+    if mode == "complete":
+        writer = stream.writeStream.outputMode(mode).foreachBatch(lambda rows, _: rows.write.mode("overwrite").parquet(path))
+    else:
+        writer = stream.writeStream.outputMode(mode).format("parquet").option("path", path)
+    writer.option("checkpointLocation", scratch(spark, "stream")).trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema(stream.schema).parquet(path)

@@ -153,3 +153,56 @@ def test_merge_tree():
     start, end = rng.integers(-5, 60, 80), rng.integers(-5, 110, 80)
     got = merge_tree_counts(l, r, w, start, end)
     assert got.tolist() == [int(w[(l >= a) & (r <= b)].sum()) for a, b in zip(start, end, strict=True)]
+
+
+def test_duration_kernels_agree():
+    """Pairs, look-ups in a tree and the definition, on groups with ties."""
+    import numpy as np
+
+    rng = np.random.default_rng(5)
+    n = 400
+    group, y, l = rng.integers(0, 5, n), rng.integers(0, 9, n), rng.integers(0, 60, n)  # noqa: E741
+    r, w, own = l + rng.integers(1, 25, n), rng.integers(1, 4, n), rng.random(n) < 0.7
+    deltas = np.array([3, 10, 30, 70])
+    rows = list(zip(group.tolist(), y.tolist(), l.tolist(), r.tolist(), w.tolist(), own.tolist(), strict=True))
+    want = [sum(a[4] * b[4] for a in rows if a[5] for b in rows if b[0] == a[0] and b[1] != a[1] and b[2] > a[2] and b[2] != a[3] and b[3] != a[3] and max(a[3], b[3]) - a[2] <= d) for d in deltas.tolist()]
+    assert duration.near_pairs(group, y, l, r, w, own, deltas).tolist() == want
+    order = np.lexsort((y, group))
+    every = duration.later_wedges(group[order], l[order], r[order], w[order], own[order], deltas)
+    _, both = np.unique(group[order] * 100 + y[order], return_inverse=True)
+    assert (every - duration.later_wedges(both, l[order], r[order], w[order], own[order], deltas)).tolist() == want
+
+
+def test_appended_batches_make_the_full_index(spark):
+    """Random batches with repeated and late edges: the points add up to those of a full build, and a batch reads changed wedges alone."""
+    from bflyspark.streaming import maintenance
+
+    rnd = random.Random(8)
+    rows = [(rnd.randint(1, 8), rnd.randint(1, 6), rnd.randint(0, 20)) for _ in range(60)]
+    state = maintenance.empty(spark)
+    for k, part in enumerate((rows[:25], rows[25:30], rows[28:60])):
+        state, _ = maintenance.append(state, catalog.literal(spark, part).edges, f"t{k}")
+    spans = [(0, 20), (3, 9), (8, 20), (5, 5)]
+    assert counts(maintenance.counts(state, windows.fixed(spark, spans))) == brute(rows, spans)
+    full = indexes.build_enumerated(catalog.literal(spark, rows)).points
+    assert sum(r.w for r in state.points.collect()) == sum(r.w for r in full.collect())
+    again, added = maintenance.append(state, catalog.literal(spark, rows[:10]).edges, "again")
+    assert added.count() == 0
+
+
+def test_two_sided_sampling_is_unbiased(spark, small):
+    g, w = catalog.load(spark, small, "g6"), windows.fixed(spark, [(0, 719)])
+    exact = counts(baselines.recount(g, w))[0]
+    got = [indexes.query_sampled(indexes.build_sampled(g, 0.3, 0.5, 0.5, seed), w).first() for seed in range(6)]
+    mean, spread = sum(r.estimate for r in got) / len(got), max(r.std_error for r in got)
+    assert abs(mean - exact) < 4 * spread / len(got) ** 0.5
+
+
+def test_generated_graphs(spark):
+    """Degrees keep their bounds, times are even, and one seed gives one graph."""
+    g = hardness.power_law_arrow(spark, 3000, 3000, 2.5, 2.5, 200, 200, seed=3)
+    row = hardness.balance(g).first()
+    assert row.sum_u == row.sum_v and 20 < row.max_u <= 201 and row.max_v > 20
+    assert hardness.uniformity(g).first().chi_square < 19 + 5 * (2 * 19) ** 0.5
+    again = hardness.power_law_arrow(spark, 3000, 3000, 2.5, 2.5, 200, 200, seed=3)
+    assert g.edges.exceptAll(again.edges).count() == 0

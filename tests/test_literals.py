@@ -1,9 +1,11 @@
 """Worked examples and graphs of known counts."""
 
+import random
+
 import pytest
 from pyspark.sql import functions as F
 
-from bflyspark.functions.intervals import compose, minimal, wedge_interval, wedge_stairs
+from bflyspark.functions.intervals import compose, compose_stairs, wedge_interval, wedge_stairs
 from bflyspark.operators import baselines, dominance, duration, hardness, indexes
 from bflyspark.operators.wedges import GROUP, group_points, group_sizes, priority_wedges, with_stairs
 from bflyspark.sources import catalog, windows
@@ -57,8 +59,27 @@ def test_repeated_edges(spark):
 def test_minimal_intervals(spark):
     row = spark.range(1).select(wedge_stairs(F.array(*map(F.lit, (1, 5, 9))), F.array(*map(F.lit, (2, 8)))).alias("s")).first()
     assert [tuple(x) for x in row.s] == [(1, 2), (2, 5), (5, 8), (8, 9)]
-    empty = spark.range(1).select(minimal(F.array().cast("array<struct<l:bigint,r:bigint>>")).alias("s")).first()
-    assert empty.s == []
+    none = F.array().cast("array<struct<l:bigint,r:bigint>>")
+    assert spark.range(1).select(compose_stairs(none, none).alias("s")).first().s == []
+
+
+def least(candidates):
+    """Those that hold no other one, by definition."""
+    kinds = set(candidates)
+    return sorted(c for c in kinds if not any(d != c and c[0] <= d[0] and d[1] <= c[1] for d in kinds))
+
+
+def test_stairs_of_random_times(spark):
+    """Wedges of repeated edges and butterflies of such wedges against all pairs, with ties."""
+    rnd = random.Random(6)
+    rows = [(i, *(sorted(rnd.sample(range(20), rnd.randint(1, 9))) for _ in range(4))) for i in range(300)]
+    df = spark.createDataFrame(rows, "i long, a array<long>, b array<long>, c array<long>, d array<long>")
+    wedges = df.select("*", wedge_stairs(F.col("a"), F.col("b")).alias("p"), wedge_stairs(F.col("c"), F.col("d")).alias("q"))
+    for r in wedges.select("*", compose_stairs(F.col("p"), F.col("q")).alias("s")).collect():
+        p, q = ([tuple(x) for x in side] for side in (r.p, r.q))
+        assert p == least([(min(x, y), max(x, y)) for x in r.a for y in r.b])
+        assert q == least([(min(x, y), max(x, y)) for x in r.c for y in r.d])
+        assert [tuple(x) for x in r.s] == least([(min(x[0], y[0]), max(x[1], y[1])) for x in p for y in q])
 
 
 def test_set_disjointness(spark):
