@@ -47,9 +47,9 @@ def classes(texts, words, num):
     return {i: (len(s), top(i)) for i, s in enumerate(sets)}
 
 
-@pytest.mark.parametrize("nodes,levels", [(5000, 4), (15, 4), (15, 1)])
-def test_jaccard_join_is_exact(spark, monkeypatch, nodes, levels):
-    monkeypatch.setattr(jaccard_join, "REGION_NODES", nodes)
+@pytest.mark.parametrize("load,levels", [(16 << 20, 6), (6000, 3), (6000, 0)])
+def test_jaccard_join_is_exact(spark, monkeypatch, load, levels):
+    monkeypatch.setattr(jaccard_join, "REGION_BYTES", load)
     monkeypatch.setattr(jaccard_join, "LEVELS", levels)
     texts = mutants()
     df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
@@ -58,6 +58,50 @@ def test_jaccard_join_is_exact(spark, monkeypatch, nodes, levels):
         assert got == classes(texts, words, num)
 
 
+def test_regions_are_cut_by_pivots(monkeypatch):
+    """Voronoi regions with windows and cores find what all pairs find, at any size of a region."""
+    import numpy as np
+
+    cuts = []
+    near = jaccard_join.near
+    monkeypatch.setattr(jaccard_join, "near", lambda d, num: cuts.append(d.shape) or near(d, num))
+    rnd = random.Random(4)
+    for clusters, copies, edits in ((1, 2, 1), (6, 4, 2), (30, 12, 3), (4, 120, 4), (150, 1, 0), (40, 6, 8)):
+        sets = []
+        for c in range(clusters):
+            base = rnd.sample(range(c * 150, c * 150 + 400), 120)
+            now = set(base)
+            for _ in range(copies):
+                now = set(rnd.choice([base, list(now)]))
+                for x in rnd.sample(sorted(now), edits):
+                    now.remove(x)
+                    now.add(rnd.randrange(10**6, 10**7))
+                sets.append(now)
+        arrays = [np.array(sorted(s), np.uint64) for s in sets]
+        nodes = [i * 7919 + 11 for i in range(len(sets))]
+        for num in (80, 85):
+            got, want = list(range(len(sets))), list(range(len(sets)))
+
+            def top(root, i):
+                while root[i] != i:
+                    i = root[i]
+                return i
+
+            for a, b in jaccard_join.region_links(nodes, arrays, num):
+                i, j = nodes.index(a), nodes.index(b)
+                common = len(sets[i] & sets[j])
+                assert 100 * common >= num * (len(sets[i]) + len(sets[j]) - common)
+                got[top(got, i)] = top(got, j)
+            for i, a in enumerate(sets):
+                for j in range(i):
+                    common = len(a & sets[j])
+                    if 100 * common >= num * (len(a) + len(sets[j]) - common):
+                        want[top(want, i)] = top(want, j)
+            parts = lambda root: {frozenset(i for i in range(len(root)) if top(root, i) == r) for r in {top(root, k) for k in range(len(root))}}
+            assert parts(got) == parts(want)
+    assert len(cuts) > 5
+
+
 def test_join_without_broadcasts(spark):
     """Adaptive plans that deal rows anew must keep regions whole."""
     key = "spark.sql.autoBroadcastJoinThreshold"
