@@ -6,7 +6,9 @@ every match of a rule holds its keyword. Detections are word
 intervals. They are sorted by start, longest first, then priority; one that lies inside an earlier one
 is suppressed, so a specific rule hides the general one that matches a part of the same words.
 
-Rules come from families, versions and phrasings, so they are built by a rule of their own here.
+Signatures are written by hand (license_signatures.py), with a stem for each of their groups. Families of
+licences, their versions and phrasings give further rules. A text is looked at only if it holds a stem or
+a word of a family's keyword, which every match of a rule does.
 
 Defined results: null text counts as empty: no words, no places, empty labels, score 0. Rows are judged
 on their own: repeats, ties and null ids need no care, extra columns are left alone.
@@ -21,6 +23,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import ascii_lower, read_table
+from .license_signatures import SIGNATURES
 
 WORD = r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+"
 
@@ -48,34 +51,6 @@ FAMILIES = [
     ("cc-by-nc-sa", ["creative commons attribution noncommercial sharealike license", "cc by nc sa"], ["2 0", "2 5", "3 0", "4 0"]),
     ("cc0", ["creative commons zero", "cc0"], ["1 0"]),
 ]
-# Signatures without versions: label, expression over words, keyword, confidence.
-SIGNATURES = [
-    ("mit", r"permission is hereby granted free of charge to any person", "hereby", 0.98),
-    ("mit", r"(?:the )?mit licen[sc]e", "mit", 0.9),
-    ("mit", r"licensed under (?:the )?mit", "mit", 0.85),
-    ("isc", r"permission to use copy modify and or distribute this software", "permission", 0.97),
-    ("isc", r"isc licen[sc]e", "isc", 0.9),
-    ("bsd", r"redistribution and use in source and binary forms", "redistribution", 0.98),
-    ("bsd-3-clause", r"(?:bsd 3 clause|3 clause bsd|new bsd licen[sc]e|modified bsd licen[sc]e)", "bsd", 0.92),
-    ("bsd-2-clause", r"(?:bsd 2 clause|2 clause bsd|simplified bsd licen[sc]e)", "bsd", 0.92),
-    ("bsd-2-clause", r"freebsd licen[sc]e", "freebsd", 0.92),
-    ("bsd", r"bsd(?: style)? licen[sc]e", "bsd", 0.8),
-    ("zlib", r"altered source versions must be plainly marked as such", "altered", 0.97),
-    ("zlib", r"zlib licen[sc]e", "zlib", 0.9),
-    ("unlicense", r"this is free and unencumbered software released into the public domain", "unencumbered", 0.98),
-    ("wtfpl", r"do what the fuck you want to public licen[sc]e", "fuck", 0.98),
-    ("public-domain", r"(?:released|dedicated|placed) (?:in|into|to) the public domain", "domain", 0.85),
-    ("public-domain", r"public domain", "domain", 0.6),
-    ("psf", r"python software foundation licen[sc]e", "python", 0.92),
-    ("proprietary", r"(?:confidential and proprietary|proprietary and confidential)", "proprietary", 0.85),
-    ("proprietary", r"unauthorized (?:copying|reproduction|distribution)", "unauthorized", 0.8),
-    ("proprietary", r"unauthorised (?:copying|reproduction|distribution)", "unauthorised", 0.8),
-    ("reserved", r"all rights reserved", "reserved", 0.7),
-    ("copyright", r"copyright (?:c )?(?:1[89][0-9]{2}|20[0-9]{2})", "copyright", 0.5),
-    ("reserved", r"alle rechte vorbehalten", "vorbehalten", 0.7),
-    ("reserved", r"tous droits réservés", "droits", 0.7),
-    ("reserved", r"todos los derechos reservados", "derechos", 0.7),
-]
 PHRASINGS = [
     (r"(?:licensed|released|distributed|available|published|covered) under (?:the )?(?:terms of (?:the )?)?{name}(?: license| licence)?", 0.96, 3),
     (r"(?:under|per|see) (?:the )?(?:terms (?:and conditions )?of )?(?:the )?{name}(?: license| licence)?", 0.93, 2),
@@ -83,11 +58,21 @@ PHRASINGS = [
 ]
 
 
+def words_left(name: str) -> list[str]:
+    """The words of a name that every phrasing keeps."""
+    return [w for w in name.split() if w not in ("license", "licence")]
+
+
+def shortest(stems: set[str]) -> list[str]:
+    """Stems that hold no other one: whoever holds a longer one holds the shorter one too."""
+    return sorted(s for s in stems if not any(o != s and o in s for o in stems))
+
+
 def rules() -> list[tuple[str, str, str, int, float]]:
     """(keyword, expression, label, priority, confidence); hundreds, in order of priority."""
-    out = [(f" {word} ", rf"(?<![^ ])(?:{rx})(?![^ ])", label, 5, conf) for label, rx, word, conf in SIGNATURES]
+    out = [(f" {word} ", rf"(?<![^ ])(?:{rx})(?![^ ])", label, 5, conf) for entries in SIGNATURES.values() for label, rx, word, conf in entries]
     for label, names, versions in FAMILIES:
-        keys = sorted({" ".join(w for w in n.split() if w not in ("license", "licence")) for n in names})
+        keys = sorted({" ".join(words_left(n)) for n in names})
         for key in keys:
             own = "(?:" + "|".join(n for n in names if f" {key} " in f" {n} ") + ")"
             for phrase, conf, rank in PHRASINGS:
@@ -124,9 +109,11 @@ def scan(docs: DataFrame) -> DataFrame:
     """doc_id, n_words, n_base, first_word, last_word, base_labels, labels, score, detections."""
     table = rules()
     keywords = sorted({r[0] for r in table})
+    family = {max(words_left(n), key=len) for _, names, _ in FAMILIES for n in names}
+    stems = shortest({*SIGNATURES, *family, *(max(phrase.split(), key=len) for phrase in BASE)})
     text = ascii_lower(F.coalesce(F.col("text"), F.lit("")))
     words = F.regexp_extract_all("lower", F.lit(WORD), F.lit(0))
-    gate = reduce(lambda a, b: a | b, (F.contains("lower", F.lit(k)) for k in sorted({max(k.split(), key=len) for k in [*keywords, *BASE]})))
+    gate = reduce(lambda a, b: a | b, (F.contains("lower", F.lit(k)) for k in stems))
     base = docs.select("doc_id", text.alias("lower"))
     base = base.select("doc_id", F.regexp_count("lower", F.lit(WORD)).cast("long").alias("n_words"), F.when(gate, F.array_join(words, " ")).alias("joined"))
     rule_array = F.expr("array(" + ", ".join(f"named_struct('keyword', {quoted(k)}, 'rx', {quoted(x)}, 'label', {quoted(n)}, 'priority', {p}, 'confidence', {c}D)" for k, x, n, p, c in table) + ")")

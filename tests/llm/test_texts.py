@@ -216,6 +216,40 @@ def test_license_alternatives_pass_their_gate(spark):
     for keyword, rx, *_ in license_scan.rules():
         for text in samples(re._parser.parse(rx)):
             assert re.fullmatch(rx, text) and keyword in f" {text} ", (keyword, text)
+    by_hand = [(stem, *entry) for stem, entries in license_scan.SIGNATURES.items() for entry in entries]
+    assert len({rx for _, _, rx, *_ in by_hand}) == len(by_hand) >= 200
+    for stem, _, rx, keyword, conf in by_hand:
+        for text in samples(re._parser.parse(rx)):
+            assert stem in text and f" {keyword} " in f" {text} " and 0 < conf < 1, (stem, text)
+
+
+def plain_detections(text):
+    """All rules on all places, without keywords or gates, then suppression by containment."""
+    joined = " ".join(re.findall("[^\x00-\x2f\x3a-\x60\x7b-\x7f]+", text.translate({i: i + 32 for i in range(65, 91)})))
+    spans = sorted((joined[: m.start()].count(" "), -joined[: m.end()].count(" "), -priority, label, conf) for _, rx, label, priority, conf in license_scan.rules() for m in re.finditer(rx, joined))
+    kept, end = [], -1
+    for _, last, _, label, conf in spans:
+        if -last > end:
+            kept.append((label, conf))
+            end = -last
+    base = {label for phrase, label in license_scan.BASE.items() if f" {phrase} " in f" {joined} "}
+    return ",".join(sorted(base | {x for x, _ in kept})), max([c for _, c in kept] + [0.7 if base else 0.0]), len(kept)
+
+
+def test_license_suppression_against_plain_rules(spark, tiny):
+    mixes = ["the MIT license, see LICENSE. Released into the public domain. All rights reserved",
+             "Licensed under the GNU Lesser General Public License version 2.1 or later; GPL-3.0 applies to tools, copyright (c) 2011 A",
+             "Redistribution and use in source and binary forms ... 3-clause BSD license, simplified BSD License; Apache License 2.0 or SIL Open Font License 1.1",
+             "This is free and unencumbered software released into the public domain. CC BY-NC-SA 4.0. Creative Commons Attribution ShareAlike 3.0",
+             "business source license 1.1, server side public license, elastic license 2.0; for personal use only; unauthorised copying"]
+    rows = [(i, t) for i, t in enumerate([*mixes, *(r.text for r in tiny.where("text is not null and length(text) < 6000").limit(60).collect())])]
+    got = {r.doc_id: (r.labels, r.score, r.n_detections) for r in license_scan.scan(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    for i, text in rows:
+        labels, score, n = plain_detections(text)
+        assert got[i][0] == labels and got[i][1] == pytest.approx(score) and got[i][2] == n, (i, got[i], labels)
+
+
+def test_license_fused_and_split_names(spark):
     texts = {"unauthorized reproduction": "proprietary", "Unauthorised distribution": "proprietary", "unauthorised copying": "proprietary", "FreeBSD License": "bsd-2-clause", "GPLv2": "gpl-2", "under LGPLv2.1+": "lgpl-2.1", "LGPLv3": "lgpl-3", "GPL3": "gpl-3", "AGPLv1": "agpl", "Oslo, gplvx": ""}
     df = spark.createDataFrame([(i, t) for i, t in enumerate(texts)], "doc_id long, text string")
     assert [r.labels for r in license_scan.scan(df).orderBy("doc_id").collect()] == list(texts.values())
