@@ -237,7 +237,7 @@ def match_pass(rows: DataFrame, parts: int) -> DataFrame:
             value = (high[at] * np.uint64(parts) + part[at].astype(np.uint64)).astype(np.int64)
             yield pa.RecordBatch.from_arrays([*(pa.nulls(k, pa.int64()) for _ in range(3)), pa.array(value), pa.array(starts)], names)
 
-    return rows.repartition(parts, "part").mapInArrow(run, "key long, first long, last long, anchor long, starts long")
+    return rows.repartitionById(parts, "part").mapInArrow(run, "key long, first long, last long, anchor long, starts long")
 
 
 def bloom(ids: DataFrame, bits: int) -> np.ndarray:
@@ -408,7 +408,7 @@ def index_pass(contents: DataFrame, parts: int) -> DataFrame:
             if (out := ranges()) is not None:
                 yield out
 
-    dealt = contents.repartition(parts, "part").sortWithinPartitions("part")
+    dealt = contents.repartitionById(parts, "part").sortWithinPartitions("part")
     return dealt.mapInArrow(run, "key long, first long, last long")
 
 
@@ -430,13 +430,42 @@ def repeated_ranges(docs: DataFrame) -> DataFrame:
     return known.union(more)
 
 
+def merged_ranges(ranges: DataFrame) -> DataFrame:
+    """key, ranges: of each text the ranges that overlap or touch, joined in the order of their starts. A task holds what one text has left."""
+
+    def run(batches):
+        key, open_range, done = None, None, []
+
+        def row():
+            kinds = pa.list_(pa.struct([("first", pa.int64()), ("last", pa.int64())]))
+            return pa.RecordBatch.from_arrays([pa.array([key], pa.int64()), pa.array([[{"first": a, "last": b} for a, b in [*done, open_range]]], kinds)], ["key", "ranges"])
+
+        for batch in batches:
+            for k, first, last in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                if k == key and first <= open_range[1] + LENGTH:
+                    open_range = (open_range[0], max(open_range[1], last))
+                    continue
+                if k == key:
+                    done.append(open_range)
+                else:
+                    if key is not None:
+                        yield row()
+                    key, done = k, []
+                open_range = (first, last)
+        if key is not None:
+            yield row()
+
+    dealt = ranges.repartition(F.col("key")).sortWithinPartitions("key", "first")
+    return dealt.select("key", "first", "last").mapInArrow(run, "key long, ranges array<struct<first:long,last:long>>")
+
+
 def remove_repeats(docs: DataFrame, with_text: bool = False) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256 (and kept, the bytes left)."""
-    ranges = repeated_ranges(docs).distinct().groupBy("key").agg(F.collect_list(F.struct("first", "last")).alias("ranges"))
-    ranges = stored(ranges, "suffix-texts")
+    ranges = stored(merged_ranges(repeated_ranges(docs)), "suffix-texts").withColumn("hit", F.lit(True))
     mask = bloom(ranges.select(F.col("key").alias("id")), BLOOM_BITS)
 
     def send(batches):
+        number = 0  # rows that nothing is asked for are spread over all tasks by it
         for batch in batches:
             for at in range(0, batch.num_rows, 4000):
                 rows = batch.slice(at, 4000)
@@ -446,13 +475,15 @@ def remove_repeats(docs: DataFrame, with_text: bool = False) -> DataFrame:
                 yield pa.RecordBatch.from_arrays(
                     [
                         rows.column(0).cast(pa.int64()),
-                        pa.array([k if h else None for k, h in zip(keys.tolist(), hit.tolist(), strict=True)], pa.int64()),
+                        pa.array([k if h else number + i for i, (k, h) in enumerate(zip(keys.tolist(), hit.tolist(), strict=True))], pa.int64()),
+                        pa.array(hit, pa.bool_()),
                         pa.array([len(x) for x in data], pa.int64()),
                         pa.array([x if h or with_text else None for x, h in zip(data, hit.tolist(), strict=True)], pa.binary()),
                         pa.array([None if h else hashlib.sha256(x).hexdigest() for x, h in zip(data, hit.tolist(), strict=True)], pa.string()),
                     ],
-                    ["doc_id", "key", "n_bytes", "data", "sha"],
+                    ["doc_id", "key", "hit", "n_bytes", "data", "sha"],
                 )
+                number += rows.num_rows
 
     def finish(batches):
         for batch in batches:
@@ -472,8 +503,8 @@ def remove_repeats(docs: DataFrame, with_text: bool = False) -> DataFrame:
             types = [pa.int64()] * 4 + [pa.string(), pa.binary()]
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, types, strict=True)], ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", "kept"])
 
-    sent = docs.select("doc_id", "text").mapInArrow(send, "doc_id long, key long, n_bytes long, data binary, sha string")
-    both = sent.join(ranges, "key", "left").select("doc_id", "n_bytes", "data", "sha", "ranges")
+    sent = docs.select("doc_id", "text").mapInArrow(send, "doc_id long, key long, hit boolean, n_bytes long, data binary, sha string")
+    both = sent.join(ranges, ["key", "hit"], "left").select("doc_id", "n_bytes", "data", "sha", "ranges")
     out = both.mapInArrow(finish, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept binary")
     return out if with_text else out.drop("kept")
 

@@ -188,6 +188,16 @@ def test_repeated_strings_in_small_chunks(spark, monkeypatch):
     assert [got[i] for i in range(len(texts))] == without_repeats(texts)
 
 
+def test_periodic_texts_and_many_untouched(spark):
+    """A text that repeats itself at every byte, one with far periods, copies of short texts that nothing is asked of."""
+    rnd = random.Random(9)
+    unit = "".join(rnd.choice("abcdefgh ") for _ in range(230))
+    texts = ["ab" * 9000, (unit + "x") * 30, unit + "tail", "short"] + ["same short text"] * 300 + ["".join(rnd.choice("abcdefgh ") for _ in range(400))]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(4)
+    got = {r.doc_id: (r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in suffix_dedup.remove_repeats(df).collect()}
+    assert [got[i] for i in range(len(texts))] == without_repeats(texts)
+
+
 def test_index_family_levels():
     rnd = random.Random(2)
     contents = [bytes(rnd.choice(b"ab") for _ in range(rnd.randint(200, 260))) for _ in range(200)]
