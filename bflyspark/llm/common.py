@@ -20,11 +20,13 @@ def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder in spark.checkpoint.dir, which driver and executors share; a local one only where that is unset."""
+    """The folder in spark.checkpoint.dir, which driver and executors share. Without that setting a local folder serves a local master alone."""
     sc = spark.sparkContext
     path = spark.conf.get("spark.checkpoint.dir", None)
     current = sc._jsc.sc().getCheckpointDir()
     if current.isEmpty():
+        if not path and (not sc.master.startswith("local") or sc.master.startswith("local-cluster")):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that driver and executors share")
         sc.setCheckpointDir(path or tempfile.mkdtemp(prefix="bfly-checkpoint-"))
         current = sc._jsc.sc().getCheckpointDir()
     return path or current.get()
