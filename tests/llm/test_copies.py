@@ -2,7 +2,9 @@
 
 import hashlib
 import random
+from itertools import combinations
 
+import numpy as np
 import pytest
 
 import corpus_pipeline
@@ -252,3 +254,18 @@ def test_stages_keep_columns(spark, small, odd, none):
 def test_every_operator_is_registered():
     names = list(llm_queries())
     assert [n.split("_")[0] for n in names if n.startswith("op")].__len__() == 10 and "pipeline" in names
+
+
+def test_gathered_cells_keep_every_pair():
+    rng = np.random.default_rng(5)
+    for most in (2, 4, 30):
+        cells = [rng.choice(40, rng.integers(2, most + 1), replace=False).astype(np.int64) for _ in range(200)]
+        cells += [np.delete(np.arange(100, 160, dtype=np.int64), rng.choice(60, 5, replace=False)) for _ in range(30)]
+        sizes = np.array([len(c) for c in cells], np.int64)
+        names, nodes = jaccard_join.gathered(np.concatenate(cells), sizes)
+        groups: dict[int, set[int]] = {}
+        for name, node in zip(names.tolist(), nodes.tolist(), strict=True):
+            groups.setdefault(name, set()).add(node)  # equal cells share a name and are told as one later
+        pairs = lambda sets: {p for s in sets for p in combinations(sorted(s), 2)}
+        assert pairs(c.tolist() for c in cells) <= pairs(groups.values())
+        assert len(nodes) < sizes.sum() and max(map(len, groups.values())) <= 2 * sizes.max()
