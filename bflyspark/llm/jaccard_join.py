@@ -466,9 +466,10 @@ def cut_by_pivots(big: DataFrame, sizes: DataFrame, level: int, num: int) -> Dat
     """Regions too large for a task, cut by their pivots on the cluster, by the same rule.
 
     Rows with a region are its nodes; rows without one are links (node, mate) to a pivot. A node that links
-    with a pivot is core in the region of the nearest such pivot, and only there: all cores of a region are
-    connected. Another node goes to each core within twice the linking distance, and for links among its
-    like to the Voronoi regions that it may touch.
+    with a pivot is core in the region of the nearest such pivot: all cores of a region are connected. Cores of
+    two regions may link while their pivots don't, so a core also stands around the later pivots within twice
+    the linking distance, unless links given out already connect it with them. Another node goes to each core
+    within twice the linking distance, and for links among its like to the Voronoi regions that it may touch.
     """
     sized = big.join(sizes.select("region", "n", "rows"), "region")
     drawn = F.pmod(F.xxhash64("node", F.lit(level)), F.greatest(F.lit(1), F.floor(F.col("rows") / PIVOTS)).cast("long")) == 0
@@ -491,10 +492,17 @@ def cut_by_pivots(big: DataFrame, sizes: DataFrame, level: int, num: int) -> Dat
                 linked, distances = space.compared(list(range(n)), np.arange(n, n + len(nodes)), num)
                 inside, reach = near(distances, num), distances <= 2 * (100 - num) / 100 + EPSILON
                 home = np.where(linked, distances, 2).argmin(axis=0)
+                joined = Links(n)  # pivots that nodes of this share link with one another; these links are given out
+                for i in np.flatnonzero(linked.sum(axis=0) > 1).tolist():
+                    for k in np.flatnonzero(linked[:, i]).tolist():
+                        joined.join(home[i], k)
+                root = np.array([joined.find(k) for k in range(n)])
                 for i, (node, p) in enumerate(zip(nodes, packed, strict=True)):
                     if linked[:, i].any():
                         out += [(None, node, None, None, names[k][0]) for k in np.flatnonzero(linked[:, i]).tolist() if names[k][0] != node]
                         out.append((label("core", home[i]), node, p, True, None))
+                        open_to = reach[:, i] & (np.arange(n) > home[i]) & (root != root[home[i]])
+                        out += [(label("core", k), node, p, False, None) for k in np.flatnonzero(open_to).tolist()]
                     else:
                         out += [(label("core", k), node, p, False, None) for k in np.flatnonzero(reach[:, i]).tolist()]
                         out += [(label("rest", k), node, p, False, None) for k in np.flatnonzero(inside[:, i]).tolist()]

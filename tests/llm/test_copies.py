@@ -60,6 +60,15 @@ def test_jaccard_join_is_exact(spark, monkeypatch, load, levels):
         assert got == classes(texts, words, num)
 
 
+def test_cores_of_two_pivots_link(spark, monkeypatch):
+    """Chains in which a text links with its neighbours alone: cores of pivots three steps apart meet in one link."""
+    monkeypatch.setattr(jaccard_join, "REGION_BYTES", 4000)
+    texts = [" ".join(f"c{chain}x{3 * i + k}" for k in range(43)) for chain in range(3) for i in range(60)]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = {r.doc_id: r.component_id for r in jaccard_join.join_documents(docs).collect()}
+    assert got == {i: i // 60 * 60 for i in range(180)}
+
+
 def test_regions_are_cut_by_pivots(monkeypatch):
     """Voronoi regions with windows and cores find what all pairs find, at any size of a region."""
     import numpy as np
