@@ -36,8 +36,8 @@ def stored_index(index: indexes.Index, spark: SparkSession) -> tuple[indexes.Ind
 
 def memory_limits(spark: SparkSession, g: TemporalBipartite, w: DataFrame, tenths: list[int]) -> list[dict]:
     """Limits as tenths of the pure enumerated size: alpha, bytes estimated and stored, seconds to build and to ask."""
-    points = indexes.sized_points(g)
-    full = sum(r.butterflies for r in indexes.size_histogram(points).collect()) * indexes.POINT_BYTES
+    sizes = indexes.wedge_sizes(g)
+    full = sum(r.butterflies for r in indexes.size_histogram(sizes).collect()) * indexes.POINT_BYTES
     out = []
     for tenth in tenths:
         index, size, built = stored_index(indexes.build_hybrid(g, limit_bytes=full * tenth // 10), spark)
@@ -118,7 +118,7 @@ def bounds(spark: SparkSession, sf_dir: str) -> DataFrame:
     index = indexes.build_hybrid(g, alpha=0.5)
     row = census(g).first()
     one = indexes.query_enumerated(indexes.Index(index.points, None), w).select("window_id", F.col("butterflies").alias("enumerated"))
-    two = indexes.query_grouped(indexes.Index(None, index.groups), w).select("window_id", F.col("butterflies").alias("grouped"))
+    two = indexes.query_grouped(indexes.Index(None, index.groups, index.meta, index.lists), w).select("window_id", F.col("butterflies").alias("grouped"))
     return measures.error_bounds(one.join(two, "window_id"), row.n_u + row.n_v, 0.5, 0.5)
 
 
