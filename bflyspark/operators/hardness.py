@@ -50,14 +50,28 @@ def unit(c: Column, s: int, seed: int) -> Column:
     return (portable_hash([c, F.lit(s)], seed + s) + 0.5) / PRIME
 
 
-def expected_degrees(spark: SparkSession, n_u: int, n_v: int, gamma_u: float, gamma_v: float, largest_u: int, largest_v: int, seed: int = 1) -> tuple[DataFrame, DataFrame]:
+def fine_unit(c: Column, s: int, seed: int) -> Column:
+    """In (0, 1), from two hashes: as fine as many edges need."""
+    return (portable_hash([c, F.lit(s)], seed + s) + unit(c, s + 101, seed)) / PRIME
+
+
+def vertices(spark: SparkSession, of: int | DataFrame) -> tuple[DataFrame, int]:
+    """id of each vertex, and how many there are: a number of them, or the keys of a table."""
+    if isinstance(of, int):
+        return spark.range(of), of
+    ids = of.select(F.col(of.columns[0]).cast("long").alias("id")).distinct()
+    return ids, ids.count()
+
+
+def expected_degrees(spark: SparkSession, n_u: int | DataFrame, n_v: int | DataFrame, gamma_u: float, gamma_v: float, largest_u: int, largest_v: int, seed: int = 1) -> tuple[DataFrame, DataFrame]:
     """(u, du) and (v, dv): degrees at random quantiles. The right side is scaled to the left sum, and no degree of it passes largest_v."""
-    left = spark.range(n_u).select(F.col("id").alias("u"), inverse_power(unit(F.col("id"), 1, seed), gamma_u, largest_u).alias("du"))
+    (ids_u, _), (ids_v, n_v) = vertices(spark, n_u), vertices(spark, n_v)
+    left = ids_u.select(F.col("id").alias("u"), inverse_power(unit(F.col("id"), 1, seed), gamma_u, largest_u).alias("du"))
     total = left.agg(F.sum("du")).first()[0]
     if total > n_v * largest_v:
         raise ValueError(f"{n_v} right vertices of degree {largest_v} at most can't hold {total:.0f} edges")
     drawn = inverse_power(unit(F.col("id"), 2, seed), gamma_v, largest_v) if gamma_v else F.lit(1.0)
-    right = spark.range(n_v).select(F.col("id").alias("v"), drawn.cast("double").alias("dv"))
+    right = ids_v.select(F.col("id").alias("v"), drawn.cast("double").alias("dv"))
     scale, full = 0.0, -1
     while True:  # those at the bound only become more
         at_bound = F.col("dv") * scale >= largest_v
@@ -73,7 +87,7 @@ def intervals(right: DataFrame) -> DataFrame:
     return running(right, "v", F.col("dv")).select("v", F.col("before").alias("low"), (F.col("before") + F.col("dv")).alias("high"))
 
 
-def power_law(spark: SparkSession, n_u: int, n_v: int, gamma_u: float, gamma_v: float, largest_u: int, largest_v: int, seed: int = 1, exact: bool = False) -> TemporalBipartite:
+def power_law(spark: SparkSession, n_u: int | DataFrame, n_v: int | DataFrame, gamma_u: float, gamma_v: float, largest_u: int, largest_v: int, seed: int = 1, exact: bool = False) -> TemporalBipartite:
     """Random graph whose expected degrees follow d^-gamma on both sides (gamma_v = 0: even degrees).
 
     exact draws every pair with probability d_u d_v / m (a cross join of two bounded ranges, for small
@@ -88,7 +102,7 @@ def power_law(spark: SparkSession, n_u: int, n_v: int, gamma_u: float, gamma_v:
     else:
         count = F.floor(F.col("du") + unit(F.col("u"), 3, seed)).cast("int")
         stubs = left.select("u", F.explode(F.sequence(F.lit(1), F.greatest(count, F.lit(1)))).alias("k"))
-        drawn = stubs.select("u", (unit(F.col("u") * 131 + F.col("k"), 4, seed) * total).alias("x"))
+        drawn = stubs.select("u", (fine_unit(F.col("u") * 131 + F.col("k"), 4, seed) * total).alias("x"))
         # A draw and the interval that holds it meet in a cell of width 1.
         cells = intervals(right).withColumn("cell", F.explode(F.sequence(F.floor("low"), F.floor("high"))))
         pairs = drawn.withColumn("cell", F.floor("x")).join(cells, "cell").where("low <= x and x < high").select("u", "v").distinct()
@@ -105,12 +119,13 @@ def _uniforms(a: np.ndarray, b: np.ndarray, seed: int) -> np.ndarray:
     return ((h ^ (h >> np.uint64(31))) >> np.uint64(11)).astype(np.float64) / (1 << 53) + 2.0**-54
 
 
-def power_law_arrow(spark: SparkSession, n_u: int, n_v: int, gamma_u: float, gamma_v: float, largest_u: int, largest_v: int, seed: int = 1) -> TemporalBipartite:
+def power_law_arrow(spark: SparkSession, n_u: int | DataFrame, n_v: int | DataFrame, gamma_u: float, gamma_v: float, largest_u: int, largest_v: int, seed: int = 1) -> TemporalBipartite:
     """The same law in one pass without joins: each left vertex draws its edges, right ends by the inverse of the cumulated degrees.
 
     A right vertex of quantile q has expected degree (1 + q K)^(1 / e), K = D^e - 1, e = 1 - gamma; the
     cumulated degree has a closed inverse. Quantiles are the ids themselves: low ids have high degrees.
     """
+    ids, n_v = vertices(spark, n_u)[0], vertices(spark, n_v)[1]
     e_v = 1.0 - gamma_v
     k_v = largest_v**e_v - 1 if gamma_v else 0.0
     power = 1 / e_v + 1 if gamma_v else 1.0
@@ -135,7 +150,7 @@ def power_law_arrow(spark: SparkSession, n_u: int, n_v: int, gamma_u: float, gam
                 number = np.arange(len(own)) - np.repeat(np.cumsum(k) - k, k) + 3
                 yield pa.RecordBatch.from_arrays([pa.array(own, pa.int64()), pa.array(right_end(_uniforms(own, number, seed)), pa.int64())], ["u", "v"])
 
-    pairs = written(spark.range(n_u).mapInArrow(run, "u long, v long").distinct(), "power-law")
+    pairs = written(ids.mapInArrow(run, "u long, v long").distinct(), "power-law")
     m = pairs.count()
     t = 1 + F.pmod(portable_hash([F.col("u"), F.col("v")], seed + 9) * 7 + F.col("v"), F.lit(max(m, 1)))
     return TemporalBipartite(pairs.select("u", "v", t.cast("long").alias("t")))

@@ -43,3 +43,11 @@ def test_right_degrees_follow_their_bound_and_the_left_sum(spark, exact):
     assert row.max_v <= 40 + 5 * 40**0.5 and row.sum_v == pytest.approx(row.expected_v, rel=0.1)
     with pytest.raises(ValueError):
         hardness.expected_degrees(spark, 3000, 10, 2.5, 2.5, 200, 40)
+
+
+@pytest.mark.parametrize("name", ["duplicate_edges_windows", "toy_windows", "power_law_double", "power_law_exact", "power_law_single", "uniform_times", "rel_s7_ranges", "rel_s8_literal", "rel_v6_tree_nodes"])
+def test_queries_read_a_given_table(spark, small, monkeypatch, name):
+    read, table = [], catalog.table
+    monkeypatch.setattr(catalog, "table", lambda s, d, n: read.append(n) or table(s, d, n))
+    assert ({**graph_queries.registry(), **relops.registry()})[name][0](spark, small).count()
+    assert read
