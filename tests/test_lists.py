@@ -7,9 +7,9 @@ from pathlib import Path
 import pytest
 from pyspark.sql import functions as F
 
-from bflyspark.operators import indexes, lists
+from bflyspark.operators import baselines, indexes, lists
 from bflyspark.operators.wedges import GROUP, group_points, group_sizes, priority_wedges, with_stairs
-from bflyspark.sources import catalog, scratch
+from bflyspark.sources import catalog, scratch, windows
 
 
 @pytest.fixture
@@ -52,3 +52,12 @@ def test_an_index_leaves_no_wedges_on_disk(spark, folder):
     index = indexes.build_hybrid(g, alpha=0.5)
     index.points.count()
     assert sum(f.stat().st_size for f in Path(folder).rglob("*.parquet")) < 2 * wedges
+
+
+def test_recount_by_lists(spark, repeated):
+    g = catalog.literal(spark, [(r.u % 1000, -(r.v % 900), r.t) for r in repeated.edges.collect()])
+    w = windows.fixed(spark, [(0, 24), (3, 11), (11, 24), (30, 40)])
+    want = sorted(map(tuple, baselines.recount(g, w).collect()))
+    assert sorted(map(tuple, baselines.recount_by_lists(g, w).collect())) == want and want[1][-1] > 0
+    with pytest.raises(Exception, match="too large"):
+        baselines.recount_by_lists(repeated, w).collect()
