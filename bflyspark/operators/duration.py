@@ -2,38 +2,38 @@
 
 A butterfly in time order is two wedges of one pair of ends, with other middles and four different times,
 that span at most delta. Small groups are enumerated: how many butterflies span exactly so much. Large
-groups stay as points, cut by stretches of time as long as the largest span, so that a group of any size is
-read by many tasks; each wedge asks how many wedges that begin after it end in time, from a merge tree or,
-in a stretch of few points, by its pairs.
+groups stay as packed lists (lists.py), cut by stretches of time as long as the largest span, so that a group of
+any size is read by many tasks; each wedge asks how many wedges that begin after it end in time, from a merge
+tree or, in a stretch of few wedges, by its pairs. No wedge is shuffled or stored.
 """
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from dataclasses import dataclass, field
 
 import numpy as np
-import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.intervals import choose2
 from ..sources.graph import TemporalBipartite, in_windows
 from ..sources.scratch import written
-from .baselines import instance_wedges, timed_butterflies
+from . import lists
+from .baselines import timed_butterflies
 from .dominance import merge_tree_counts
 from .indexes import Cutoff, cutoff_by_share
 
 PAIRED = 2048  # points of a group up to which its pairs are read one by one; beyond, look-ups in a tree are fewer
-BATCH = 1 << 16  # points that a task holds before it answers, whole stretches at a time
 ASKED = 1 << 20  # look-ups at once
 
 
 @dataclass(frozen=True)
 class DurationIndex:
-    """spans: span, n of the enumerated part. points: x, z, cell, own, y, l, r, w of the grouped part; own marks those that ask."""
+    """spans: span, n of the enumerated part. lists: all groups packed; those of more than meta["size"] wedges in a stretch are the grouped part."""
 
     spans: DataFrame
-    points: DataFrame
+    lists: DataFrame
     meta: dict = field(default_factory=dict)
 
 
@@ -48,29 +48,45 @@ def query_spans(spans: DataFrame, deltas: DataFrame) -> DataFrame:
     return inside.groupBy("delta").agg(F.coalesce(F.sum("n"), F.lit(0)).alias("butterflies"))
 
 
-def spans_of(wedges: DataFrame, largest: int) -> DataFrame:
-    """The span histogram of wedge rows x, z, y, l, r: pairs within a group, no longer than the largest."""
-    a = wedges.select("x", "z", "y", "l", "r")
-    b = wedges.select("x", "z", F.col("y").alias("y2"), F.col("l").alias("l2"), F.col("r").alias("r2"))
-    pairs = a.join(b, ["x", "z"]).where("y < y2 and l <> l2 and l <> r2 and r <> l2 and r <> r2")
-    span = F.greatest("r", "r2") - F.least("l", "l2")
-    return pairs.select(span.alias("span")).where(F.col("span") <= largest).groupBy("span").agg(F.count("*").alias("n"))
+def spans_of(packed: DataFrame, largest: int, most: int, turns: int) -> DataFrame:
+    """The span histogram of the groups of most wedges at most in a stretch, no longer than the largest."""
+
+    def solve(stretches):
+        for s in stretches:
+            ones = np.ones(len(s.l), np.int64)
+            found = [np.unique(span, return_counts=True) for span, _ in pair_spans(s.group, s.y, s.l, s.r, ones, s.own, largest)]
+            if found:
+                span, n = (np.concatenate(c) for c in zip(*found, strict=True))
+                span, at = np.unique(span, return_inverse=True)
+                total = np.zeros(len(span), np.int64)
+                np.add.at(total, at, n)
+                yield span, total
+
+    return lists.map_stretches(packed, solve, "span n", 2, most, largest, turns).groupBy("span").agg(F.sum("n").alias("n"))
+
+
+def stretch_sizes(packed: DataFrame, largest: int, turns: int) -> DataFrame:
+    """size, groups: how many groups have so many wedges in a stretch."""
+
+    def solve(stretches):
+        for s in stretches:
+            yield np.unique(s.size, return_counts=True)
+
+    return lists.map_stretches(packed, solve, "size groups", 2, None, largest, turns).groupBy("size").agg(F.sum("groups").alias("groups"))
 
 
 def build(g: TemporalBipartite, largest: int, alpha: float = 0.5, side: str = "v") -> DurationIndex:
-    """Both parts of the index, written once. Wedges longer than the largest span belong to no butterfly that is asked for."""
-    wedges = instance_wedges(g, largest, side)
-    sizes = wedges.groupBy("x", "z").agg(F.count("*").alias("size"))
-    sized = written(wedges.join(sizes, ["x", "z"]), "duration-wedges")
-    cutoff: Cutoff = cutoff_by_share(sized.select("size", F.lit(1).alias("w")), alpha)
-    small, large = sized.where((F.col("size") >= 2) & (F.col("size") <= cutoff.size)), sized.where((F.col("size") >= 2) & (F.col("size") > cutoff.size))
-    cell = F.floor(F.col("l") / (largest + 1))
-    points = large.groupBy("x", "z", "y", "l", "r").agg(F.count("*").alias("w"))
-    own = points.withColumn("cell", cell).withColumn("own", F.lit(True))
-    mate = points.withColumn("cell", cell - 1).withColumn("own", F.lit(False))
-    stored = own.unionByName(mate).select("x", "z", "cell", "own", "y", "l", "r", "w")
-    spans = written(spans_of(small, largest), "duration-spans")
-    return DurationIndex(spans, written(stored.repartition("x", "z", "cell").sortWithinPartitions("x", "z", "cell"), "duration-points"), {"largest": largest, "alpha": cutoff.alpha, "size": cutoff.size})
+    """Both parts of the index, written once. Wedges longer than the largest span belong to no butterfly that is asked for.
+
+    Ends come before middles in priority; of two vertices of one degree, that of the side named does.
+    """
+    packed = lists.build(g if side == "v" else g.swapped())
+    turns = lists.turns(packed)
+    cutoff = cutoff_by_share(stretch_sizes(packed, largest, turns), alpha) if alpha > 0 else Cutoff(1, 0, 0.0, 0)
+    spans = g.edges.sparkSession.createDataFrame([], "span long, n long")
+    if cutoff.size > 1:
+        spans = written(spans_of(packed, largest, cutoff.size, turns), "duration-spans")
+    return DurationIndex(spans, packed, {"largest": largest, "alpha": cutoff.alpha, "size": max(1, cutoff.size), "turns": turns})
 
 
 def later_wedges(group: np.ndarray, l: np.ndarray, r: np.ndarray, w: np.ndarray, asks: np.ndarray, deltas: np.ndarray) -> np.ndarray:  # noqa: E741
@@ -108,66 +124,55 @@ def later_wedges(group: np.ndarray, l: np.ndarray, r: np.ndarray, w: np.ndarray,
     return out
 
 
-def near_pairs(group: np.ndarray, y: np.ndarray, l: np.ndarray, r: np.ndarray, w: np.ndarray, asks: np.ndarray, deltas: np.ndarray) -> np.ndarray:  # noqa: E741
-    """Per delta, the same of two different middles, by the pairs themselves: each point with the k-th after it in its group, for all groups at once.
+def pair_spans(group: np.ndarray, y: np.ndarray, l: np.ndarray, r: np.ndarray, w: np.ndarray, asks: np.ndarray, largest: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:  # noqa: E741
+    """Spans up to the largest, and weights, of pairs of two different middles, by the pairs themselves: each point with the k-th after it in its group, for all groups at once.
 
-    Points that lie behind the largest delta end the walk of those before them.
+    Points that lie behind the largest span end the walk of those before them.
     """
     order = np.lexsort((r, l, group))
     group, y, l, r, w, asks = (c[order] for c in (group, y, l, r, w, asks))  # noqa: E741
-    total = np.zeros(len(deltas) + 1, np.int64)
-    i, k = np.flatnonzero(asks & (r - l <= deltas[-1])), 1
+    i, k = np.flatnonzero(asks & (r - l <= largest)), 1
     while len(i):
         i = i[i + k < len(l)]
-        i = i[(group[i + k] == group[i]) & (l[i + k] - l[i] <= deltas[-1])]
+        i = i[(group[i + k] == group[i]) & (l[i + k] - l[i] <= largest)]
         j = i + k
-        use = (y[i] != y[j]) & (l[i] != l[j]) & (l[j] != r[i]) & (r[i] != r[j])
-        a, b = i[use], j[use]
-        place = np.searchsorted(deltas, np.maximum(r[a], r[b]) - l[a])
-        np.add.at(total, place, w[a] * w[b])
+        span = np.maximum(r[i], r[j]) - l[i]
+        use = (y[i] != y[j]) & (l[i] != l[j]) & (l[j] != r[i]) & (r[i] != r[j]) & (span <= largest)
+        yield span[use], w[i[use]] * w[j[use]]
         k += 1
-    return np.cumsum(total[:-1])
 
 
-def query_points(points: DataFrame, deltas: DataFrame) -> DataFrame:
+def near_pairs(group: np.ndarray, y: np.ndarray, l: np.ndarray, r: np.ndarray, w: np.ndarray, asks: np.ndarray, deltas: np.ndarray) -> np.ndarray:  # noqa: E741
+    """Per delta, the same of two different middles, from the pairs themselves."""
+    total = np.zeros(len(deltas), np.int64)
+    for span, n in pair_spans(group, y, l, r, w, asks, int(deltas[-1])):
+        np.add.at(total, np.searchsorted(deltas, span), n)
+    return np.cumsum(total)
+
+
+def query_points(index: DurationIndex, deltas: DataFrame) -> DataFrame:
     """delta, n of the grouped part: all pairs of a group less those that share their middle. Deltas are a batch on the driver."""
     asked = np.array(sorted({r.delta for r in deltas.collect()}), np.int64)
 
-    def run(batches):
-        total, held = np.zeros(len(asked), np.int64), None
-
-        def solve(cols: list[np.ndarray]) -> None:
-            x, z, cell, own, y, l, r, w = cols  # noqa: E741
-            if not len(x) or not len(asked):
-                return
-            order = np.lexsort((y, cell, z, x))
-            x, z, cell, own, y, l, r, w = (c[order] for c in (x, z, cell, own, y, l, r, w))  # noqa: E741
-            fresh = np.concatenate([[False], (x[1:] != x[:-1]) | (z[1:] != z[:-1]) | (cell[1:] != cell[:-1])])
-            group = np.cumsum(fresh)
-            few = np.bincount(group)[group] <= PAIRED
-            total[:] += near_pairs(*(c[few] for c in (group, y, l, r, w, own)), asked)
+    def solve(stretches):
+        total = np.zeros(len(asked), np.int64)
+        for s in stretches if len(asked) else ():
+            w = np.ones(len(s.l), np.int64)
+            few = np.repeat(s.size <= PAIRED, s.size)
+            total += near_pairs(*(c[few] for c in (s.group, s.y, s.l, s.r, w, s.own)), asked)
             if few.all():
-                return
-            other = np.cumsum(fresh | np.concatenate([[False], y[1:] != y[:-1]]))
-            for names, sign in ((group, 1), (other, -1)):
-                _, name = np.unique(names[~few], return_inverse=True)
-                total[:] += sign * later_wedges(name, *(c[~few] for c in (l, r, w, own)), asked)
-
-        for b in batches:
-            new = [b.column(k).to_numpy(zero_copy_only=False) for k in range(b.num_columns)]
-            held = new if held is None else [np.concatenate(c) for c in zip(held, new, strict=True)]
-            if len(held[0]) >= BATCH:
-                x, z, cell = held[:3]
-                cuts = np.flatnonzero((x[1:] != x[:-1]) | (z[1:] != z[:-1]) | (cell[1:] != cell[:-1]))
-                if len(cuts):  # the last stretch may go on in the next batch
-                    solve([c[: cuts[-1] + 1] for c in held])
-                    held = [c[cuts[-1] + 1 :] for c in held]
-        if held is not None:
-            solve(held)
-        yield pa.RecordBatch.from_arrays([pa.array(asked), pa.array(total)], ["delta", "part"])
-
-    dealt = points.repartition("x", "z", "cell").sortWithinPartitions("x", "z", "cell")
-    return dealt.mapInArrow(run, "delta long, part long").groupBy("delta").agg(F.sum("part").alias("n"))
+                continue
+            group, y, l, r, w, own = (c[~few] for c in (s.group, s.y, s.l, s.r, w, s.own))  # noqa: E741
+            order = np.lexsort((y, group))
+            group, y, l, r, own = (c[order] for c in (group, y, l, r, own))  # noqa: E741
+            fresh = np.concatenate([[False], group[1:] != group[:-1]])
+            other = fresh | np.concatenate([[False], y[1:] != y[:-1]])
+            for names, sign in ((fresh, 1), (other, -1)):
+                total += sign * later_wedges(np.cumsum(names), l, r, w, own, asked)
+        yield asked, total
+
+    m = index.meta
+    return lists.map_stretches(index.lists, solve, "delta part", m["size"] + 1, None, m["largest"], m["turns"]).groupBy("delta").agg(F.sum("part").alias("n"))
 
 
 def query(index: DurationIndex, deltas: DataFrame) -> DataFrame:
@@ -175,7 +180,7 @@ def query(index: DurationIndex, deltas: DataFrame) -> DataFrame:
     over = deltas.agg(F.max("delta")).first()[0]
     if over is not None and over > index.meta["largest"]:
         raise ValueError(f"the index holds spans up to {index.meta['largest']}, not {over}")
-    large = deltas.distinct().join(query_points(index.points, deltas), "delta", "left").select("delta", F.coalesce("n", F.lit(0)).alias("butterflies"))
+    large = deltas.distinct().join(query_points(index, deltas), "delta", "left").select("delta", F.coalesce("n", F.lit(0)).alias("butterflies"))
     both = large.unionByName(query_spans(index.spans, deltas.distinct()))
     return both.groupBy("delta").agg(F.sum("butterflies").cast("long").alias("butterflies"))
 

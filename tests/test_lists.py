@@ -7,7 +7,7 @@ from pathlib import Path
 import pytest
 from pyspark.sql import functions as F
 
-from bflyspark.operators import baselines, indexes, lists
+from bflyspark.operators import baselines, duration, indexes, lists
 from bflyspark.operators.wedges import GROUP, group_points, group_sizes, priority_wedges, with_stairs
 from bflyspark.sources import catalog, scratch, windows
 
@@ -61,3 +61,40 @@ def test_recount_by_lists(spark, repeated):
     assert sorted(map(tuple, baselines.recount_by_lists(g, w).collect())) == want and want[1][-1] > 0
     with pytest.raises(Exception, match="too large"):
         baselines.recount_by_lists(repeated, w).collect()
+
+
+def test_a_duration_index_leaves_no_wedges_on_disk(spark, folder):
+    rnd = random.Random(4)
+    g = catalog.literal(spark, [(rnd.randrange(400), rnd.randrange(500), rnd.randrange(1000)) for _ in range(12_000)])
+    wedges = baselines.instance_wedges(g, 999).count()
+    deltas = spark.createDataFrame([(100,), (300,), (999,)], "delta long")
+    written = lambda: sum(f.stat().st_size for f in Path(folder).rglob("*.parquet"))
+    for alpha in (0.0, 0.5):
+        before = written()
+        assert duration.query(duration.build(g, 999, alpha), deltas).count() == 3
+        assert written() - before < 2 * wedges, alpha
+
+
+def test_durations_by_lists(spark, repeated):
+    """Repeated edges, spans over one stretch of time and over several, either side, all shares of groups."""
+    want = {d: baselines.duration_count(repeated, d).first().butterflies for d in (0, 3, 7, 24)}
+    assert want[3] > 10
+    for largest, alpha, side in ((3, 0.0, "v"), (7, 0.5, "u"), (24, 0.3, "v"), (24, 1.0, "u"), (1 << 40, 0.0, "v")):
+        asked = [d for d in want if d <= largest]
+        got = duration.query(duration.build(repeated, largest, alpha, side), spark.createDataFrame([(d,) for d in asked], "delta long"))
+        assert {r.delta: r.butterflies for r in got.collect()} == {d: want[d] for d in asked}, (largest, alpha, side)
+
+
+def test_stretches_are_shared_by_turns_and_worked_off_in_passes(spark, monkeypatch, repeated):
+    packed = [r.data for r in lists.build(repeated).collect()]
+
+    def wedges(largest, turns):
+        found = [s for data in packed for turn in range(turns) for s in lists.stretches(data, largest, turn=turn, turns=turns)]
+        assert all(len(s.group) == s.size.sum() and s.own.any() for s in found)
+        return sorted(row for s in found for row in zip(s.size[s.group].tolist(), s.y.tolist(), s.l.tolist(), s.r.tolist(), s.own.tolist(), strict=True))
+
+    for largest in (3, 24):
+        monkeypatch.setattr(lists, "WEDGES", 1_500_000)
+        whole = wedges(largest, 1)
+        monkeypatch.setattr(lists, "WEDGES", 30)
+        assert len(whole) > 500 and wedges(largest, 1) == wedges(largest, 3) == whole
