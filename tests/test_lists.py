@@ -85,6 +85,16 @@ def test_durations_by_lists(spark, repeated):
         assert {r.delta: r.butterflies for r in got.collect()} == {d: want[d] for d in asked}, (largest, alpha, side)
 
 
+def test_durations_of_large_groups(spark, small):
+    """Groups of thousands of wedges in a stretch are asked by look-ups."""
+    g = catalog.load(spark, small, "g9")
+    assert max(int(s.size.max()) for r in lists.build(g).collect() for s in lists.stretches(r.data, 719)) > duration.PAIRED
+    want = {d: baselines.duration_count(g, d).first().butterflies for d in (24, 200)}
+    for largest in (200, 719):
+        got = duration.query(duration.build(g, largest, 0.2), spark.createDataFrame([(d,) for d in want], "delta long"))
+        assert {r.delta: r.butterflies for r in got.collect()} == want and want[24] > 1000
+
+
 def test_stretches_are_shared_by_turns_and_worked_off_in_passes(spark, monkeypatch, repeated):
     packed = [r.data for r in lists.build(repeated).collect()]
 
