@@ -1,15 +1,19 @@
 """Packed wedge lists against wedges as rows, and what they leave on disk."""
 
 import random
+import time
 import uuid
+from collections import Counter
 from pathlib import Path
 
+import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
 from bflyspark.operators import baselines, duration, indexes, lists
 from bflyspark.operators.wedges import GROUP, group_points, group_sizes, priority_wedges, with_stairs
-from bflyspark.sources import catalog, scratch, windows
+from bflyspark.sources import catalog, graph, scratch, windows
 
 
 @pytest.fixture
@@ -108,3 +112,36 @@ def test_stretches_are_shared_by_turns_and_worked_off_in_passes(spark, monkeypat
         whole = wedges(largest, 1)
         monkeypatch.setattr(lists, "WEDGES", 30)
         assert len(whole) > 500 and wedges(largest, 1) == wedges(largest, 3) == whole
+
+
+def test_a_large_group_is_paired_by_its_starts_and_ends(spark):
+    rng, users = np.random.default_rng(5), 60_000
+    t = rng.integers(0, 300, (users, 2, 2))
+    rows = pa.table({"u": np.repeat(np.arange(users), 4), "v": np.tile([7, 7, 8, 8], users), "t": t.ravel()})
+    began = time.monotonic()
+    points = lists.enumerated(lists.build(graph.TemporalBipartite(spark.createDataFrame(rows)))).toArrow()
+    assert time.monotonic() - began < 60  # some 200,000 points; pairs one by one are 2e10
+    l, r, w = (points.column(c).to_numpy() for c in "lrw")  # noqa: E741
+    for start, end in ((0, 299), (0, 99), (120, 130), (250, 299)):
+        both = int(((t >= start) & (t <= end)).any(axis=2).all(axis=1).sum())
+        assert w[(l >= start) & (r <= end)].sum() == both * (both - 1) // 2
+
+
+@pytest.mark.parametrize("cells", [1, 60, 1 << 20])
+def test_pairs_by_cells_are_the_pairs_one_by_one(monkeypatch, cells):
+    rng = np.random.default_rng(cells)
+    group = np.repeat([0, 1, 2], [400, 5, 150])
+    start = rng.integers(0, 40, len(group))
+    block = lists.Block(None, None, None, group, start, start + rng.integers(0, 40, len(group)), rng.choice([1, 1, 1, -1], len(group)), np.arange(80))
+    monkeypatch.setattr(lists, "CELLS", cells)
+
+    def total():
+        found = Counter()
+        for columns in lists.paired(block):
+            for l, r, w in zip(*(c.tolist() for c in columns), strict=True):  # noqa: E741
+                found[l, r] += w
+        return {k: w for k, w in found.items() if w}
+
+    by_cells = total()
+    monkeypatch.setattr(lists, "MATES", len(group))
+    assert by_cells == total()
